@@ -1,3 +1,40 @@
-"""DuckDB SQL for the queries that SQL can express."""
+"""DuckDB SQL for the queries that SQL can express; written apart from the operators."""
 
-ORACLE_SQL: dict[str, str] = {}
+_LOW = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+_WORDS = rf"regexp_extract_all({_LOW}, '[0-9a-z\x{{80}}-\x{{10FFFF}}]+')"
+
+# crc32 of a string from its hexadecimal digits, by the table of the reflected polynomial 0xEDB88320.
+_CRC = """
+crc_table AS (
+  SELECT list(c ORDER BY i) AS t FROM (
+    SELECT i, list_reduce(list_prepend(i, range(8)), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END) AS c
+    FROM (SELECT unnest(range(256)) AS i))),
+crc AS (
+  SELECT doc_id, xor(list_reduce(list_prepend(4294967295::BIGINT, [('0x' || substr(h, 2 * j + 1, 2))::BIGINT for j in range(length(h) // 2)]),
+      lambda c, b: xor(c >> 8, t[(xor(c, b) & 255) + 1])), 4294967295) AS text_crc32
+  FROM (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents), crc_table)
+"""
+
+ORACLE_SQL: dict[str, str] = {
+    "op4_sharding": f"""
+WITH {_CRC},
+sized AS (SELECT doc_id, strlen(coalesce(text, '')) + 1 AS size FROM documents),
+run AS (SELECT doc_id, size, sum(size) OVER (ORDER BY doc_id ROWS UNBOUNDED PRECEDING) - size AS start, sum(size) OVER () AS whole FROM sized),
+cut AS (SELECT doc_id, size, CAST(start * 8 // whole AS INTEGER) AS shard FROM run)
+SELECT cut.doc_id, CAST(size AS BIGINT) AS size, CAST(text_crc32 AS BIGINT) AS text_crc32, 'bytes' AS law, shard,
+       CAST(row_number() OVER (PARTITION BY shard ORDER BY cut.doc_id) - 1 AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard
+FROM cut JOIN crc ON cut.doc_id = crc.doc_id""",
+    "op6_decontamination": f"""
+WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+b AS (SELECT CAST(item_id AS VARCHAR) AS item, {_WORDS} AS w FROM benchmark),
+win AS (SELECT DISTINCT item, array_to_string(w[s:s + 9], ' ') AS phrase, least(10, len(w)) AS k
+        FROM (SELECT item, w, unnest(range(1, greatest(len(w) - 10, 0) + 2)) AS s FROM b WHERE len(w) > 0)),
+grams AS (SELECT doc_id, s, k, array_to_string(w[s:s + k - 1], ' ') AS phrase
+          FROM (SELECT doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS s FROM d, (SELECT DISTINCT k FROM win))),
+met AS (SELECT doc_id, s, grams.k, item FROM grams JOIN win ON grams.phrase = win.phrase AND grams.k = win.k),
+hit AS (SELECT doc_id, count(DISTINCT p) AS n_hit FROM (SELECT doc_id, unnest(range(s, s + k)) AS p FROM (SELECT DISTINCT doc_id, s, k FROM met)) GROUP BY doc_id),
+its AS (SELECT doc_id, count(*) AS n_items, string_agg(item, ',' ORDER BY item) AS items FROM (SELECT DISTINCT doc_id, item FROM met) GROUP BY doc_id)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
+       sha256(coalesce(items, '')) AS items_sha256, n_hit IS NOT NULL AS contaminated
+FROM d LEFT JOIN hit ON d.doc_id = hit.doc_id LEFT JOIN its ON d.doc_id = its.doc_id""",
+}
