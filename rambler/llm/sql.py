@@ -15,7 +15,16 @@ crc AS (
   FROM (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents), crc_table)
 """
 
+# The characters stripped from a line's ends, and the ids after which documents follow each other.
+_BLANK = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
+
 ORACLE_SQL: dict[str, str] = {
+    "op3_line_dedup": f"""
+WITH lines AS (SELECT doc_id, i, l[i] AS line, trim(translate(l[i], 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), {_BLANK}) AS k
+               FROM (SELECT doc_id, l, unnest(range(1, len(l) + 1)) AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents))),
+hot AS (SELECT k FROM lines WHERE k <> '' GROUP BY k HAVING count(DISTINCT doc_id) >= 10)
+SELECT doc_id, count(*) AS n_lines, count(hot.k) AS n_dropped, sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (WHERE hot.k IS NULL), '')) AS kept_sha256
+FROM lines LEFT JOIN hot ON lines.k = hot.k GROUP BY doc_id""",
     "op4_sharding": f"""
 WITH {_CRC},
 sized AS (SELECT doc_id, strlen(coalesce(text, '')) + 1 AS size FROM documents),
