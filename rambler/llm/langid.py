@@ -7,6 +7,7 @@ text's is the product over its words. Scores of words are remembered by each wor
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter
 from collections.abc import Iterable, Iterator
 
@@ -206,7 +207,7 @@ class Scorer:
         return out
 
 
-_SCORERS: dict[int, Scorer] = {}
+_SCORERS: dict[str, Scorer] = {}
 
 
 def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample_docs: int = 500, sample_words: int = 40_000) -> DataFrame:
@@ -220,14 +221,15 @@ def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample
     labelled = pick(train, "doc_id", "text", "lang").where("lang is not null and text is not null")
     pieces = load_pieces(vocab or default_vocab())
     model = docs.sparkSession.sparkContext.broadcast((*fit(sample_counts(labelled, sample_docs, sample_words), pieces), pieces))
+    token = uuid.uuid4().hex
     names = docs.columns
     at = names.index("text")
     fields = ", ".join(f"_{i} {t}" for i, (_, t) in enumerate(docs.dtypes))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if (scorer := _SCORERS.get(model.id)) is None:
+        if (scorer := _SCORERS.get(token)) is None:
             _SCORERS.clear()
-            scorer = _SCORERS[model.id] = Scorer(*model.value)
+            scorer = _SCORERS[token] = Scorer(*model.value)
         for batch in batches:
             sums = scorer.score(byte_texts(batch.column(at)))
             letters, logs = sums[:, -1], sums[:, :-1]

@@ -8,6 +8,7 @@ every hit is checked in the table.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -178,7 +179,7 @@ class LineStore:
         return drop_lines(docs, self.droppable(), broadcast_keys)
 
 
-_BUILT: dict[int, ShardedFilter] = {}
+_BUILT: dict[str, ShardedFilter] = {}
 
 
 def drop_lines(docs: DataFrame, keys: DataFrame, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
@@ -190,6 +191,7 @@ def drop_lines(docs: DataFrame, keys: DataFrame, broadcast_keys: int = BROADCAST
     fields = ", ".join(f"_{i} {t}" for i, (_, t) in enumerate(docs.dtypes))
     at = names.index("text")
     numbered = docs.toDF(*[f"_{i}" for i in range(len(names))])
+    token = uuid.uuid4().hex
     few = keys.limit(broadcast_keys + 1).count() <= broadcast_keys
     if few:
         shared = docs.sparkSession.sparkContext.broadcast(np.array([(r.h1, r.h2) for r in keys.toLocalIterator()], np.int64).reshape(-1, 2))
@@ -209,9 +211,9 @@ def drop_lines(docs: DataFrame, keys: DataFrame, broadcast_keys: int = BROADCAST
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if few:
             # Python workers are reused: the filters are built once in each.
-            if (shard := _BUILT.get(shared.id)) is None:
+            if (shard := _BUILT.get(token)) is None:
                 _BUILT.clear()
-                shard = _BUILT[shared.id] = ShardedFilter(shared.value)
+                shard = _BUILT[token] = ShardedFilter(shared.value)
         for batch in batches:
             parts = [line_hashes(raw) for raw in byte_texts(batch.column(at))]
             if few:
