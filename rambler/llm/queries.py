@@ -11,6 +11,7 @@ from .common import documents, pick
 from .decontam import contamination
 from .jaccard import jaccard_classes
 from .langid import identify
+from .licenses import license_labels
 from .linededup import dedup_lines
 from .packing import pack_documents
 from .sharding import shard_by_bytes
@@ -22,6 +23,10 @@ def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir)).select("doc_id", "start", "length", F.crc32("token_ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 
+def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_labels(documents(spark, sf_dir))
+
+
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(pick(documents(spark, sf_dir), "doc_id", "text"), min_docs=10).select("doc_id", "n_lines", "n_dropped", F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
 
@@ -54,4 +59,4 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(pick(docs, "doc_id", "text"), docs.where(~held_out)).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_packing, op3_line_dedup, op4_sharding, op5_jaccard_join, op6_decontamination, op7_token_counts, op9_fingerprints, op10_language_id)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_packing, op2_license_scan, op3_line_dedup, op4_sharding, op5_jaccard_join, op6_decontamination, op7_token_counts, op9_fingerprints, op10_language_id)}

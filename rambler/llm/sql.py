@@ -18,7 +18,35 @@ crc AS (
 # The characters stripped from a line's ends, and the ids after which documents follow each other.
 _BLANK = "' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
 
+
+
+def _license_sql() -> str:
+    from .licenses import LABEL_OF, PHRASES, TEMPLATES
+
+    quoted = ", ".join(f"('{n}', '{LABEL_OF.get(n, n)}', '{t}')" for n, t in TEMPLATES.items())
+    bases = ", ".join(f"('{p}', '{label}')" for p, label in PHRASES.items())
+    return rf"""
+WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+tw AS (SELECT name, label, {_WORDS} AS w FROM (VALUES {quoted}) v(name, label, text)),
+tg AS (SELECT name, label, i, len(w) - 3 AS size, array_to_string(w[i + 1:i + 4], ' ') AS g FROM (SELECT name, label, w, unnest(range(0, len(w) - 3)) AS i FROM tw)),
+dg AS (SELECT doc_id, i, array_to_string(w[i + 1:i + 4], ' ') AS g FROM (SELECT doc_id, w, unnest(range(0, len(w) - 3)) AS i FROM d)),
+met AS (SELECT doc_id, name, label, size, dg.i - tg.i AS diag, tg.i AS t FROM dg JOIN tg ON dg.g = tg.g),
+runs AS (SELECT doc_id, name, label, size, diag, t, sum(fresh) OVER (PARTITION BY doc_id, name ORDER BY diag) AS run
+         FROM (SELECT *, CASE WHEN diag - lag(diag) OVER (PARTITION BY doc_id, name ORDER BY diag) <= 8 THEN 0 ELSE 1 END AS fresh FROM met)),
+spans AS (SELECT doc_id, label, count(DISTINCT t) / any_value(size) AS share FROM runs GROUP BY doc_id, name, label, run HAVING count(DISTINCT t) / any_value(size) >= 0.6),
+places AS (SELECT doc_id, label, i FROM (SELECT doc_id, w, unnest(range(0, len(w))) AS i FROM d), (VALUES {bases}) b(phrase, label)
+           WHERE w[i + 1] = string_split(phrase, ' ')[1] AND array_to_string(w[i + 1:i + len(string_split(phrase, ' '))], ' ') = phrase),
+base AS (SELECT doc_id, count(*) AS n, min(i) AS lo, max(i) AS hi, list(DISTINCT label) AS labels FROM places GROUP BY doc_id),
+best AS (SELECT doc_id, max(share) AS share, list(DISTINCT label) AS labels FROM spans GROUP BY doc_id)
+SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n, 0) AS n_base, lo AS first_word, hi AS last_word,
+       array_to_string(list_sort(coalesce(base.labels, [])), ',') AS base_labels,
+       array_to_string(list_sort(list_distinct(coalesce(base.labels, []) || coalesce(best.labels, []))), ',') AS labels,
+       greatest(coalesce(share, 0.0), CASE WHEN n > 0 THEN 1.0 ELSE 0.0 END)::DOUBLE AS score
+FROM d LEFT JOIN base ON d.doc_id = base.doc_id LEFT JOIN best ON d.doc_id = best.doc_id"""
+
+
 ORACLE_SQL: dict[str, str] = {
+    "op2_license_scan": _license_sql(),
     "op3_line_dedup": f"""
 WITH lines AS (SELECT doc_id, i, l[i] AS line, trim(translate(l[i], 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), {_BLANK}) AS k
                FROM (SELECT doc_id, l, unnest(range(1, len(l) + 1)) AS i FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents))),
