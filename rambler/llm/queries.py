@@ -13,6 +13,7 @@ from .jaccard import jaccard_classes
 from .langid import identify
 from .licenses import license_labels
 from .linededup import dedup_lines
+from .lm import score_documents
 from .packing import pack_documents
 from .sharding import shard_by_bytes
 from .tokencount import count_tokens
@@ -49,6 +50,10 @@ def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(documents(spark, sf_dir), limit=512)
 
 
+def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_documents(documents(spark, sf_dir))
+
+
 def op9_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edited_fingerprints(documents(spark, sf_dir)).select("doc_id", "n_chars", F.sha2(F.col("edited_text").cast("binary"), 256).alias("edited_sha256"), "fingerprint", "edited_fingerprint", "near_edited", "near_next")
 
@@ -59,4 +64,4 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(pick(docs, "doc_id", "text"), docs.where(~held_out)).select("doc_id", held_out.alias("held_out"), "lang_pred", "score")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_packing, op2_license_scan, op3_line_dedup, op4_sharding, op5_jaccard_join, op6_decontamination, op7_token_counts, op9_fingerprints, op10_language_id)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_packing, op2_license_scan, op3_line_dedup, op4_sharding, op5_jaccard_join, op6_decontamination, op7_token_counts, op8_lm_scoring, op9_fingerprints, op10_language_id)}
