@@ -58,3 +58,164 @@ def _walk(name, graph, model, sampler="keys", steps=5, mode="superstep", oracle=
 
 _walk("walk_static_key", "g1", "static")
 _walk("walk_node2vec_w", "g1", "node2vec_w", mode="replicated")
+_walk("walk_node2vec_u", "g1", "node2vec_u")
+_walk("walk_metapath_w", "g2", "metapath_w", labels=True)
+_walk("walk_metapath_u", "g2", "metapath_u", mode="replicated", labels=True)
+_walk("walk_sorank_w", "g3", "sorank_w", mode="replicated", steps=3)
+_walk("walk_sorank_u", "g3", "sorank_u", steps=3)
+_walk("walk_node2vec_reject", "g1", "node2vec_w", "rejection_bound", steps=3)
+_walk("walk_node2vec_adaptive", "g1", "node2vec_w", "adaptive", steps=3)
+_walk("walk_node2vec_adaptive_replicated", "g1", "node2vec_w", "adaptive", mode="replicated")
+_walk("walk_its", "g9", "node2vec_w", "inverse")
+_walk("walk_its_replicated", "g3", "static", "inverse", mode="replicated", steps=3)
+_walk("walk_reservoir_prefix", "g9", "node2vec_w", "prefix")
+_walk("walk_reservoir_prefix_replicated", "g9", "node2vec_w", "prefix", mode="replicated")
+_walk("walk_alias", "g9", "node2vec_w", "alias", oracle=False)
+_walk("walk_jump", "g2", "node2vec_w", "jump", steps=3, oracle=False)
+_walk("walk_jump_replicated", "g2", "node2vec_w", "jump", steps=3, mode="replicated", oracle=False)
+_walk("walk_int8", "g1", "node2vec_w", mode="replicated", weights="int8")
+_walk("walk_typed_star", "g10", "metapath_u", starts=lambda s, d, g: table(s, d, "region").select((F.col("r_regionkey").cast("long") + (6 << 40)).alias("start")), starts_sql=f"SELECT r_regionkey::BIGINT + {O.T['REGION']} AS start FROM region")
+_walk("walk_custom_program", "g1", "brand", mode="replicated")
+_walk("walk_power_law_graph", "g5", "node2vec_w", mode="replicated")
+
+
+# Single steps -----------------------------------------------------------------------------------------------------------
+def second_states(g, model, seed: int = 42) -> DataFrame:
+    """Walkers after a first step by keys from every node: (walk_id, step 1, prev, cur)."""
+    start = g.node_stats.select(F.col("src").alias("walk_id"), F.lit(0).alias("step"), F.lit(None).cast("long").alias("prev"), F.col("src").alias("cur"))
+    moved = start.join(S.key_step(start, g, model, seed), "walk_id")
+    return settle(moved.select("walk_id", F.lit(1).alias("step"), F.col("cur").alias("prev"), F.col("next").alias("cur")))
+
+
+def _step(name, graph, model, sampler, oracle=True, **options):
+    @query(name, O.step(graph, model, sampler) if oracle else None)
+    def run(spark, d):
+        g = load_graph(spark, d, graph).stored()
+        return S.STEPS[sampler](second_states(g, MODELS[model]), g, MODELS[model], 42, **options).select("walk_id", "next")
+
+
+_step("step_reservoir_key", "g1", "node2vec_w", "keys")
+_step("step_reservoir_prefix", "g3", "node2vec_w", "prefix")
+_step("step_its", "g3", "node2vec_w", "inverse")
+_step("step_reject_bound", "g3", "node2vec_w", "rejection_bound")
+_step("step_reject_constant_bound", "g3", "node2vec_u", "rejection_bound")
+_step("step_reject_exact", "g3", "node2vec_w", "rejection_exact")
+_step("step_adaptive", "g3", "node2vec_w", "adaptive")
+_step("step_alias", "g3", "node2vec_w", "alias", oracle=False)
+_step("step_reservoir_jump", "g4", "node2vec_w", "jump", oracle=False)
+for _kind, _options in {"random": {}, "degree": {"threshold": 100}, "rejection": {}, "reservoir": {}, "exact": {}}.items():
+    _step(f"step_select_{_kind}", "g4", "node2vec_w", "adaptive", oracle=False, kind=_kind, **_options)
+
+
+# Exact laws, bounds, estimates and selection ----------------------------------------------------------------------------
+def all_states(g) -> DataFrame:
+    """Every (prev, cur) that a walker can be in at its second step."""
+    return g.edges.select(F.col("src").alias("prev"), F.col("dst").alias("cur")).distinct().withColumn("step", F.lit(1))
+
+
+for _name, _graph, _model in (("exact_probs_g9_static", "g9", "static"), ("exact_probs_g9_node2vec", "g9", "node2vec_w"), ("exact_probs_g9_node2vec_u", "g9", "node2vec_u"), ("exact_probs_g9_sorank", "g9", "sorank_w"), ("exact_probs_g10_metapath", "g10", "metapath_w")):
+    _sql = f"""WITH {O.with_graph(_graph)}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', _model)}) SELECT prev, cur, step, dst, round(w, 6) AS w, round(w / sum(w) OVER (PARTITION BY prev, cur), 6) AS p FROM c WHERE w > 0"""
+    query(_name, _sql)(lambda s, d, g=_graph, m=_model: (lambda graph: S.transition_probabilities(graph, MODELS[m], all_states(graph)))(load_graph(s, d, g).stored()).select("prev", "cur", "step", "dst", F.round("w", 6).alias("w"), F.round("p", 6).alias("p")))
+
+
+def node_estimates(g, model) -> DataFrame:
+    """A row for each node (as a walker's first step sees it): its statistics, bound and sum estimate."""
+    a = model.analysis
+    stats = g.node_stats.withColumnRenamed("deg", "deg_cur").withColumn("deg_prev", F.lit(None).cast("long"))
+    return stats.withColumn("bound", F.expr(a.bound_sql)).withColumn("est_sum", F.expr(a.sum_sql))
+
+
+_STATS = "WITH e AS MATERIALIZED ({e}), g AS ({s})"
+
+
+def _stats_sql(graph, **how):
+    return _STATS.format(e=O.edges(graph, **how), s=O.stats("SELECT * FROM e"))
+
+
+query("node_stats", f"{_stats_sql('g1')} SELECT src, deg, round(h_max, 6) AS h_max, round(h_min, 6) AS h_min, round(h_sum, 6) AS h_sum FROM g")(
+    lambda s, d: load_graph(s, d, "g1").node_stats.select("src", "deg", *[F.round(c, 6).alias(c) for c in ("h_max", "h_min", "h_sum")]))
+query("label_stats", f"WITH e AS ({O.edges('g10')}) SELECT src, label, count(*) AS n, max(h) AS h_max, sum(h) AS h_sum FROM e GROUP BY src, label")(lambda s, d: load_graph(s, d, "g10").label_stats)
+query("degree_histogram", f"{_stats_sql('g5')} SELECT CAST(floor(log2(deg)) AS BIGINT) AS bin, count(*) AS n FROM g GROUP BY 1")(
+    lambda s, d: load_graph(s, d, "g5").node_stats.groupBy(F.floor(F.log2("deg")).alias("bin")).agg(F.count("*").alias("n")))
+query("weight_bounds", f"{_stats_sql('g1')} SELECT src, round(2 * h_max, 6) AS bound FROM g")(lambda s, d: node_estimates(load_graph(s, d, "g1"), MODELS["node2vec_w"]).select("src", F.round("bound", 6).alias("bound")))
+query("weight_sum_estimates", f"{_stats_sql('g1')} SELECT src, round({O.TOTAL['node2vec_w']}, 6) AS est_sum FROM g")(lambda s, d: node_estimates(load_graph(s, d, "g1"), MODELS["node2vec_w"]).select("src", F.round("est_sum", 6).alias("est_sum")))
+for _kind, _test in (("choice", f"2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']}"), ("degree", "deg >= 100")):
+    query(f"selector_{_kind}", f"{_stats_sql('g4')} SELECT src, {_test} AS rejects FROM g")(
+        lambda s, d, k=_kind: node_estimates(load_graph(s, d, "g4"), MODELS["node2vec_w"]).withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection({"choice": "cost"}.get(k, k), MODELS["node2vec_w"], 42, 2.0, 100).alias("rejects")))
+query("selector_random", f"{_stats_sql('g4')} SELECT src, {O.rng.duck_uniform(42, 'src', '0', O.rng.COIN, '0')} < 0.5 AS rejects FROM g")(
+    lambda s, d: load_graph(s, d, "g4").node_stats.withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection("random", MODELS["node2vec_w"], 42).alias("rejects")))
+_TRUE = "SELECT src, deg, max({w}) AS top, sum({w}) AS whole FROM e JOIN g USING (src) GROUP BY src, deg"
+query("expected_trials_exact", f"{_stats_sql('g5')} SELECT src, round(deg * h_max / h_sum, 6) AS trials FROM g")(lambda s, d: load_graph(s, d, "g5").node_stats.select("src", F.round(F.col("deg") * F.col("h_max") / F.col("h_sum"), 6).alias("trials")))
+query("expected_trials_bound", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', 'node2vec_w')}) SELECT prev, cur, round(any_value(deg) * 2 * any_value(h_max) / sum(w), 6) AS trials, round(2 * any_value(h_max) / max(w), 6) AS looseness FROM c JOIN g ON cur = src GROUP BY prev, cur""")
+def expected_trials_bound(spark, d):
+    """Expected trials under the derived bound, and how far it exceeds the true maximum."""
+    g = load_graph(spark, d, "g9").stored()
+    model = MODELS["node2vec_w"]
+    true = S.transition_probabilities(g, model, all_states(g)).groupBy("prev", "cur").agg(F.max("w").alias("top"), F.sum("w").alias("whole"))
+    both = S.attach_stats(true, g, True).withColumn("bound", F.expr(model.analysis.bound_sql))
+    return both.select("prev", "cur", F.round(F.col("deg_cur") * F.col("bound") / F.col("whole"), 6).alias("trials"), F.round(F.col("bound") / F.col("top"), 6).alias("looseness"))
+
+
+@query("estimate_quality", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', 'node2vec_w')}), t AS (SELECT prev, cur, max(w) AS top, sum(w) AS whole FROM c GROUP BY prev, cur)
+SELECT prev, cur, round({O.TOTAL['node2vec_w']} / whole, 6) AS sum_ratio, round(2 * h_max / top, 6) AS bound_ratio, (2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']}) <> (2.0 * top < whole) AS regret FROM t JOIN g ON cur = src""")
+def estimate_quality(spark, d):
+    """Estimates against the truth, and whether the cost rule decides otherwise than hindsight would."""
+    g = load_graph(spark, d, "g9").stored()
+    model = MODELS["node2vec_w"]
+    true = S.transition_probabilities(g, model, all_states(g)).groupBy("prev", "cur").agg(F.max("w").alias("top"), F.sum("w").alias("whole"))
+    both = S.attach_stats(true, g, True).withColumn("bound", F.expr(model.analysis.bound_sql)).withColumn("est", F.expr(model.analysis.sum_sql))
+    regret = (2.0 * F.col("bound") < F.col("est")) != (2.0 * F.col("top") < F.col("whole"))
+    return both.select("prev", "cur", F.round(F.col("est") / F.col("whole"), 6).alias("sum_ratio"), F.round(F.col("bound") / F.col("top"), 6).alias("bound_ratio"), regret.alias("regret"))
+
+
+ALPHAS = (1.0, 1.5, 2.0, 2.5, 3.0, 4.0)
+query("selection_ratio_alpha", " UNION ALL ".join(f"SELECT {a}::DOUBLE AS alpha, rejects, count(*) AS n FROM ({_stats_sql('g1', weights='pareto', alpha=a)} SELECT 2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']} AS rejects FROM g) GROUP BY rejects" for a in ALPHAS))(
+    lambda s, d: selection_ratio(s, d))
+
+
+def selection_ratio(spark, d, graph: str = "g1", ratio: float = 2.0) -> DataFrame:
+    """How many nodes take which sampler, for each shape of power-law weights."""
+    base = load_graph(spark, d, graph).stored()
+    from rambler.sources.catalog import apply_weights
+
+    parts = [node_estimates(apply_weights(base, "pareto", a), MODELS["node2vec_w"]).select(F.lit(a).alias("alpha"), (ratio * F.col("bound") < F.col("est_sum")).alias("rejects")) for a in ALPHAS]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out.groupBy("alpha", "rejects").agg(F.count("*").alias("n"))
+
+
+for _scheme, _alpha in (("uniform", None), ("pareto", 1.5), ("degree", None), ("int8", None)):
+    query(f"ws_{_scheme}", f"SELECT src, dst, round(h, 6) AS h FROM ({O.edges('g3', _scheme, _alpha)})")(lambda s, d, w=_scheme, a=_alpha: load_graph(s, d, "g3", w, a).edges.select("src", "dst", F.round("h", 6).alias("h")))
+query("ws_label", f"SELECT src, dst, label FROM ({O.edges('g3', labels=True)})")(lambda s, d: load_graph(s, d, "g3", labels=True).edges.select("src", "dst", "label"))
+
+
+@query("weight_cv_hist", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', 'sorank_w')}), t AS (SELECT prev, cur, sum(w) AS whole FROM c GROUP BY prev, cur)
+SELECT CAST(floor(cv / 5) AS BIGINT) AS bin, count(*) AS n FROM (SELECT cur, 100 * stddev_pop(whole) / avg(whole) AS cv FROM t GROUP BY cur) GROUP BY 1""")
+def weight_cv_hist(spark, d):
+    """Variation of a node's weight sum over the states it can be met in, in bins of 5 per cent."""
+    g = load_graph(spark, d, "g9").stored()
+    whole = S.candidates(all_states(g), g, MODELS["sorank_w"]).groupBy("prev", "cur").agg(F.sum("w").alias("whole"))
+    cv = whole.groupBy("cur").agg((100 * F.stddev_pop("whole") / F.avg("whole")).alias("cv"))
+    return cv.groupBy(F.floor(F.col("cv") / 5).alias("bin")).agg(F.count("*").alias("n"))
+
+
+@query("program_analysis", None)
+def program_analysis(spark, d):
+    """Branches of all models as the analyzer sees them."""
+    rows = [(m.name, m.weighted, *b, m.analysis.flag, m.analysis.bound_sql, m.analysis.sum_sql) for m in MODELS.values() for b in m.analysis.rows()]
+    return spark.createDataFrame(rows, "program string, weighted boolean, branch_id int, guard string, value string, deps array<string>, flag string, program_flag string, bound string, sum string")
+
+
+@query("edge_index", f"SELECT src, idx, dst FROM ({O.edges('g3')})")
+def edge_index(spark, d):
+    return load_graph(spark, d, "g3").edges.select("src", "idx", "dst")
+
+
+@query("adj_chunks", f"SELECT src, CAST(idx // 64 AS INTEGER) AS chunk, count(*) AS n, string_agg(dst, ',' ORDER BY idx) AS dsts FROM ({O.edges('g3')}) GROUP BY 1, 2")
+def adj_chunks(spark, d):
+    return adjacency_chunks(load_graph(spark, d, "g3").edges, 64).select("src", "chunk", F.size("dst").cast("long").alias("n"), F.array_join(F.transform("dst", lambda x: x.cast("string")), ",").alias("dsts"))
