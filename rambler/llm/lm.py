@@ -21,7 +21,7 @@ from .shingles import word_hashes
 #: Three-byte contexts with a table of their own (the most frequent); the others under the same two bytes share one.
 MAX_CONTEXTS = 32_768
 #: Words whose counts all tasks are given (the most frequent); the others' counts are joined.
-HEAD_WORDS = 500_000
+HEAD_WORDS = 100_000
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
 END_KEY = -1
 CHUNK = 4_000_000
@@ -217,8 +217,8 @@ def score_documents(docs: DataFrame, max_contexts: int = MAX_CONTEXTS, head_word
     counts = gathered.where("kind = 0").select("key", "n")
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     divisor = float(np.log10(total + 0.1 * (distinct + 1)))
-    head = counts.orderBy(F.desc("n"), "key").limit(head_words).toPandas().sort_values("key")
-    shared = spark.sparkContext.broadcast((head["key"].to_numpy(np.int64), head["n"].to_numpy(np.int64), *train_bytes(gathered.where("kind = 1").select("key", "n"), max_contexts)))
+    head = counts.orderBy(F.desc("n"), "key").limit(head_words).toArrow().sort_by("key")
+    shared = spark.sparkContext.broadcast((head.column("key").to_numpy(), head.column("n").to_numpy(), *train_bytes(gathered.where("kind = 1").select("key", "n"), max_contexts)))
     token = uuid.uuid4().hex
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
