@@ -22,8 +22,8 @@ from .components import components
 from .decontam import small
 from .shingles import mix, shingle_sets
 
-#: Least hashes kept of a set for the first round; shingles in more sets than COMMON stand last in the order of the prefixes.
-LEAST, COMMON = 8, 64
+#: Least hashes kept of a set for the first rounds; shingles in more sets than COMMON stand last in the order of the prefixes, by count; first rounds.
+LEAST, COMMON, ROUNDS = 16, 8, 1
 #: Common shingles that tasks are given at most; with more, only the commonest count as common. The order may be any: the join stays exact.
 COMMON_KEYS = 8_000_000
 NO_ID = 2**63 - 1
@@ -36,15 +36,17 @@ def _node(own: np.ndarray) -> int:
         return int(mix(np.array([turned.sum() + np.uint64(len(own))], np.uint64)).view(np.int64)[0])
 
 
-def _summaries(k: int):
+def _summaries(k: int, common, token: str):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            nodes, sizes, least = [], [], []
+            nodes, sizes, ranks, least = [], [], [], []
             for own in shingle_sets(byte_texts(batch.column(1)), k):
                 nodes.append(_node(own) if len(own) else None)
                 sizes.append(len(own))
+                low = own[: -(-35 * len(own) // 100)]
+                ranks.append(1000 * int(_late(low, *_known(common, token))[0].sum()) // max(1, len(low)))
                 least.append(own[:LEAST].view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(least, pa.list_(pa.int64()))], ["doc_id", "node", "n", "least"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(ranks, pa.int64()), pa.array(least, pa.list_(pa.int64()))], ["doc_id", "node", "n", "rank", "least"])
 
     return run
 
@@ -88,8 +90,11 @@ def _verified(docs: DataFrame, nodes: DataFrame, pairs: DataFrame, k: int, perce
     return dealt.mapInArrow(_compare(k, percent), "a long, b long")
 
 
-def _common_counts(k: int, buckets: int):
-    """Counts of the lower 35 % of each set's hashes, as sorted blobs by bucket (48 bits of each hash)."""
+def _common_counts(k: int, buckets: int, common=None, token: str = ""):
+    """Counts of the lower 35 % of each set's hashes, as sorted blobs by bucket (48 bits of each hash).
+
+    Given what is common among those: counts of the other hashes, in the sets of which a tenth is common. Only such sets have
+    prefixes that reach far into what they share with many."""
 
     def blobs(parts: list[np.ndarray]):
         keys, n = np.unique(np.concatenate(parts) >> np.uint64(16), return_counts=True)
@@ -103,8 +108,13 @@ def _common_counts(k: int, buckets: int):
         for batch in batches:
             for own in shingle_sets(byte_texts(batch.column(0)), k):
                 if len(own):
-                    held.append(own[: -(-35 * len(own) // 100)])
-                    size += len(held[-1])
+                    cut = -(-35 * len(own) // 100)
+                    part = own[:cut]
+                    if common is not None:
+                        part = own[cut:] if 10 * _late(own[:cut], *_known(common, token))[0].sum() >= cut else own[:0]
+                    if len(part):
+                        held.append(part)
+                        size += len(part)
                 if size > 2_000_000:
                     yield blobs(held)
                     held, size = [], 0
@@ -114,6 +124,27 @@ def _common_counts(k: int, buckets: int):
     return run
 
 
+_COMMON: dict[str, tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _known(common, token: str) -> tuple[np.ndarray, np.ndarray]:
+    """The broadcast common shingles and their counts, once in each worker."""
+    if token not in _COMMON:
+        _COMMON.clear()
+        _COMMON[token] = common.value
+    return _COMMON[token]
+
+
+def _late(own: np.ndarray, often: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which hashes are common, and the counts of those."""
+    if not len(often):
+        return np.zeros(len(own), bool), times
+    short = (own >> np.uint64(16)).astype(np.int64)
+    at = np.minimum(np.searchsorted(often, short), len(often) - 1)
+    late = often[at] == short
+    return late, times[at[late]]
+
+
 def _wide(raw: bytes, width: int) -> np.ndarray:
     out = np.zeros((len(raw) // width, 8), np.uint8)
     out[:, :width] = np.frombuffer(raw, np.uint8).reshape(-1, width)
@@ -156,21 +187,16 @@ def _postings(k: int, percent: int, buckets: int, common, token: str):
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 6))], names)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if token not in _COMMON:
-            _COMMON.clear()
-            _COMMON[token] = np.sort(common.value)
-        often = _COMMON[token]
+        often, times = _known(common, token)
         held, size = ([], [], [], []), 0
         for batch in batches:
             for own, node, comp in zip(shingle_sets(byte_texts(batch.column(0)), k), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 if not len(own) or _node(own) != node:
                     continue  # a row that shares its id with the node's
                 need = len(own) - -(-percent * len(own) // 100) + 1
-                if len(often):
-                    short = (own >> np.uint64(16)).astype(np.int64)
-                    at = np.minimum(np.searchsorted(often, short), len(often) - 1)
-                    late = often[at] == short
-                    own = np.concatenate([own[~late], own[late]])
+                late, counts = _late(own, often, times)
+                if len(counts) and late.any():
+                    own = np.concatenate([own[~late], own[late][np.argsort(counts, kind="stable")]])
                 for x, y in zip(held, (own[:need], node, comp, len(own))):
                     x.append(y)
                 size += need
@@ -183,9 +209,6 @@ def _postings(k: int, percent: int, buckets: int, common, token: str):
     return run
 
 
-_COMMON: dict[str, np.ndarray] = {}
-
-
 def _candidates(percent: int):
     def run(key, table):
         columns = ([], [], [], [], [])
@@ -246,28 +269,48 @@ def jaccard_classes(docs: DataFrame, k: int = 5, percent: int = 75) -> DataFrame
     bits of a hash, shingles too.
     """
     spark = docs.sparkSession
-    sets = written(pick(docs, "doc_id", "text").mapInArrow(_summaries(k), "doc_id long, node long, n long, least array<long>"))
-    nodes = written(sets.where("node is not null").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("rep"), F.first("n").alias("n"), F.first("least").alias("least")))
-
-    # First round: the partner of a node is the least node among those of its size class with which it shares most of its least hashes.
-    lists = nodes.select("node", F.floor(F.log(100 / percent, F.col("n"))).alias("band"), F.explode("least").alias("h"))
-    heads = lists.groupBy("h", "band").agg(F.min("node").alias("a"), F.count("*").alias("m")).where("m > 1")
-    votes = lists.join(heads, ["h", "band"]).where("a <> node").groupBy("node", "a").agg(F.count("*").alias("v"))
-    best = votes.groupBy("node").agg(F.max(F.struct("v", "a")).alias("x")).select(F.col("x.a").alias("a"), F.col("node").alias("b"))
-    links = written(_verified(docs, nodes, written(best), k, percent))
-    classes = written(components(links))
+    token = uuid.uuid4().hex
+    buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    blobs, texts = "bucket int, keys binary, n binary", pick(docs, "text")
+
+    def commonest(counts):
+        """(stored counts, what is broadcast of them)."""
+        floor = COMMON
+        while counts.where(F.col("n") > floor).count() > COMMON_KEYS:
+            floor *= 4
+        table = counts.where(F.col("n") > floor).orderBy("key").toArrow()
+        return spark.sparkContext.broadcast((table.column("key").to_numpy(), table.column("n").to_numpy()))
+
+    low = written(texts.mapInArrow(_common_counts(k, buckets), blobs).groupBy("bucket").applyInArrow(_commonest, "key long, n long"))
+    often = commonest(low)
+    sets = written(pick(docs, "doc_id", "text").mapInArrow(_summaries(k, often, f"{token}-low"), "doc_id long, node long, n long, rank long, least array<long>"))
+    nodes = written(sets.where("node is not null").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("rep"), F.first("n").alias("n"), F.first("rank").alias("rank"), F.first("least").alias("least")))
+
+    # Likely partners: in each list of a least hash, one head is compared with those that aren't in its class yet. The head is the
+    # member with the largest share of common shingles, as the source of many edited copies is; a member asks the head it meets most often.
+    lists = nodes.select("node", "n", "rank", F.explode("least").alias("h"))
+    lengths = lists.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h")
+    shared = written(lists.join(lengths, "h"))
+    links = tried = classes = None
+    for r in range(ROUNDS):
+        named = shared.withColumn("comp", F.col("node")) if classes is None else shared.join(classes, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+        named = named.withColumn("band", F.floor(F.log(100 / percent, F.col("n")) + r / 2))
+        heads = named.groupBy("h", "band").agg(F.max(F.struct("rank", (-F.col("node")).alias("back"), "node", "comp")).alias("x"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("h", "band", F.col("x.node").alias("a"), F.col("x.comp").alias("c"))
+        votes = named.join(heads, ["h", "band"]).where("comp <> c").groupBy("node", "a").agg(F.count("*").alias("v"))
+        if tried is not None:
+            votes = votes.join(tried.select("a", F.col("b").alias("node")), ["a", "node"], "left_anti")
+        best = written(votes.groupBy("node").agg(F.max(F.struct("v", "a")).alias("x")).select(F.col("x.a").alias("a"), F.col("node").alias("b")))
+        found = written(_verified(docs, nodes, best, k, percent))
+        links = found if links is None else links.unionByName(found)
+        tried = best if tried is None else tried.unionByName(best)
+        classes = written(components(links))
 
     # Exact round over nodes of different classes.
-    buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    counted = pick(docs, "text").mapInArrow(_common_counts(k, buckets), "bucket int, keys binary, n binary").groupBy("bucket").applyInArrow(_commonest, "key long, n long")
-    often = written(counted)
-    floor = COMMON
-    while often.where(F.col("n") > floor).count() > COMMON_KEYS:
-        floor *= 4
-    common = spark.sparkContext.broadcast(np.array([r.key for r in often.where(F.col("n") > floor).select("key").toLocalIterator()], np.int64))
+    more_counts = texts.mapInArrow(_common_counts(k, buckets, often, f"{token}-low"), blobs).groupBy("bucket").applyInArrow(_commonest, "key long, n long")
+    common = commonest(written(low.unionByName(more_counts).groupBy("key").agg(F.sum("n").alias("n"))))
     labelled = written(nodes.join(classes, "node", "left").select("rep", "node", F.coalesce("comp", "node").alias("comp")))
-    texts = pick(docs, "doc_id", "text").select(F.coalesce("doc_id", F.lit(NO_ID)).cast("long").alias("rep"), "text")
-    posted = texts.join(small(labelled, 64), "rep").select("text", "node", "comp").mapInArrow(_postings(k, percent, buckets, common, uuid.uuid4().hex), _POST)
+    whole = pick(docs, "doc_id", "text").select(F.coalesce("doc_id", F.lit(NO_ID)).cast("long").alias("rep"), "text")
+    posted = whole.join(small(labelled, 64), "rep").select("text", "node", "comp").mapInArrow(_postings(k, percent, buckets, common, token), _POST)
     pairs = written(posted.groupBy("bucket").applyInArrow(_candidates(percent), "a long, b long").distinct())
     more = written(_verified(docs, nodes, pairs, k, percent))
     final = components(links.union(more))
@@ -275,4 +318,4 @@ def jaccard_classes(docs: DataFrame, k: int = 5, percent: int = 75) -> DataFrame
     member = nodes.join(final, "node", "left").select("node", "rep", F.coalesce("comp", "node").alias("comp"))
     least = member.groupBy("comp").agg(F.min("rep").alias("least"))
     named = member.join(least, "comp").select("node", "least")
-    return sets.drop("least").join(named, "node", "left").select("doc_id", F.col("n").alias("n_shingles"), F.nullif(F.coalesce("least", "doc_id"), F.lit(NO_ID)).alias("component_id"))
+    return sets.drop("least", "rank").join(named, "node", "left").select("doc_id", F.col("n").alias("n_shingles"), F.nullif(F.coalesce("least", "doc_id"), F.lit(NO_ID)).alias("component_id"))
