@@ -81,6 +81,8 @@ def pick(state: str, model: str, sampler: str = "keys", seed: int = 42, ratio: f
     """(walk_id, cur, next): the step's choice for every walker of `state`."""
     c = candidates(state, model)
     key = f"-ln({rng.duck_uniform(seed, 'walk_id', 'step', rng.KEY, 'idx')}) / w"
+    if sampler in ("rejection_bound", "rejection_exact", "adaptive"):
+        key = f"-ln({rng.duck_uniform(seed, 'c.walk_id', 'step', rng.KEY, 'idx')}) / w"
     if sampler == "keys":
         return f"SELECT walk_id, cur, arg_min(dst, {key}) AS next FROM ({c}) WHERE w > 0 GROUP BY walk_id, cur"
     if sampler == "prefix":
@@ -93,12 +95,13 @@ def pick(state: str, model: str, sampler: str = "keys", seed: int = 42, ratio: f
     slot, height = rng.duck_uniform(seed, "walk_id", "step", rng.SLOT, "t"), rng.duck_uniform(seed, "walk_id", "step", rng.HEIGHT, "t")
     chosen = {"rejection_bound": "true", "rejection_exact": "true", "adaptive": f"{ratio} * ({BOUND[model]}) < {TOTAL[model]}"}[sampler]
     bound = "top" if sampler == "rejection_exact" else BOUND[model]
-    return f"""SELECT walk_id, cur, coalesce(arg_min(dst, first) FILTER (WHERE first IS NOT NULL), arg_min(dst, k)) AS next FROM (
-  SELECT walk_id, cur, dst, {key} AS k, CASE WHEN {chosen} THEN (SELECT min(t) FROM unnest(trials) x(r) CROSS JOIN LATERAL (SELECT r.t AS t) WHERE r.i = idx AND r.v * ({bound}) < w) END AS first
-  FROM (SELECT c.*, deg, h_max, h_sum, max(w) OVER (PARTITION BY walk_id) AS top,
-          list_transform(range(32), lambda t: {{'t': t, 'i': least(floor({slot} * deg), deg - 1)::INTEGER, 'v': {height}}}) AS trials
-        FROM ({c}) c JOIN g ON c.cur = g.src)
-  WHERE w > 0) GROUP BY walk_id, cur"""
+    return f"""SELECT walk_id, cur, coalesce(arg_min(dst, t), arg_min(dst, k)) AS next FROM (
+  SELECT c.walk_id, c.cur, c.dst, c.idx, any_value({key}) AS k, min(CASE WHEN v * ({bound}) < w THEN t END) AS t
+  FROM (SELECT *, max(w) OVER (PARTITION BY walk_id) AS top FROM ({c}) WHERE w > 0) c
+  LEFT JOIN (SELECT walk_id, t, h_max, h_sum, deg, least(floor({slot} * deg), deg - 1)::INTEGER AS i, {height} AS v
+             FROM (SELECT walk_id, step, deg, h_max, h_sum, unnest(range(32)) AS t FROM {state} JOIN g ON cur = src) WHERE {chosen}) r
+    ON c.walk_id = r.walk_id AND c.idx = r.i
+  GROUP BY c.walk_id, c.cur, c.dst, c.idx) GROUP BY walk_id, cur"""
 
 
 def step(name: str, model: str, sampler: str, prev: bool = True, seed: int = 42, **how) -> str:
