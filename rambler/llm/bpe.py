@@ -8,12 +8,13 @@ space (runs, tabs, no-break spaces ...) take the plain path over the whole text.
 from __future__ import annotations
 
 import json
-from functools import lru_cache
 from itertools import chain
 
 import numpy as np
 import regex
 
+from .common import per_worker
+
 #: Fixed values of the public vocabulary: its pre-token pattern and the string of its special token.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 SPECIAL = "<|endoftext|>"
@@ -115,7 +116,6 @@ class Bpe:
         return out
 
 
-@lru_cache(maxsize=4)
 def load(path: str) -> Bpe:
-    """One per worker process and vocabulary."""
-    return Bpe(path)
+    """One for each worker process, of the latest vocabulary."""
+    return per_worker(f"bpe {path}", lambda: Bpe(path))

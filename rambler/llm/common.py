@@ -49,3 +49,14 @@ def byte_texts(column: pa.Array | pa.ChunkedArray) -> list[bytes]:
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
+
+
+_HELD: dict[str, object] = {}
+
+
+def per_worker(token: str, build):
+    """What `build` makes, once for each token in a worker process. Workers serve many stages: only the latest token's object is kept."""
+    if token not in _HELD:
+        _HELD.clear()
+        _HELD[token] = build()
+    return _HELD[token]

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, pick, written
+from .common import byte_texts, per_worker, pick, written
 from .components import components
 from .decontam import small
 from .shingles import mix, shingle_sets
@@ -124,15 +124,9 @@ def _common_counts(k: int, buckets: int, common=None, token: str = ""):
     return run
 
 
-_COMMON: dict[str, tuple[np.ndarray, np.ndarray]] = {}
-
-
 def _known(common, token: str) -> tuple[np.ndarray, np.ndarray]:
     """The broadcast common shingles and their counts, once in each worker."""
-    if token not in _COMMON:
-        _COMMON.clear()
-        _COMMON[token] = common.value
-    return _COMMON[token]
+    return per_worker(token, lambda: common.value)
 
 
 def _late(own: np.ndarray, often: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

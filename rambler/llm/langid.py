@@ -17,12 +17,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, pick
+from .common import byte_texts, per_worker, pick
 
 UNKNOWN = "und"
 #: Longest piece and longest stretch of letters scored at once; longer words are scored in stretches.
 PIECE_CHARS, WORD_CHARS = 8, 24
-CACHE_ENTRIES = 600_000
+CACHE_ENTRIES = 400_000
 _LETTERS = bytes(b if b >= 128 or 65 <= b <= 90 or 97 <= b <= 122 else 32 for b in range(256))
 _RUNS = regex.compile(r"\p{L}+").findall
 
@@ -207,9 +207,6 @@ class Scorer:
         return out
 
 
-_SCORERS: dict[str, Scorer] = {}
-
-
 def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample_docs: int = 500, sample_words: int = 40_000) -> DataFrame:
     """All columns of `docs` with lang_pred and score (0 to 1, the winner's share of the tempered posterior) added.
 
@@ -227,9 +224,7 @@ def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample
     fields = ", ".join(f"_{i} {t}" for i, (_, t) in enumerate(docs.dtypes))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if (scorer := _SCORERS.get(token)) is None:
-            _SCORERS.clear()
-            scorer = _SCORERS[token] = Scorer(*model.value)
+        scorer = per_worker(token, lambda: Scorer(*model.value))
         for batch in batches:
             sums = scorer.score(byte_texts(batch.column(at)))
             letters, logs = sums[:, -1], sums[:, :-1]

@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import byte_texts, pick, written
+from .common import byte_texts, per_worker, pick, written
 
 BLANKS = b" \t\n\x0b\x0c\r"
 #: Droppable keys that are broadcast at most (16 bytes each, and 2 to 4 in the filters); with more, lines meet them in a join.
@@ -179,9 +179,6 @@ class LineStore:
         return drop_lines(docs, self.droppable(), broadcast_keys)
 
 
-_BUILT: dict[str, ShardedFilter] = {}
-
-
 def drop_lines(docs: DataFrame, keys: DataFrame, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
     """`docs` with their lines of the given keys (h1, h2) left out: column text replaced, n_lines and n_dropped added.
 
@@ -210,10 +207,7 @@ def drop_lines(docs: DataFrame, keys: DataFrame, broadcast_keys: int = BROADCAST
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if few:
-            # Python workers are reused: the filters are built once in each.
-            if (shard := _BUILT.get(token)) is None:
-                _BUILT.clear()
-                shard = _BUILT[token] = ShardedFilter(shared.value)
+            shard = per_worker(token, lambda: ShardedFilter(shared.value))
         for batch in batches:
             parts = [line_hashes(raw) for raw in byte_texts(batch.column(at))]
             if few:

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, pick, written
+from .common import byte_texts, per_worker, pick, written
 from .shingles import word_hashes
 
 #: Three-byte contexts with a table of their own (the most frequent); the others under the same two bytes share one.
@@ -24,7 +24,7 @@ MAX_CONTEXTS = 32_768
 HEAD_WORDS = 100_000
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
 END_KEY = -1
-CHUNK = 4_000_000
+CHUNK = 1_000_000
 OTHER, UNSEEN2, ROOT = 1 << 24, 1 << 25, 1 << 26
 _BYTES = np.arange(256)
 
@@ -199,9 +199,6 @@ def train_bytes(counts: DataFrame, max_contexts: int = MAX_CONTEXTS) -> tuple[np
     return contexts, values, [(r.context & 255, np.frombuffer(r["values"], "<f8"), np.frombuffer(r["counts"], "<i8")) for r in rows if r.counts is not None]
 
 
-_MODELS: dict[str, tuple] = {}
-
-
 def score_documents(docs: DataFrame, max_contexts: int = MAX_CONTEXTS, head_words: int = HEAD_WORDS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of each row.
 
@@ -222,11 +219,11 @@ def score_documents(docs: DataFrame, max_contexts: int = MAX_CONTEXTS, head_word
     token = uuid.uuid4().hex
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if token not in _MODELS:
-            _MODELS.clear()
+        def build():
             key, n, *model = shared.value
-            _MODELS[token] = (np.append(key, 2**63 - 1), np.append(n, 0), np.append(np.log10(n + 0.1), 0.0), ByteModel(*model))
-        key, n, logs, model = _MODELS[token]
+            return np.append(key, 2**63 - 1), np.append(n, 0), np.append(np.log10(n + 0.1), 0.0), ByteModel(*model)
+
+        key, n, logs, model = per_worker(token, build)
         for batch in batches:
             at = 0
             for raws in chunks(byte_texts(batch.column(2))):

@@ -47,7 +47,7 @@ def shingle_sets(raws: list[bytes], k: int = 5) -> Iterator[np.ndarray]:
     at = 0
     while at < len(raws):
         end, size = at, 0
-        while end < len(raws) and (end == at or size + len(raws[end]) < 4_000_000):
+        while end < len(raws) and (end == at or size + len(raws[end]) < 1_000_000):
             size += len(raws[end]) + 1
             end += 1
         words, bounds = word_hashes(raws[at:end])

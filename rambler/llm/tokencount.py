@@ -15,14 +15,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import bpe
-from .common import byte_texts, pick
+from .common import byte_texts, per_worker, pick
 
 
 class PrefixCounter:
     """Counts for prefixes of texts. A worker keeps one for each vocabulary."""
 
     def __init__(self, path: str):
-        self.bpe = bpe.load(path)
+        self.bpe = bpe.Bpe(path)
         self.width = max(map(len, self.bpe.ranks))
         self._stable: dict[tuple[int, int], bool] = {}
         self._totals: dict[bytes, int] = {}
@@ -112,13 +112,8 @@ class PrefixCounter:
         return first + sum(found)
 
 
-_COUNTERS: dict[str, PrefixCounter] = {}
-
-
 def counter(path: str) -> PrefixCounter:
-    if path not in _COUNTERS:
-        _COUNTERS[path] = PrefixCounter(path)
-    return _COUNTERS[path]
+    return per_worker(f"counter {path}", lambda: PrefixCounter(path))
 
 
 def count_tokens(docs: DataFrame, limit: int = 512, vocab: str | None = None) -> DataFrame:
