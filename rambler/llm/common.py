@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
 
@@ -54,9 +55,17 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 _HELD: dict[str, object] = {}
 
 
+def give_back() -> None:
+    """Hands what this process has freed back to the system: workers live on from stage to stage, and their peaks would add up."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
 def per_worker(token: str, build):
     """What `build` makes, once for each token in a worker process. Workers serve many stages: only the latest token's object is kept."""
     if token not in _HELD:
         _HELD.clear()
+        give_back()
         _HELD[token] = build()
     return _HELD[token]

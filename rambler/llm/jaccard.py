@@ -17,13 +17,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, per_worker, pick, written
+from .common import give_back, per_worker, pick, written
 from .components import components
 from .decontam import small
-from .shingles import mix, shingle_sets
+from .shingles import column_sets, mix
 
 #: Least hashes kept of a set for the first rounds; shingles in more sets than COMMON stand last in the order of the prefixes, by count; first rounds.
 LEAST, COMMON, ROUNDS = 16, 8, 1
+#: Hashes that a task gathers before it sends them on.
+GATHERED = 1_000_000
 #: Common shingles that tasks are given at most; with more, only the commonest count as common. The order may be any: the join stays exact.
 COMMON_KEYS = 8_000_000
 NO_ID = 2**63 - 1
@@ -40,7 +42,7 @@ def _summaries(k: int, common, token: str):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             nodes, sizes, ranks, least = [], [], [], []
-            for own in shingle_sets(byte_texts(batch.column(1)), k):
+            for own in column_sets(batch.column(1), k):
                 nodes.append(_node(own) if len(own) else None)
                 sizes.append(len(own))
                 low = own[: -(-35 * len(own) // 100)]
@@ -63,7 +65,7 @@ def _compare(k: int, percent: int):
         for batch in batches:
             out = []
             a, salt, b = (batch.column(i).to_pylist() for i in range(3))
-            for x, s, y, other in zip(a, salt, b, shingle_sets(byte_texts(batch.column(3)), k)):
+            for x, s, y, other in zip(a, salt, b, column_sets(batch.column(3), k)):
                 if y is None:
                     if (x, s) != group or own is None or _node(other) == x:
                         group, own = (x, s), other
@@ -73,6 +75,7 @@ def _compare(k: int, percent: int):
                         out.append((x, y))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out)], ["a", "b"])
+        give_back()
 
     return run
 
@@ -106,7 +109,7 @@ def _common_counts(k: int, buckets: int, common=None, token: str = ""):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
         for batch in batches:
-            for own in shingle_sets(byte_texts(batch.column(0)), k):
+            for own in column_sets(batch.column(0), k):
                 if len(own):
                     cut = -(-35 * len(own) // 100)
                     part = own[:cut]
@@ -115,11 +118,13 @@ def _common_counts(k: int, buckets: int, common=None, token: str = ""):
                     if len(part):
                         held.append(part)
                         size += len(part)
-                if size > 2_000_000:
+                if size > GATHERED:
                     yield blobs(held)
                     held, size = [], 0
         if size:
             yield blobs(held)
+        del held
+        give_back()
 
     return run
 
@@ -184,21 +189,23 @@ def _postings(k: int, percent: int, buckets: int, common, token: str):
         often, times = _known(common, token)
         held, size = ([], [], [], []), 0
         for batch in batches:
-            for own, node, comp in zip(shingle_sets(byte_texts(batch.column(0)), k), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+            for own, node, comp in zip(column_sets(batch.column(0), k), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 if not len(own) or _node(own) != node:
                     continue  # a row that shares its id with the node's
                 need = len(own) - -(-percent * len(own) // 100) + 1
                 late, counts = _late(own, often, times)
                 if len(counts) and late.any():
                     own = np.concatenate([own[~late], own[late][np.argsort(counts, kind="stable")]])
-                for x, y in zip(held, (own[:need], node, comp, len(own))):
+                for x, y in zip(held, (own[:need].copy(), node, comp, len(own))):
                     x.append(y)
                 size += need
-                if size > 2_000_000 or len(held[0]) >= 60_000:
+                if size > GATHERED or len(held[0]) >= 60_000:
                     yield blobs(*held)
                     held, size = ([], [], [], []), 0
         if size:
             yield blobs(*held)
+        del held
+        give_back()
 
     return run
 

@@ -5,6 +5,9 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+
+from .common import byte_texts
 
 _RNG = np.random.Generator(np.random.PCG64(20240229))
 _LETTER = _RNG.integers(0, 2**63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
@@ -62,3 +65,9 @@ def shingle_sets(raws: list[bytes], k: int = 5) -> Iterator[np.ndarray]:
                 else:
                     yield np.zeros(0, np.uint64)
         at = end
+
+
+def column_sets(column: pa.Array, k: int = 5) -> Iterator[np.ndarray]:
+    """shingle_sets of a text column, of which few texts are held beside the batch at a time."""
+    for at in range(0, len(column), 128):
+        yield from shingle_sets(byte_texts(column.slice(at, 128)), k)
