@@ -3,8 +3,9 @@
 Equal sets are one node. A first round compares each node with one likely partner, found through the least hashes that both hold;
 what it links is one class. The exact round indexes each node's prefix (the shingles of which a similar set must hold one),
 common shingles last; index lists are ordered by set size and skipped in blocks once size or position rules the rest out. A pair
-inside a class isn't looked at again: its answer follows from the class's answers. All other pairs that survive are compared on
-their whole sets. What is returned are the classes, so copies are never expanded into pairs.
+inside a class isn't looked at again: its answer follows from the class's answers. Sets with many common shingles carry a bitmap of
+parities: two bitmaps differ in no more bits than the sets in shingles, so that a pair whose bitmaps differ in too many is ruled out
+for certain. All other pairs that survive are compared on their whole sets. What is returned are the classes, so copies are never expanded into pairs.
 """
 
 from __future__ import annotations
@@ -24,6 +25,8 @@ from .shingles import column_sets, mix
 
 #: Least hashes kept of a set for the first rounds; shingles in more sets than COMMON stand last in the order of the prefixes, by count; first rounds.
 LEAST, COMMON, ROUNDS = 16, 8, 1
+#: Bits of the parity bitmaps, and the least share of common shingles (one of so many) of a set that has one.
+BITS, CROWDED = 512, 20
 #: Hashes that a task gathers before it sends them on.
 GATHERED = 1_000_000
 #: Common shingles that tasks are given at most; with more, only the commonest count as common. The order may be any: the join stays exact.
@@ -161,14 +164,18 @@ def _commonest(key, table):
     return pa.table({"key": pa.array(keys[first][often].astype(np.int64)), "n": pa.array(sums[often])})
 
 
-_POST = "bucket int, h binary, doc binary, node binary, comp binary, n binary, pos binary"
+_POST = "bucket int, h binary, doc binary, node binary, comp binary, n binary, pos binary, has binary, bits binary"
+
+
+def _parities(own: np.ndarray) -> np.ndarray:
+    return np.packbits((np.bincount((own >> np.uint64(16)).astype(np.int64) % BITS, minlength=BITS) & 1).astype(bool))
 
 
 def _postings(k: int, percent: int, buckets: int, common, token: str):
     """Prefix postings as blobs by bucket: of each posting its hash, position and document, the latter by its place in the blob's table."""
-    names = ["bucket", "h", "doc", "node", "comp", "n", "pos"]
+    names = ["bucket", "h", "doc", "node", "comp", "n", "pos", "has", "bits"]
 
-    def blobs(hashes, nodes, comps, sizes):
+    def blobs(hashes, nodes, comps, sizes, bits):
         h = np.concatenate(hashes)
         lengths = [len(x) for x in hashes]
         doc = np.repeat(np.arange(len(hashes)), lengths)
@@ -177,31 +184,33 @@ def _postings(k: int, percent: int, buckets: int, common, token: str):
         order = np.argsort(bucket, kind="stable")
         cuts = np.searchsorted(bucket[order], np.arange(buckets + 1))
         nodes, comps, sizes = np.array(nodes, np.int64), np.array(comps, np.int64), np.array(sizes, np.int32)
+        has = np.array([x is not None for x in bits])
         rows = []
         for j in range(buckets):
             mine = order[cuts[j] : cuts[j + 1]]
             if len(mine):
                 own, place = np.unique(doc[mine], return_inverse=True)
-                rows.append((j, h[mine].astype("<u8").tobytes(), place.astype("<u2").tobytes(), nodes[own].tobytes(), comps[own].tobytes(), sizes[own].tobytes(), pos[mine].astype("<u4").tobytes()))
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 6))], names)
+                rows.append((j, h[mine].astype("<u8").tobytes(), place.astype("<u2").tobytes(), nodes[own].tobytes(), comps[own].tobytes(), sizes[own].tobytes(), pos[mine].astype("<u4").tobytes(), has[own].tobytes(), b"".join(bits[i].tobytes() for i in own[has[own]].tolist())))
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 8))], names)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         often, times = _known(common, token)
-        held, size = ([], [], [], []), 0
+        held, size = ([], [], [], [], []), 0
         for batch in batches:
             for own, node, comp in zip(column_sets(batch.column(0), k), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 if not len(own) or _node(own) != node:
                     continue  # a row that shares its id with the node's
                 need = len(own) - -(-percent * len(own) // 100) + 1
                 late, counts = _late(own, often, times)
+                bits = _parities(own) if CROWDED * late.sum() >= len(own) else None
                 if len(counts) and late.any():
                     own = np.concatenate([own[~late], own[late][np.argsort(counts, kind="stable")]])
-                for x, y in zip(held, (own[:need].copy(), node, comp, len(own))):
+                for x, y in zip(held, (own[:need].copy(), node, comp, len(own), bits)):
                     x.append(y)
                 size += need
                 if size > GATHERED or len(held[0]) >= 60_000:
                     yield blobs(*held)
-                    held, size = ([], [], [], []), 0
+                    held, size = ([], [], [], [], []), 0
         if size:
             yield blobs(*held)
         del held
@@ -212,12 +221,16 @@ def _postings(k: int, percent: int, buckets: int, common, token: str):
 
 def _candidates(percent: int):
     def run(key, table):
-        columns = ([], [], [], [], [])
+        columns, maps, mapped = ([], [], [], [], [], []), [np.zeros((0, BITS // 64), np.uint64)], 0
         for row in table.to_pylist():
-            place = np.frombuffer(row["doc"], "<u2")
-            for x, y in zip(columns, (np.frombuffer(row["h"], "<u8"), np.frombuffer(row["node"], "<i8")[place], np.frombuffer(row["comp"], "<i8")[place], np.frombuffer(row["n"], "<i4")[place].astype(np.int64), np.frombuffer(row["pos"], "<u4").astype(np.int64))):
+            place, has = np.frombuffer(row["doc"], "<u2"), np.frombuffer(row["has"], bool)
+            maps.append(np.frombuffer(row["bits"], np.uint64).reshape(-1, BITS // 64))
+            slot = np.where(has, np.cumsum(has) - 1 + mapped, -1)
+            mapped += len(maps[-1])
+            for x, y in zip(columns, (np.frombuffer(row["h"], "<u8"), np.frombuffer(row["node"], "<i8")[place], np.frombuffer(row["comp"], "<i8")[place], np.frombuffer(row["n"], "<i4")[place].astype(np.int64), np.frombuffer(row["pos"], "<u4").astype(np.int64), slot[place])):
                 x.append(y)
-        h, node, comp, n, pos = (np.concatenate(x) for x in columns)
+        h, node, comp, n, pos, slot = (np.concatenate(x) for x in columns)
+        maps = np.concatenate(maps)
         order = np.lexsort((n, h))
         h = h[order]
         # Lists of one set, and lists inside one class, have no pair left.
@@ -228,7 +241,7 @@ def _candidates(percent: int):
         mixed = np.maximum.reduceat(c, first) != np.minimum.reduceat(c, first) if len(first) else np.zeros(0, bool)
         keep = np.repeat(mixed & (length > 1), length)
         order = order[keep]
-        h, node, comp, n, pos = h[keep], node[order], comp[order], n[order], pos[order]
+        h, node, comp, n, pos, slot = h[keep], node[order], comp[order], n[order], pos[order], slot[order]
         found, held, size = [], [], 0
 
         def settle():
@@ -249,10 +262,13 @@ def _candidates(percent: int):
             i, j = active, active + shift
             need = -(-percent * (n[i] + n[j]) // (100 + percent))
             good = (comp[i] != comp[j]) & (n[i] - pos[i] >= need) & (n[j] - pos[j] >= need)
+            for at in np.array_split(mine := np.flatnonzero(good & (slot[i] >= 0) & (slot[j] >= 0)), len(mine) // 100_000 + 1):
+                differ = np.bitwise_count(maps[slot[i[at]]] ^ maps[slot[j[at]]]).sum(1, dtype=np.int64)
+                good[at] = differ <= n[i[at]] + n[j[at]] - 2 * need[at]
             if good.any():
                 held.append(np.stack([node[i[good]], node[j[good]]], 1))
                 size += len(held[-1])
-                if size > 4_000_000:
+                if size > GATHERED:
                     settle()
         settle()
         pairs = np.unique(np.concatenate(found)) if found else np.zeros(0, "i8,i8")
