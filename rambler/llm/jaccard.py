@@ -161,7 +161,10 @@ def _commonest(key, table):
     first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
     sums = np.add.reduceat(n.astype(np.int64), first)
     often = sums > COMMON
-    return pa.table({"key": pa.array(keys[first][often].astype(np.int64)), "n": pa.array(sums[often])})
+    out = pa.table({"key": pa.array(keys[first][often].astype(np.int64)), "n": pa.array(sums[often])})
+    del keys, n, order, first, sums
+    give_back()
+    return out
 
 
 _POST = "bucket int, h binary, doc binary, node binary, comp binary, n binary, pos binary, has binary, bits binary"
@@ -262,16 +265,18 @@ def _candidates(percent: int):
             i, j = active, active + shift
             need = -(-percent * (n[i] + n[j]) // (100 + percent))
             good = (comp[i] != comp[j]) & (n[i] - pos[i] >= need) & (n[j] - pos[j] >= need)
-            for at in np.array_split(mine := np.flatnonzero(good & (slot[i] >= 0) & (slot[j] >= 0)), len(mine) // 100_000 + 1):
+            for at in np.array_split(mine := np.flatnonzero(good & (slot[i] >= 0) & (slot[j] >= 0)), len(mine) // 25_000 + 1):
                 differ = np.bitwise_count(maps[slot[i[at]]] ^ maps[slot[j[at]]]).sum(1, dtype=np.int64)
                 good[at] = differ <= n[i[at]] + n[j[at]] - 2 * need[at]
             if good.any():
                 held.append(np.stack([node[i[good]], node[j[good]]], 1))
                 size += len(held[-1])
-                if size > GATHERED:
+                if size > GATHERED // 4:
                     settle()
         settle()
         pairs = np.unique(np.concatenate(found)) if found else np.zeros(0, "i8,i8")
+        del columns, maps, found, h, node, comp, n, pos, slot, order, keep, table
+        give_back()
         return pa.table({"a": pa.array(pairs["f0"]), "b": pa.array(pairs["f1"])})
 
     return run
