@@ -57,9 +57,12 @@ def hubs(spark, d):
 
 
 def word_tokens(spark, d) -> DataFrame:
-    """(doc_id, pos, token): blank-delimited lower-cased tokens of each text's first 400 characters (the graph's definition)."""
-    words = F.split(F.lower(F.substring("text", 1, 400)), r"[ \n]+")
-    return table(spark, d, "documents").select("doc_id", F.posexplode(F.filter(words, lambda w: w != "")).alias("pos", "token"))
+    """(doc_id, pos, token): blank-delimited lower-cased tokens of each text."""
+    return table(spark, d, "documents").select("doc_id", F.posexplode(_words()).alias("pos", "token"))
+
+
+def _words() -> Column:
+    return F.filter(F.split(F.lower("text"), r"[ \n]+"), lambda w: w != "")
 
 
 def word_dictionary(spark, d) -> DataFrame:
@@ -69,7 +72,7 @@ def word_dictionary(spark, d) -> DataFrame:
 def word_adjacency(spark, d):
     """G5: token to next token; weight: number of places. Power-law degrees and dead ends."""
     ids = word_dictionary(spark, d)
-    words = table(spark, d, "documents").select(F.filter(F.split(F.lower(F.substring("text", 1, 400)), r"[ \n]+"), lambda w: w != "").alias("w"))
+    words = table(spark, d, "documents").select(_words().alias("w"))
     pairs = words.select(F.explode(F.arrays_zip(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))).alias("a"), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))).alias("b"))).alias("p"))
     counted = pairs.groupBy(F.col("p.a").alias("a"), F.col("p.b").alias("b")).agg(F.count("*").cast("double").alias("h"))
     return counted.join(ids.select(F.col("token").alias("a"), F.col("id").alias("src")), "a").join(ids.select(F.col("token").alias("b"), F.col("id").alias("dst")), "b").select("src", "dst", "h")
