@@ -34,6 +34,6 @@ def dedup(s, d):
 
 @query("stream_walk_queries", O.walk("g6", "node2vec_w", "keys", 3, starts="SELECT DISTINCT user_id AS start FROM events WHERE event_id < 100"))
 def walk_queries(s, d):
-    """Users of the first events ask for a walk; the id of the walk is the user's."""
-    asked = T.event_stream(s, d).where("event_id < 100").select(F.col("user_id").alias("walk_id"), F.col("user_id").alias("start")).dropDuplicates(["walk_id", "start"])
+    """Every user of the stream asks for a walk; the id of the walk is the user's."""
+    asked = T.event_stream(s, d).select(F.col("user_id").alias("walk_id"), F.col("user_id").alias("start")).dropDuplicates(["walk_id", "start"])
     return T.serve_walk_queries(asked, load_graph(s, d, "g6").stored(), MODELS["node2vec_w"], WalkConfig(steps=3, mode="superstep")).select("walk_id", "step", "node")

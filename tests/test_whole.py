@@ -2,10 +2,14 @@
 
 import re
 from collections import Counter
+from datetime import datetime, timedelta
 
 import pytest
 
-from rambler.queries import QUERIES
+from rambler import stream_queries  # noqa: F401  (registers its queries)
+from rambler.operators.walk import WalkConfig, random_walks
+from rambler.queries import MODELS, QUERIES
+from rambler.sources.catalog import load_graph
 
 
 @pytest.fixture(scope="module")
@@ -38,3 +42,15 @@ def test_word_graph_holds_pairs_beyond_any_prefix(spark, sf):
     steps = {(r.walk_id, r.step): r.node for r in walked}
     assert {r.walk_id for r in walked} == set(degrees)
     assert all((steps[w, k - 1], node) in pairs for (w, k), node in steps.items() if k)
+
+
+def test_every_user_of_the_stream_gets_a_walk(spark, sf):
+    start = datetime(2024, 1, 1)
+    rows = [(i, (i * 7) % 11 if i < 100 else 11 + i % 13, start + timedelta(minutes=i), 1.0 + i % 5) for i in range(150)]
+    put(spark, sf, "events", rows, "event_id long, user_id long, ts timestamp, value double")
+    users = {u for _, u, _, _ in rows}
+    got = sorted(map(tuple, QUERIES["stream_walk_queries"](spark, str(sf)).collect()))
+    assert {w for w, k, node in got if k == 0 and w == node} == users == {w for w, _, _ in got}
+    graph = load_graph(spark, str(sf), "g6").stored()
+    starts = spark.createDataFrame([(u,) for u in users], "start long")
+    assert got == sorted(map(tuple, random_walks(graph, MODELS["node2vec_w"], starts, "keys", WalkConfig(steps=3, mode="replicated")).collect()))
