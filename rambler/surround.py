@@ -110,7 +110,7 @@ def linked_left(s, d):
 
 
 def _two_hops(g):
-    a, b = g.edges.select(F.col("src").alias("prev"), F.col("dst").alias("cur")).where("prev % 7 = 0"), g.edges.select(F.col("src").alias("cur"), "dst")
+    a, b = g.edges.select(F.col("src").alias("prev"), F.col("dst").alias("cur")), g.edges.select(F.col("src").alias("cur"), "dst")
     return a.join(b, "cur").distinct()
 
 

@@ -6,7 +6,7 @@ from datetime import datetime, timedelta
 
 import pytest
 
-from rambler import stream_queries  # noqa: F401  (registers its queries)
+from rambler import stream_queries, surround  # noqa: F401  (register their queries)
 from rambler.operators.walk import WalkConfig, random_walks
 from rambler.queries import MODELS, QUERIES
 from rambler.sources.catalog import load_graph
@@ -54,3 +54,18 @@ def test_every_user_of_the_stream_gets_a_walk(spark, sf):
     graph = load_graph(spark, str(sf), "g6").stored()
     starts = spark.createDataFrame([(u,) for u in users], "start long")
     assert got == sorted(map(tuple, random_walks(graph, MODELS["node2vec_w"], starts, "keys", WalkConfig(steps=3, mode="replicated")).collect()))
+
+
+def test_links_of_every_two_hop_state(spark, sf):
+    nations = 9
+    put(spark, sf, "customer", [(n, n) for n in range(nations)], "c_custkey long, c_nationkey int")
+    put(spark, sf, "supplier", [(n, n) for n in range(nations)], "s_suppkey long, s_nationkey int")
+    put(spark, sf, "orders", [(n, n) for n in range(nations)], "o_orderkey long, o_custkey long")
+    pairs = {(n, (n * k + 1) % nations) for n in range(nations) for k in (1, 3)}
+    put(spark, sf, "lineitem", [(a, b, 1.0) for a, b in pairs], "l_orderkey long, l_suppkey long, l_extendedprice double")
+    want = {(a, b, c): (a, c) in pairs for a, b in pairs for x, c in pairs if x == b}
+    assert len({a for a, _, _ in want}) == nations and set(want.values()) == {True, False}
+    got = QUERIES["linked_left"](spark, str(sf)).collect()
+    assert len(got) == len(want) and {(r.prev, r.cur, r.dst): r.linked for r in got} == want
+    semi = sorted(map(tuple, QUERIES["linked_semi"](spark, str(sf)).collect()))
+    assert semi == sorted(k for k, linked in want.items() if linked)
