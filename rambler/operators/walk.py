@@ -16,7 +16,7 @@ from rambler.functions.store import settle
 from rambler.plans.program import WeightProgram
 
 from .graph import WalkGraph
-from .samplers import STEPS, jump_pick
+from .samplers import STEPS, alias_table, jump_pick
 
 #: Edges up to which mode 'auto' replicates the graph (about 40 bytes each in every worker).
 REPLICATED_EDGES = 25_000_000
@@ -119,7 +119,7 @@ def _expand(csr: Csr, row: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarr
 
 
 def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(edge or -1, reads, draws) by keys, prefix sums, inverse transform or jumps, for walkers whose node has edges."""
+    """(edge or -1, reads, draws) by keys, prefix sums, inverse transform, jumps or alias tables, for walkers whose node has edges."""
     owner, edge, first = _expand(csr, row)
     w = csr.weights(program, edge, row[owner], prev[owner], prev_row[owner], step)
     idx = edge - csr.start[row][owner]
@@ -149,6 +149,15 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
                     if key > best:
                         best, out[i] = key, edge[part[at]]
         return out, reads, draws
+    if how == "alias":
+        state, ends = rng.states(seed, walk, np.full(len(walk), step), rng.PICK), np.append(first[1:], len(edge))
+        slots, coins = (rng.uniforms(state, np.full(len(walk), k)) for k in (0, 1))
+        for i in np.flatnonzero(positive).tolist():
+            mine = np.flatnonzero(w[first[i] : ends[i]] > 0) + first[i]
+            own, other = alias_table(w[mine])
+            slot = min(int(slots[i] * len(mine)), len(mine) - 1)
+            out[i] = edge[mine[slot if coins[i] < own[slot] else other[slot]]]
+        return out, positive, np.full(len(row), 2, np.int64)
     # Running sums of positive weights within each list, by differences of one cumulative sum over a bounded stretch of lists.
     acc = np.concatenate([np.cumsum(w[a:b]) for a, b in zip(first.tolist(), [*first[1:].tolist(), len(w)])]) if len(first) else w
     whole = acc[np.append(first[1:], len(acc)) - 1]
@@ -184,12 +193,12 @@ def _rejected(csr: Csr, program, seed, bound, limit, walk, row, prev, prev_row,
     return out, trials
 
 
-REPLICATED = frozenset({"keys", "prefix", "inverse", "jump", "rejection_bound", "rejection_exact", "adaptive"})
+REPLICATED = frozenset({"keys", "prefix", "inverse", "jump", "alias", "rejection_bound", "rejection_exact", "adaptive"})
 
 
 def advance(csr: Csr, program: WeightProgram, sampler: str, config: WalkConfig, walk, row, prev, prev_row, step: int):
     """(edge or -1, reads, draws, rejected?) for walkers whose node has edges."""
-    how = sampler if sampler in ("keys", "prefix", "inverse", "jump") else "keys"
+    how = sampler if sampler in ("keys", "prefix", "inverse", "jump", "alias") else "keys"
     analysis = program.analysis
     n = len(row)
     reads, draws, by_trial = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, bool)

@@ -217,35 +217,39 @@ for _name, _op in (("edges_union_reverse", "UNION"), ("edges_intersect_reciproca
 
 
 # Measures and experiments -----------------------------------------------------------------------------------------------
-def counters(s, d, graph, samplers, weights=(("natural", None),), model="node2vec_w", steps=2, **options) -> DataFrame:
-    """Mean reads and draws of a step, and the share of rejection, by sampler and weights: what the paper's ablations turn on."""
+def counters(s, d, graphs, samplers, weights=(("natural", None),), model="node2vec_w", **options) -> DataFrame:
+    """Mean reads and draws of a step of WalkConfig's long walks, and the share of rejection, by graph, sampler and weights: what the paper's ablations turn on."""
     out = None
-    for scheme, alpha in weights:
-        g = load_graph(s, d, graph, scheme, alpha).stored()
-        for sampler in samplers:
-            log = walk_log(g, MODELS[model], None, sampler, WalkConfig(steps=steps, mode="replicated", sampler_options=options))
-            row = log.agg(F.count("*").alias("steps"), F.round(F.avg("reads"), 6).alias("reads"), F.round(F.avg("draws"), 6).alias("draws"), F.round(F.avg((F.col("mode") == "rejection").cast("int")), 6).alias("rejection"))
-            row = row.select(F.lit(graph).alias("graph"), F.lit(scheme).alias("weights"), F.lit(alpha).cast("double").alias("alpha"), F.lit(sampler).alias("sampler"), "*")
-            out = row if out is None else out.unionByName(row)
+    for graph in graphs:
+        for scheme, alpha in weights:
+            g = load_graph(s, d, graph, scheme, alpha).stored()
+            for sampler in samplers:
+                log = walk_log(g, MODELS[model], None, sampler, WalkConfig(mode="replicated", sampler_options=options))
+                row = log.agg(F.count("*").alias("steps"), F.round(F.avg("reads"), 6).alias("reads"), F.round(F.avg("draws"), 6).alias("draws"), F.round(F.avg((F.col("mode") == "rejection").cast("int")), 6).alias("rejection"))
+                row = row.select(F.lit(graph).alias("graph"), F.lit(scheme).alias("weights"), F.lit(alpha).cast("double").alias("alpha"), F.lit(sampler).alias("sampler"), "*")
+                out = row if out is None else out.unionByName(row)
     return out
 
 
 ALPHA = tuple(("pareto", a) for a in (1.0, 2.0, 4.0))
-query("x1_four_samplers")(lambda s, d: counters(s, d, "g3", ("inverse", "rejection_exact", "prefix")).unionByName(counters(s, d, "g3", ("inverse", "rejection_bound", "prefix"), model="node2vec_u")))
-query("x3_power_law")(lambda s, d: counters(s, d, "g3", ("rejection_exact", "prefix", "adaptive"), ALPHA))
-query("x4_degree_weights")(lambda s, d: counters(s, d, "g3", ("rejection_exact", "prefix", "adaptive"), (("degree", None),)))
-query("x5_skew_sensitivity")(lambda s, d: counters(s, d, "g3", ("rejection_bound", "jump"), ALPHA, steps=1))
-query("x7_selection_ablation")(lambda s, d: counters(s, d, "g3", ("adaptive", "rejection_bound", "keys", "prefix"), (("uniform", None), ("pareto", 1.0))))
-query("x8_kernel_ablation")(lambda s, d: counters(s, d, "g4", ("prefix", "keys", "jump", "rejection_exact", "rejection_bound"), (("uniform", None), ("pareto", 1.0)), steps=1))
-query("x14_low_precision")(lambda s, d: counters(s, d, "g3", ("prefix", "adaptive"), (("int8", None),)))
+SOCIAL = ("g1", "g2", "g5")
+query("x1_four_samplers")(
+    lambda s, d: counters(s, d, (*SOCIAL, "g8"), ("inverse", "alias", "rejection_exact", "prefix")).withColumn("model", F.lit("node2vec_w"))
+    .unionByName(counters(s, d, (*SOCIAL, "g8"), ("inverse", "alias", "rejection_bound", "prefix"), model="node2vec_u").withColumn("model", F.lit("node2vec_u"))))
+query("x3_power_law")(lambda s, d: counters(s, d, SOCIAL, ("rejection_exact", "prefix", "adaptive"), ALPHA))
+query("x4_degree_weights")(lambda s, d: counters(s, d, SOCIAL, ("rejection_exact", "prefix", "adaptive"), (("degree", None),)))
+query("x5_skew_sensitivity")(lambda s, d: counters(s, d, ("g1", "g5"), ("rejection_bound", "jump"), ALPHA))
+query("x7_selection_ablation")(lambda s, d: counters(s, d, SOCIAL, ("adaptive", "rejection_bound", "keys", "prefix"), (("uniform", None), ("pareto", 1.0))))
+query("x8_kernel_ablation")(lambda s, d: counters(s, d, ("g1", "g5"), ("prefix", "keys", "jump", "rejection_exact", "rejection_bound"), (("uniform", None), ("pareto", 1.0))))
+query("x14_low_precision")(lambda s, d: counters(s, d, ("g3",), ("prefix", "adaptive"), (("int8", None),)))
 
 
 @query("x9_selectors")
 def x9_selectors(s, d):
-    """Random, degree, cost and hindsight selection on the hub graph."""
+    """Random, degree, cost and hindsight selection on the graphs with hubs."""
     out = None
     for kind in ("random", "degree", "cost", "exact", "rejection", "reservoir"):
-        part = counters(s, d, "g4", ("adaptive",), (("uniform", None),), steps=2, kind=kind, threshold=100).withColumn("selector", F.lit(kind))
+        part = counters(s, d, ("g4", "g5"), ("adaptive",), (("uniform", None),), kind=kind, threshold=100).withColumn("selector", F.lit(kind))
         out = part if out is None else out.unionByName(part)
     return out
 

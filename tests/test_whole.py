@@ -7,6 +7,7 @@ from datetime import datetime, timedelta
 import pytest
 
 from rambler import stream_queries, surround  # noqa: F401  (register their queries)
+from rambler.operators.graph import WalkGraph
 from rambler.operators.walk import WalkConfig, random_walks
 from rambler.queries import MODELS, QUERIES
 from rambler.sources.catalog import load_graph
@@ -69,3 +70,30 @@ def test_links_of_every_two_hop_state(spark, sf):
     assert len(got) == len(want) and {(r.prev, r.cur, r.dst): r.linked for r in got} == want
     semi = sorted(map(tuple, QUERIES["linked_semi"](spark, str(sf)).collect()))
     assert semi == sorted(k for k, linked in want.items() if linked)
+
+
+def test_experiments_walk_all_steps_on_the_planned_graphs(spark, sf, monkeypatch):
+    rows = [(n, (n * k + 1) % 9, float(n + k), 0) for n in range(9) for k in (1, 3)]
+    small = WalkGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, h double, label int")).stored()
+    monkeypatch.setattr(surround, "load_graph", lambda *_: small)
+    plan = {"x1_four_samplers": "g1 g2 g5 g8", "x3_power_law": "g1 g2 g5", "x4_degree_weights": "g1 g2 g5", "x5_skew_sensitivity": "g1 g5", "x7_selection_ablation": "g1 g2 g5", "x8_kernel_ablation": "g1 g5", "x14_low_precision": "g3"}
+    for name in ("x1_four_samplers", "x5_skew_sensitivity"):
+        got = QUERIES[name](spark, str(sf)).collect()
+        assert {r.steps for r in got} == {9 * 80}, name
+        assert {r.graph for r in got} == set(plan[name].split())
+        if name == "x1_four_samplers":
+            assert {r.sampler for r in got if r.model == "node2vec_w"} == {"inverse", "alias", "rejection_exact", "prefix"}
+    asked, walked = [], []
+    monkeypatch.setattr(surround, "load_graph", lambda s, d, name, *_: asked.append(name) or small)
+    monkeypatch.setattr(surround, "walk_log", lambda g, m, starts, sampler, config: walked.append(config.steps) or spark.range(1).selectExpr("1 AS reads", "1 AS draws", "'x' AS mode"))
+    for name in plan:
+        asked.clear()
+        QUERIES[name](spark, str(sf))
+        assert set(asked) == set(plan[name].split()) and set(walked) == {80}
+
+
+def test_alias_gives_the_same_walks_in_both_modes(spark):
+    rows = [(n, (n * k + 1) % 9, float(n * k % 5), 0) for n in range(9) for k in (1, 2, 3, 5)]
+    g = WalkGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, h double, label int")).stored()
+    walks = [sorted(map(tuple, random_walks(g, MODELS["node2vec_w"], None, "alias", WalkConfig(steps=4, mode=m)).collect())) for m in ("superstep", "replicated")]
+    assert walks[0] == walks[1]
