@@ -33,7 +33,7 @@ def gram_hashes(codes: np.ndarray, k: int) -> np.ndarray:
         return (h >> np.uint64(32)).astype(np.uint32)
 
 
-def winnow(text: str, k: int = 16, window: int = 64) -> tuple[np.ndarray, np.ndarray]:
+def winnow(text: str, k: int = 16, window: int = 8) -> tuple[np.ndarray, np.ndarray]:
     """(hashes, positions): the least hash of each window of `window` k-grams, the rightmost of equal ones, each place once.
 
     Any run of at least window + k - 1 code points that two texts share yields a common hash. Shorter texts yield one hash at
@@ -69,7 +69,7 @@ def shown(hashes: np.ndarray) -> str:
     return hashes.astype(">u4").tobytes().hex()
 
 
-def fingerprints(docs: DataFrame, k: int = 16, window: int = 64) -> DataFrame:
+def fingerprints(docs: DataFrame, k: int = 16, window: int = 8) -> DataFrame:
     """(doc_id, hashes array<long>, positions array<long>) of each row; null text counts as empty and has none. One pass, no shuffle."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -80,7 +80,7 @@ def fingerprints(docs: DataFrame, k: int = 16, window: int = 64) -> DataFrame:
     return pick(docs, "doc_id", "text").mapInArrow(run, "doc_id long, hashes array<long>, positions array<long>")
 
 
-def edited_fingerprints(docs: DataFrame, k: int = 16, window: int = 64, ranges: int | None = None) -> DataFrame:
+def edited_fingerprints(docs: DataFrame, k: int = 16, window: int = 8, ranges: int | None = None) -> DataFrame:
     """Each row beside its edited text, whose last third comes from the head of the next document by falling doc_id.
 
     (doc_id, n_chars, edited_text, fingerprint, edited_fingerprint, near_edited, near_next). The ids are cut into ranges at exact
