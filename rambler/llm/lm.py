@@ -18,8 +18,6 @@ from pyspark.sql import functions as F
 from .common import byte_texts, per_worker, pick, written
 from .shingles import word_hashes
 
-#: Three-byte contexts with a table of their own (the most frequent); the others under the same two bytes share one.
-MAX_CONTEXTS = 32_768
 #: Words whose counts all tasks are given (the most frequent); the others' counts are joined.
 HEAD_WORDS = 100_000
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
@@ -186,12 +184,9 @@ class ByteModel:
         return np.add.reduceat(logs.astype(np.float64), bounds[:-1])
 
 
-def train_bytes(counts: DataFrame, max_contexts: int = MAX_CONTEXTS) -> tuple[np.ndarray, np.ndarray, list]:
-    """The model's rows from gram counts (key, n). At most max_contexts + 2^16 + 256 rows of 1 KB come to the driver."""
-    spread = counts.select(F.shiftright("key", 8).alias("context"), F.col("key").bitwiseAND(255).alias("byte"), "n")
-    kept = spread.groupBy("context").agg(F.sum("n").alias("m")).orderBy(F.desc("m"), "context").limit(max_contexts).select("context", F.lit(True).alias("kept"))
-    named = spread.join(F.broadcast(kept), "context", "left").select(F.when(F.col("kept"), F.col("context")).otherwise(F.col("context").bitwiseAND(0xFFFF).bitwiseOR(OTHER)).alias("context"), "byte", "n")
-    summed = named.groupBy("context", "byte").agg(F.sum("n").alias("n"))
+def train_bytes(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, list]:
+    """The model's rows from gram counts (key, n): every three-byte context has its own. A row of 1 KB for each comes to the driver, besides 2^16 + 512 at most."""
+    summed = counts.select(F.shiftright("key", 8).alias("context"), F.col("key").bitwiseAND(255).alias("byte"), "n").groupBy("context", "byte").agg(F.sum("n").alias("n"))
     rows = summed.withColumn("last", F.col("context").bitwiseAND(255)).groupBy("last").applyInArrow(_subtrees, "context long, values binary, counts binary").collect()
     plain = [r for r in rows if r.counts is None]
     contexts = np.array([r.context for r in plain], np.int64)
@@ -199,7 +194,7 @@ def train_bytes(counts: DataFrame, max_contexts: int = MAX_CONTEXTS) -> tuple[np
     return contexts, values, [(r.context & 255, np.frombuffer(r["values"], "<f8"), np.frombuffer(r["counts"], "<i8")) for r in rows if r.counts is not None]
 
 
-def score_documents(docs: DataFrame, max_contexts: int = MAX_CONTEXTS, head_words: int = HEAD_WORDS) -> DataFrame:
+def score_documents(docs: DataFrame, head_words: int = HEAD_WORDS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of each row.
 
     Rows whose crc32(doc_id as text) mod 10 is 0 are held out; a null doc_id trains. Texts are lower-cased (A-Z); null counts as
@@ -215,7 +210,7 @@ def score_documents(docs: DataFrame, max_contexts: int = MAX_CONTEXTS, head_word
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     divisor = float(np.log10(total + 0.1 * (distinct + 1)))
     head = counts.orderBy(F.desc("n"), "key").limit(head_words).toArrow().sort_by("key")
-    shared = spark.sparkContext.broadcast((head.column("key").to_numpy(), head.column("n").to_numpy(), *train_bytes(gathered.where("kind = 1").select("key", "n"), max_contexts)))
+    shared = spark.sparkContext.broadcast((head.column("key").to_numpy(), head.column("n").to_numpy(), *train_bytes(gathered.where("kind = 1").select("key", "n"))))
     token = uuid.uuid4().hex
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
