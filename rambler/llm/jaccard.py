@@ -2,8 +2,10 @@
 
 Equal sets are one node. A first round compares each node with one likely partner, found through the least hashes that both hold;
 what it links is one class. The exact round indexes each node's prefix (the shingles of which a similar set must hold one),
-common shingles last; index lists are ordered by set size and skipped in blocks once size or position rules the rest out. A pair
-inside a class isn't looked at again: its answer follows from the class's answers. Sets with many common shingles carry a bitmap of
+common shingles last; index lists are ordered by set size and end once size rules the rest out. Position is tested pair by pair, in
+arrays, not by blocks of a list: a list is in the order of sizes, so its positions don't rise with it. A pair inside a class isn't
+looked at again, as it can't change the classes. No set's answers are derived from those of a similar set: classes are returned, not
+pairs, and leaving out a class's own pairs takes the place of that. Sets with many common shingles carry a bitmap of
 parities: two bitmaps differ in no more bits than the sets in shingles, so that a pair whose bitmaps differ in too many is ruled out
 for certain. All other pairs that survive are compared on their whole sets. What is returned are the classes, so copies are never expanded into pairs.
 """
