@@ -15,8 +15,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from . import bpe
-from .common import byte_texts, pick
+from .common import byte_texts, give_back, pick
 
+#: Texts held as bytes beside their batch, and bytes of token ids that a task gathers before it hands them on.
+TEXTS, HANDED = 128, 4_000_000
 SCHEMA = "doc_id long, start long, length long, token_ids binary, doc_tokens long, sequence_id long, offset long"
 
 
@@ -76,41 +78,52 @@ def _packer(vocab: str, capacity: int, end_id: int, piece: int, batch_windows: i
         encoder, end = bpe.load(vocab), np.array([end_id], "<u4").tobytes()
         sequence = TaskContext.get().partitionId() << 40
         held: list[tuple] = []  # (doc_id, start, ids, doc_tokens) of remainders
-        load = 0
+        load = size = 0
         rows: list[tuple] = []
 
         def settle():
-            nonlocal sequence, load
+            nonlocal sequence, load, size
             for part in pack([len(r[2]) // 4 for r in held], capacity):
                 offset = 0
                 for i in part:
                     doc, start, ids, n = held[i]
                     rows.append((doc, start, len(ids) // 4, ids, n, sequence, offset))
                     offset += len(ids) // 4
+                    size += len(ids) + 200  # a row costs more than its ids
                 sequence += 1
             held.clear()
             load = 0
 
         def flush():
+            nonlocal size
             out = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.int64()))], ["doc_id", "start", "length", "token_ids", "doc_tokens", "sequence_id", "offset"])
             rows.clear()
+            size = 0
             return out
 
-        for batch in batches:
-            for doc, raw in zip(batch.column(0).to_pylist(), byte_texts(batch.column(1))):
-                ids = encoder.encode(raw) + end
-                n = len(ids) // 4
-                full = n - n % capacity
-                for start in range(0, full, capacity):
-                    rows.append((doc, start, capacity, ids[4 * start : 4 * (start + capacity)], n, sequence, 0))
-                    sequence += 1
-                for start in range(full, n, piece):  # small pieces balance; a window's worth is never cut
-                    held.append((doc, start, ids[4 * start : 4 * (start + piece)], n))
-                load += n - full
-                if load >= batch_windows * capacity:
-                    settle()
-                if len(rows) >= 4096:
+        def few():
+            for batch in batches:
+                for at in range(0, batch.num_rows, TEXTS):
+                    yield from zip(batch.column(0).slice(at, TEXTS).to_pylist(), byte_texts(batch.column(1).slice(at, TEXTS)))
+                give_back()
+
+        for doc, raw in few():
+            ids = encoder.encode(raw) + end
+            n = len(ids) // 4
+            full = n - n % capacity
+            for start in range(0, full, capacity):
+                rows.append((doc, start, capacity, ids[4 * start : 4 * (start + capacity)], n, sequence, 0))
+                sequence += 1
+                size += 4 * capacity
+                if size >= HANDED:
                     yield flush()
+            for start in range(full, n, piece):  # small pieces balance; a window's worth is never cut
+                held.append((doc, start, ids[4 * start : 4 * (start + piece)], n))
+            load += n - full
+            if load >= batch_windows * capacity:
+                settle()
+            if size >= HANDED:
+                yield flush()
         settle()
         if rows:
             yield flush()
