@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import give_back, per_worker, pick, written
+from .common import give_back, per_worker, pick, small_batches, written
 from .components import components
 from .decontam import small
 from .shingles import column_sets, mix
@@ -413,6 +413,11 @@ def jaccard_classes(docs: DataFrame, k: int = 5, percent: int = 75) -> DataFrame
     null ids alone has a null component_id. An empty table gives no rows; further columns are ignored. Sets are told apart by 64
     bits of a hash, shingles too.
     """
+    with small_batches(docs.sparkSession):
+        return _classes(docs, k, percent)
+
+
+def _classes(docs: DataFrame, k: int, percent: int) -> DataFrame:
     spark = docs.sparkSession
     token = uuid.uuid4().hex
     blobs, texts = "bucket int, keys binary, n binary", pick(docs, "text")
@@ -420,7 +425,7 @@ def jaccard_classes(docs: DataFrame, k: int = 5, percent: int = 75) -> DataFrame
     buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")), -(-volume // BUCKET_BYTES))
 
     def commonest(counts):
-        """(stored counts, what is broadcast of them)."""
+        """What is broadcast of stored counts: COMMON_KEYS rows of 16 bytes at most."""
         floor = COMMON
         while counts.where(F.col("n") > floor).count() > COMMON_KEYS:
             floor *= 4

@@ -1,8 +1,9 @@
 """Language-model scores by context-tree weighting over bytes, beside a smoothed unigram over words.
 
-A byte is eight binary decisions (255 inner nodes of its tree); each decision has, for every context of 0 to 3 bytes before it, a
-Krichevsky-Trofimov estimate from the training counts. Bottom up, each context weighs its own estimate against the product of its
-longer contexts; the weights then turn into one table of byte probabilities for each context, so that scoring is a look-up.
+A byte is eight binary decisions (255 inner nodes of its tree); each decision has, for every context of 0 to 3 bytes before it (the
+tree's depth), a Krichevsky-Trofimov estimate from the training counts. Bottom up, each context weighs its own estimate against the
+product of its longer contexts; the weights then turn into one table of byte probabilities for each context, so that scoring is a
+look-up. The tables of the most frequent contexts go to all tasks; bytes after any other context meet its table in a join.
 """
 
 from __future__ import annotations
@@ -20,6 +21,8 @@ from .shingles import word_hashes
 
 #: Words whose counts all tasks are given (the most frequent); the others' counts are joined.
 HEAD_WORDS = 100_000
+#: Three-byte contexts whose tables (1 KB each) all tasks are given, the most frequent first; the others' are joined. Shorter contexts number 2^16 + 2^8 at most.
+HEAD_CONTEXTS = 65_536
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
 END_KEY = -1
 CHUNK = 1_000_000
@@ -114,38 +117,52 @@ def sums(values: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def subtree(context: np.ndarray, byte: np.ndarray, n: np.ndarray):
-    """All contexts that end in one byte: rows (context id, decisions' probabilities under contexts of 1 to 3 bytes), and what the root needs."""
-    last = int(context[0] & 255)
+def pair(context: np.ndarray, byte: np.ndarray, n: np.ndarray):
+    """The contexts that end in the same two bytes: (three-byte contexts, their counts, their decisions mixed from two bytes on, the same for an unseen
+    third byte; log of the weighted block probability and byte counts of the two bytes' context)."""
     three, at = np.unique(context, return_inverse=True)
     counts3 = np.zeros((len(three), 256), np.int64)
     np.add.at(counts3, (at, byte), n)
-    two, up = np.unique(three & 0xFFFF, return_inverse=True)
     block3, kt3 = estimate(counts3)
-    counts2 = sums(counts3, up, len(two))
+    counts2 = counts3.sum(0, keepdims=True)
     block2, kt2 = estimate(counts2)
-    whole2, own2 = weigh(block2, sums(block3, up, len(two)))
+    whole2, own2 = weigh(block2, block3.sum(0, keepdims=True))
+    return three, counts3.sum(1), own2 * kt2 + (1 - own2) * kt3, (own2 * kt2 + (1 - own2) * 0.5)[0], whole2[0], counts2[0]
+
+
+def single(whole2: np.ndarray, counts2: np.ndarray):
+    """The context of one byte from those of two: its share, its decisions, its log weighted block probability, its byte counts."""
     counts1 = counts2.sum(0, keepdims=True)
     block1, kt1 = estimate(counts1)
     whole1, own1 = weigh(block1, whole2.sum(0, keepdims=True))
-    under1 = lambda deeper: own1 * kt1 + (1 - own1) * deeper
-    rows = list(zip(three.tolist(), under1(own2[up] * kt2[up] + (1 - own2[up]) * kt3)))
-    held = set(three.tolist())
-    rows += [(OTHER | t, row) for t, row in zip(two.tolist(), under1(own2 * kt2 + (1 - own2) * 0.5)) if OTHER | t not in held]
-    rows.append((UNSEEN2 | last, under1(np.full((1, 255), 0.5))[0]))
-    return rows, whole1[0], counts1[0]
+    return own1[0], kt1[0], whole1[0], counts1[0]
 
 
-def _subtrees(key, table):
-    rows, whole, counts = subtree(*(table.column(c).to_numpy() for c in ("context", "byte", "n")))
-    last = key[0].as_py()
+def subtree(context: np.ndarray, byte: np.ndarray, n: np.ndarray):
+    """All contexts that end in one byte: rows (context id, decisions' probabilities under contexts of 1 to 3 bytes), and what the root needs."""
+    two = context & 0xFFFF
+    parts = [(int(t), pair(context[two == t], byte[two == t], n[two == t])) for t in np.unique(two)]
+    own1, kt1, whole1, counts1 = single(np.array([x[4] for _, x in parts]), np.array([x[5] for _, x in parts]))
+    rows = [(c, own1 * kt1 + (1 - own1) * v) for t, x in parts for c, v in [*zip(x[0].tolist(), x[2]), (OTHER | t, x[3])]]
+    return [*rows, (UNSEEN2 | int(context[0] & 255), own1 * kt1 + (1 - own1) * 0.5)], whole1, counts1
+
+
+def _pairs(key, table):
+    three, n, deep, other, whole, counts = pair(*(table.column(c).to_numpy() for c in ("context", "byte", "n")))
+    two = key[0].as_py()
     return pa.table({
-        "context": pa.array([c for c, _ in rows] + [ROOT | last], pa.int64()),
-        "values": pa.array([r.astype("<f4").tobytes() for _, r in rows] + [whole.astype("<f8").tobytes()], pa.binary()),
-        "counts": pa.array([None] * len(rows) + [counts.astype("<i8").tobytes()], pa.binary()),
+        "context": pa.array([*three.tolist(), OTHER | two, ROOT | two], pa.int64()), "n": pa.array([*n.tolist(), 0, 0], pa.int64()),
+        "values": pa.array([*(r.tobytes() for r in deep.astype("<f4")), other.astype("<f4").tobytes(), whole.astype("<f8").tobytes()], pa.binary()),
+        "counts": pa.array([None] * (len(three) + 1) + [counts.astype("<i8").tobytes()], pa.binary()),
     })
 
 
+def _singles(key, table):
+    arrays = (np.frombuffer(b"".join(table.column(c).to_pylist()), t).reshape(-1, w) for c, t, w in (("values", "<f8", 255), ("counts", "<i8", 256)))
+    own, kt, whole, counts = single(*arrays)
+    return pa.table({"last": [key[0].as_py()], "own": [own.tobytes()], "kt": [kt.tobytes()], "whole": [whole.tobytes()], "counts": [counts.astype("<i8").tobytes()]}, pa.schema([("last", pa.int64()), *((c, pa.binary()) for c in ("own", "kt", "whole", "counts"))]))
+
+
 def byte_logs(p: np.ndarray) -> np.ndarray:
     """log10 probabilities of the 256 bytes from the decisions' probabilities of 1, [rows, 255]."""
     out = np.zeros((len(p), 256), np.float32)
@@ -156,15 +173,19 @@ def byte_logs(p: np.ndarray) -> np.ndarray:
     return out
 
 
+def _root(roots: list[tuple[int, np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """Share and decisions of the empty context."""
+    if not roots:
+        return np.full((1, 255), 0.5), np.full((1, 255), 0.5)
+    block0, kt0 = estimate(np.sum([c for _, _, c in roots], 0)[None])
+    return weigh(block0, np.sum([w for _, w, _ in roots], 0)[None])[1], kt0
+
+
 class ByteModel:
     """Tables of log10 byte probabilities and the row of each three-byte context."""
 
     def __init__(self, contexts: np.ndarray, values: np.ndarray, roots: list[tuple[int, np.ndarray, np.ndarray]]):
-        if roots:
-            block0, kt0 = estimate(np.sum([c for _, _, c in roots], 0)[None])
-            _, own0 = weigh(block0, np.sum([w for _, w, _ in roots], 0)[None])
-        else:
-            own0, kt0 = np.full((1, 255), 0.5), np.full((1, 255), 0.5)
+        own0, kt0 = _root(roots)
         parts = [byte_logs(own0 * kt0 + (1 - own0) * v) for v in np.array_split(values, max(1, len(values) // 4096))] if len(values) else []
         self.logs = np.concatenate([*parts, byte_logs(own0 * kt0 + (1 - own0) * 0.5)]).astype(np.float32)
         row = np.full((256, 256, 256), len(self.logs) - 1, np.int32)
@@ -177,24 +198,83 @@ class ByteModel:
             else:
                 row[c >> 16, (c >> 8) & 255, c & 255] = r
         self.row = row.ravel()
+        self.deep = np.append(contexts < OTHER, False)
 
     def scores(self, raws: list[bytes]) -> np.ndarray:
+        return self.split_scores(raws, False)[0]
+
+    def split_scores(self, raws: list[bytes], apart: bool = True):
+        """Sums for each text; with `apart`, of the bytes after known three-byte contexts alone, and (text, gram, log10 probability under shorter contexts) of the others."""
         keys, bounds = grams(raws)
-        logs = self.logs.ravel()[self.row[keys >> np.uint32(8)].astype(np.int64) * 256 + (keys & np.uint32(255))]
-        return np.add.reduceat(logs.astype(np.float64), bounds[:-1])
+        row = self.row[keys >> np.uint32(8)].astype(np.int64)
+        logs = self.logs.ravel()[row * 256 + (keys & np.uint32(255))].astype(np.float64)
+        if not apart:
+            return np.add.reduceat(logs, bounds[:-1]), None
+        rest = np.flatnonzero(~self.deep[row])
+        left = (np.searchsorted(bounds, rest, "right") - 1, keys[rest].astype(np.int64), logs[rest])
+        logs[rest] = 0
+        return np.add.reduceat(logs, bounds[:-1]), left
+
+
+class ContextTables:
+    """The trained contexts: a stored table (context, n, values), and 256 rows at most for the contexts of one byte, which the driver holds.
+
+    No task holds more than the contexts that end in the same two bytes."""
+
+    def __init__(self, counts: DataFrame):
+        summed = counts.select(F.shiftright("key", 8).alias("context"), F.col("key").bitwiseAND(255).alias("byte"), "n").groupBy("context", "byte").agg(F.sum("n").alias("n"))
+        found = written(summed.groupBy(F.col("context").bitwiseAND(0xFFFF).alias("two")).applyInArrow(_pairs, "context long, n long, values binary, counts binary"))
+        self.table = found.where(F.col("context") < ROOT).drop("counts")
+        ends = found.where(F.col("context") >= ROOT).groupBy(F.col("context").bitwiseAND(255).alias("last")).applyInArrow(_singles, "last long, own binary, kt binary, whole binary, counts binary").collect()
+        self.own, self.kt = np.full((256, 255), 0.5), np.full((256, 255), 0.5)
+        for r in ends:
+            self.own[r["last"]], self.kt[r["last"]] = np.frombuffer(r["own"]), np.frombuffer(r["kt"])
+        self.lasts = sorted(r["last"] for r in ends)
+        self.roots = [(r["last"], np.frombuffer(r["whole"]), np.frombuffer(r["counts"], "<i8")) for r in ends]
+
+    def under(self, context: np.ndarray, deeper: np.ndarray) -> np.ndarray:
+        """Decisions from one byte on."""
+        own, kt = self.own[context & 255], self.kt[context & 255]
+        return own * kt + (1 - own) * deeper
+
+    def head(self, most: int | None) -> tuple[np.ndarray, np.ndarray, list]:
+        """What ByteModel takes: of the three-byte contexts the `most` most frequent (all of them without a number), and all shorter ones."""
+        deep = self.table.where(F.col("context") < OTHER)
+        rows = (deep if most is None else deep.orderBy(F.desc("n"), "context").limit(most)).union(self.table.where(F.col("context") >= OTHER)).select("context", "values").toArrow()
+        context = np.concatenate([rows.column("context").to_numpy(), np.array([UNSEEN2 | x for x in self.lasts], np.int64)])
+        raw = b"".join(rows.column("values").to_pylist())
+        values = np.concatenate([np.frombuffer(raw, "<f4").reshape(-1, 255), np.full((len(self.lasts), 255), 0.5, np.float32)])
+        parts = np.array_split(np.arange(len(context)), len(context) // 4096 + 1)
+        return context, np.concatenate([self.under(context[p], values[p]).astype(np.float32) for p in parts]), self.roots
+
+    def tail(self, most: int) -> DataFrame | None:
+        """(context, logs): tables of the three-byte contexts beyond the `most` most frequent, if there are any."""
+        deep = self.table.where(F.col("context") < OTHER)
+        if deep.count() <= most:
+            return None
+        edge = deep.select("n", "context").orderBy(F.desc("n"), "context").limit(most).orderBy("n", F.desc("context")).first()
+        shared = self.table.sparkSession.sparkContext.broadcast((self.own, self.kt, *_root(self.roots)))
+
+        def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            own, kt, own0, kt0 = shared.value
+            for batch in batches:
+                for at in range(0, batch.num_rows, 1024):
+                    part = batch.slice(at, 1024)
+                    last = part.column(0).to_numpy() & 255
+                    deeper = np.frombuffer(b"".join(part.column(1).to_pylist()), "<f4").reshape(-1, 255)
+                    logs = byte_logs(own0 * kt0 + (1 - own0) * (own[last] * kt[last] + (1 - own[last]) * deeper))
+                    yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(np.arange(len(last) + 1, dtype=np.int32) * 256), pa.array(logs.ravel()))], ["context", "logs"])
+
+        rest = deep.where((F.col("n") < edge.n) | ((F.col("n") == edge.n) & (F.col("context") > edge.context)))
+        return written(rest.select("context", "values").mapInArrow(run, "context long, logs array<float>"))
 
 
 def train_bytes(counts: DataFrame) -> tuple[np.ndarray, np.ndarray, list]:
-    """The model's rows from gram counts (key, n): every three-byte context has its own. A row of 1 KB for each comes to the driver, besides 2^16 + 512 at most."""
-    summed = counts.select(F.shiftright("key", 8).alias("context"), F.col("key").bitwiseAND(255).alias("byte"), "n").groupBy("context", "byte").agg(F.sum("n").alias("n"))
-    rows = summed.withColumn("last", F.col("context").bitwiseAND(255)).groupBy("last").applyInArrow(_subtrees, "context long, values binary, counts binary").collect()
-    plain = [r for r in rows if r.counts is None]
-    contexts = np.array([r.context for r in plain], np.int64)
-    values = np.frombuffer(b"".join(r["values"] for r in plain), "<f4").reshape(-1, 255)
-    return contexts, values, [(r.context & 255, np.frombuffer(r["values"], "<f8"), np.frombuffer(r["counts"], "<i8")) for r in rows if r.counts is not None]
+    """The model's rows of all contexts from gram counts (key, n): for corpora whose contexts are few."""
+    return ContextTables(counts).head(None)
 
 
-def score_documents(docs: DataFrame, head_words: int = HEAD_WORDS) -> DataFrame:
+def score_documents(docs: DataFrame, head_words: int = HEAD_WORDS, head_contexts: int = HEAD_CONTEXTS) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of each row.
 
     Rows whose crc32(doc_id as text) mod 10 is 0 are held out; a null doc_id trains. Texts are lower-cased (A-Z); null counts as
@@ -210,8 +290,10 @@ def score_documents(docs: DataFrame, head_words: int = HEAD_WORDS) -> DataFrame:
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     divisor = float(np.log10(total + 0.1 * (distinct + 1)))
     head = counts.orderBy(F.desc("n"), "key").limit(head_words).toArrow().sort_by("key")
-    shared = spark.sparkContext.broadcast((head.column("key").to_numpy(), head.column("n").to_numpy(), *train_bytes(gathered.where("kind = 1").select("key", "n"))))
-    token = uuid.uuid4().hex
+    contexts = ContextTables(gathered.where("kind = 1").select("key", "n"))
+    deeper = contexts.tail(head_contexts)
+    shared = spark.sparkContext.broadcast((head.column("key").to_numpy(), head.column("n").to_numpy(), *contexts.head(head_contexts)))
+    token, apart = uuid.uuid4().hex, deeper is not None
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def build():
@@ -232,18 +314,29 @@ def score_documents(docs: DataFrame, head_words: int = HEAD_WORDS) -> DataFrame:
                 sums = np.bincount(owner[known], logs[place[known]], len(raws))
                 tail, tail_owner = hashes[~known], owner[~known]
                 cuts = np.searchsorted(tail_owner, np.arange(len(raws) + 1))
+                score, left = model.split_scores(raws, apart)
+                near = np.searchsorted(left[0], np.arange(len(raws) + 1)) if apart else np.zeros(len(raws) + 1)
+                bytes_, logs_ = (left[1], left[2]) if apart else (np.zeros(0, np.int64), np.zeros(0))
+                near = pa.array(near.astype(np.int32))
                 yield pa.RecordBatch.from_arrays([
                     batch.column(0).slice(at, len(raws)), batch.column(1).slice(at, len(raws)), pa.array(np.diff(bounds) + 1), pa.array(np.bincount(owner[known], n[place[known]] > 0, len(raws)).astype(np.int64)),
-                    pa.array(sums), pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(tail)), pa.array(model.scores(raws)),
-                ], ["doc_id", "held_out", "n_tokens", "head_known", "head_sum", "tail", "score"])
+                    pa.array(sums), pa.ListArray.from_arrays(pa.array(cuts.astype(np.int32)), pa.array(tail)), pa.array(score),
+                    pa.ListArray.from_arrays(near, pa.array(bytes_)), pa.ListArray.from_arrays(near, pa.array(logs_)),
+                ], ["doc_id", "held_out", "n_tokens", "head_known", "head_sum", "tail", "score", "grams", "logs"])
                 at += len(raws)
 
-    scored = written(table.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, head_known long, head_sum double, tail array<long>, score double").withColumn("row", F.monotonically_increasing_id()))
+    scored = written(table.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, head_known long, head_sum double, tail array<long>, score double, grams array<long>, logs array<double>").withColumn("row", F.monotonically_increasing_id()))
     rest = (
         scored.select("row", F.explode("tail").alias("key")).join(counts, "key", "left")
         .groupBy("row").agg(F.sum(F.log10(F.coalesce("n", F.lit(0)) + F.lit(0.1))).alias("tail_sum"), F.count("n").alias("tail_known"))
     )
-    return scored.drop("tail").join(rest, "row", "left").select(
+    whole = scored.drop("tail", "grams", "logs").join(rest, "row", "left")
+    if apart:
+        missed = scored.select("row", F.explode(F.arrays_zip("grams", "logs")).alias("g")).select("row", F.shiftright("g.grams", 8).alias("context"), F.col("g.grams").bitwiseAND(255).cast("int").alias("byte"), F.col("g.logs").alias("log"))
+        counted = missed.groupBy("row", "context", "byte").agg(F.count("*").alias("m"), F.first("log").alias("log"))  # before the shuffle by context
+        more = counted.join(deeper, "context", "left").groupBy("row").agg(F.sum(F.col("m") * F.coalesce(F.element_at("logs", F.col("byte") + 1).cast("double"), "log")).alias("more"))
+        whole = whole.join(more, "row", "left").withColumn("score", F.col("score") + F.coalesce("more", F.lit(0.0)))
+    return whole.select(
         "doc_id", "held_out", "n_tokens", (F.col("head_known") + F.coalesce("tail_known", F.lit(0))).alias("n_known"), F.lit(total).cast("long").alias("train_tokens"),
         (F.col("head_sum") + F.coalesce("tail_sum", F.lit(0.0)) - F.col("n_tokens") * F.lit(divisor)).alias("base_score"), "score",
     )
