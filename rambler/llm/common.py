@@ -25,6 +25,13 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
     return numbered.select(*[F.col(f"_{at.index(n)}").alias(n) for n in names])
 
 
+def without(df: DataFrame, *names: str) -> DataFrame:
+    """All columns but those of the given names in any case: an operator's own output columns take their place."""
+    gone = {n.lower() for n in names}
+    at = [i for i, c in enumerate(df.columns) if c.lower() not in gone]
+    return df if len(at) == len(df.columns) else df.toDF(*[f"_{i}" for i in range(len(df.columns))]).select(*[F.col(f"_{i}").alias(df.columns[i]) for i in at])
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir; a temporary one only where that is unset, as in tests."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()

@@ -1,8 +1,9 @@
 """Language identification by unigram piece models whose segmentations are summed out.
 
 For each language the pieces of a fixed public vocabulary have probabilities, fitted by expectation-maximisation on a bounded
-sample of labelled documents. The probability of a word is the sum over all its segmentations, found by the forward algorithm; a
-text's is the product over its words. Scores of words are remembered by each worker.
+sample of labelled documents, of which all words count. The probability of a run of letters is the sum over all its segmentations
+into pieces of any length, found by the forward algorithm; a text's is the product over its runs. Scores of words are remembered by
+each worker.
 """
 
 from __future__ import annotations
@@ -17,12 +18,15 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, per_worker, pick
+from .common import byte_texts, per_worker, pick, without
 
 UNKNOWN = "und"
-#: Longest piece and longest stretch of letters scored at once; longer words are scored in stretches.
-PIECE_CHARS, WORD_CHARS = 8, 24
-CACHE_ENTRIES = 400_000
+#: Characters up to which probabilities are summed as they are; sums over longer runs are made of logs, so that they don't vanish.
+PLAIN_CHARS = 40
+#: Runs that are taken at once, by their number times the longest's length.
+LATTICE_CELLS = 150_000
+#: Words that a worker remembers, and their bytes. Only speed depends on it.
+CACHE_ENTRIES, CACHE_BYTES = 400_000, 16_000_000
 _LETTERS = bytes(b if b >= 128 or 65 <= b <= 90 or 97 <= b <= 122 else 32 for b in range(256))
 _RUNS = regex.compile(r"\p{L}+").findall
 
@@ -38,13 +42,18 @@ def load_pieces(path: str) -> dict[str, int]:
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
-    found = dict.fromkeys(p for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)) and len(p := model.id_to_piece(i).lower()) <= PIECE_CHARS and (p.lstrip("▁").isalpha() or p == "▁") and "▁" not in p[1:])
+    found = dict.fromkeys(p for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)) and ((p := model.id_to_piece(i).lower()).lstrip("▁").isalpha() or p == "▁") and "▁" not in p[1:])
     return {p: i for i, p in enumerate(found)}
 
 
+def beginnings(pieces: dict[str, int]) -> dict[str, int]:
+    """Numbers of the pieces, and -1 for what pieces only begin with: where neither stands, no longer piece can follow."""
+    return {p[:i]: -1 for p in pieces for i in range(1, len(p))} | pieces
+
+
 def stretches(word: bytes) -> list[str]:
-    """Lower-cased letter runs of a raw word, each marked as a word's begin and cut to stretches."""
-    return [f"▁{run[i : i + WORD_CHARS]}" for run in _RUNS(word.decode("utf-8", "replace").lower()) for i in range(0, len(run), WORD_CHARS)]
+    """Lower-cased letter runs of a raw word, each whole and marked as a word's begin."""
+    return [f"▁{run}" for run in _RUNS(word.decode("utf-8", "replace").lower())]
 
 
 def raw_words(raw: bytes) -> list[bytes]:
@@ -55,24 +64,44 @@ def raw_words(raw: bytes) -> list[bytes]:
 class Lattice:
     """All segmentations of many stretches: edges (stretch, start, end, piece), grouped by their end."""
 
-    def __init__(self, texts: list[str], pieces: dict[str, int]):
+    def __init__(self, texts: list[str], pieces: dict[str, int], known: dict[str, int] | None = None):
         self.lengths = np.fromiter(map(len, texts), np.int64, len(texts))
-        unknown, owner, start, end, piece = len(pieces), [], [], [], []
+        find, unknown, owner, start, end, piece = (known or beginnings(pieces)).get, len(pieces), [], [], [], []
         for w, t in enumerate(texts):
             n = len(t)
             for i in range(n):
-                for j in range(i + 1, min(n, i + PIECE_CHARS) + 1):
-                    if (p := pieces.get(t[i:j])) is None:
-                        if j > i + 1:
-                            continue
-                        p = unknown
+                j = i + 1
+                p = find(t[i:j])
+                if p is None or p < 0:  # the character alone is no piece, but it may begin one
                     owner.append(w)
                     start.append(i)
                     end.append(j)
-                    piece.append(p)
-        self.owner, self.start, self.end, self.piece = (np.array(x, np.int64) for x in (owner, start, end, piece))
-        self.by_end = [np.flatnonzero(self.end == e) for e in range(int(self.lengths.max(initial=0)) + 1)]
-        self.by_start = [np.flatnonzero(self.start == s) for s in range(len(self.by_end))]
+                    piece.append(unknown)
+                while p is not None:
+                    if p >= 0:
+                        owner.append(w)
+                        start.append(i)
+                        end.append(j)
+                        piece.append(p)
+                    if j == n:
+                        break
+                    j += 1
+                    p = find(t[i:j])
+        self.owner, self.start, self.end, self.piece = (np.array(x, np.int32) for x in (owner, start, end, piece))
+        width = int(self.lengths.max(initial=0)) + 1
+        self.by_end, self.by_start = ([order[a:b] for order in [np.argsort(x, kind="stable")] for cuts in [np.searchsorted(x[order], np.arange(width + 1)).tolist()] for a, b in zip(cuts[:-1], cuts[1:])] for x in (self.end, self.start))
+
+    def forward_logs(self, prob: np.ndarray) -> np.ndarray:
+        """forward() in logs, for stretches so long that probabilities would vanish."""
+        alpha = np.full((len(self.lengths), len(self.by_end), prob.shape[1]), -np.inf)
+        alpha[:, 0] = 0
+        logs = np.log(prob)
+        for e, at in enumerate(self.by_end):
+            if at.size:
+                owner = self.owner[at]
+                first = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
+                alpha[owner[first], e] = np.logaddexp.reduceat(alpha[owner, self.start[at]] + logs[self.piece[at]], first)
+        return alpha
 
     def forward(self, prob: np.ndarray) -> np.ndarray:
         """alpha[stretch, position, language] for prob[piece, language]."""
@@ -86,11 +115,13 @@ class Lattice:
         return alpha
 
     def likelihoods(self, prob: np.ndarray) -> np.ndarray:
-        alpha = self.forward(prob)
-        return np.log(alpha[np.arange(len(self.lengths)), self.lengths])
+        at = np.arange(len(self.lengths)), self.lengths
+        return np.log(self.forward(prob)[at]) if self.lengths.max(initial=0) <= PLAIN_CHARS else self.forward_logs(prob)[at]
 
     def expected(self, prob: np.ndarray, weight: np.ndarray) -> np.ndarray:
         """Expected piece counts under one language's probabilities."""
+        if self.lengths.max(initial=0) > PLAIN_CHARS:
+            return self._expected_logs(prob, weight)
         p = prob[:, None]
         alpha = self.forward(p)[:, :, 0]
         beta = np.zeros_like(alpha)
@@ -106,10 +137,40 @@ class Lattice:
         return np.bincount(self.piece, share, len(prob))
 
 
+    def _expected_logs(self, prob: np.ndarray, weight: np.ndarray) -> np.ndarray:
+        logs, end = np.log(prob), (np.arange(len(self.lengths)), self.lengths)
+        alpha = self.forward_logs(prob[:, None])[:, :, 0]
+        beta = np.full_like(alpha, -np.inf)
+        beta[end] = 0
+        for s in range(len(self.by_start) - 1, -1, -1):
+            at = self.by_start[s]
+            if at.size:
+                owner = self.owner[at]
+                first = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
+                beta[owner[first], s] = np.logaddexp.reduceat(logs[self.piece[at]] + beta[owner, self.end[at]], first)
+        share = np.exp(alpha[self.owner, self.start] + logs[self.piece] + beta[self.owner, self.end] - alpha[end][self.owner]) * weight[self.owner]
+        return np.bincount(self.piece, share, len(prob))
+
+
+def bounded(texts: list[str]) -> Iterator[np.ndarray]:
+    """Places of the stretches in bundles of like length, each of LATTICE_CELLS cells at most or a single stretch."""
+    lengths = np.fromiter(map(len, texts), np.int64, len(texts))
+    order = np.argsort(lengths, kind="stable")
+    a = 0
+    while a < len(order):
+        b = a + 1
+        step = max(1, LATTICE_CELLS // int(lengths[order[a]] + 1))
+        b = min(len(order), a + step)
+        while b > a + 1 and ((b - a) * (lengths[order[b - 1]] + 1) > LATTICE_CELLS or (lengths[order[b - 1]] > PLAIN_CHARS) != (lengths[order[a]] > PLAIN_CHARS)):
+            b = a + (b - a) // 2
+        yield np.sort(order[a:b])
+        a = b
+
+
 def fit(counts: dict[str, Counter], pieces: dict[str, int], rounds: int = 3, smooth: float = 0.1) -> tuple[list[str], np.ndarray]:
     """Languages, sorted, and prob[piece, language]; the last row is for a character that the vocabulary lacks."""
     langs = sorted(counts)
-    prob = np.full((len(pieces) + 1, len(langs)), 1e-6)
+    prob, known = np.full((len(pieces) + 1, len(langs)), 1e-6), beginnings(pieces)
     for k, lang in enumerate(langs):
         spread = Counter()
         for word, n in counts[lang].items():
@@ -118,9 +179,9 @@ def fit(counts: dict[str, Counter], pieces: dict[str, int], rounds: int = 3, smo
         texts, weight = list(spread), np.fromiter(spread.values(), float, len(spread))
         p = np.full(len(pieces) + 1, 1 / (len(pieces) + 1))
         if texts:
-            lattice = Lattice(texts, pieces)
+            lattices = [(Lattice([texts[i] for i in at.tolist()], pieces, known), weight[at]) for at in bounded(texts)]
             for _ in range(rounds):
-                got = lattice.expected(p, weight)[:-1] + smooth
+                got = sum(lattice.expected(p, n) for lattice, n in lattices)[:-1] + smooth
                 p[:-1] = got / got.sum()
                 p[-1] = 1e-6
         prob[:, k] = p
@@ -128,8 +189,8 @@ def fit(counts: dict[str, Counter], pieces: dict[str, int], rounds: int = 3, smo
     return langs, prob
 
 
-def sample_counts(docs: DataFrame, sample_docs: int, sample_words: int) -> dict[str, Counter]:
-    """Word counts by language of about `sample_docs` labelled documents a language, taken by a hash of the id, and of each language its `sample_words` most frequent words."""
+def sample_counts(docs: DataFrame, sample_docs: int) -> dict[str, Counter]:
+    """Word counts by language of about `sample_docs` labelled documents a language, taken by a hash of the id: all words of those documents."""
     sizes = {r.lang: r.n for r in docs.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     if not sizes:
         return {}
@@ -146,12 +207,9 @@ def sample_counts(docs: DataFrame, sample_docs: int, sample_words: int) -> dict[
 
     words = chosen.select("lang", "text").mapInArrow(run, "lang string, word binary, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
     out: dict[str, Counter] = {lang: Counter() for lang in sizes}
-    for lang in sizes:
-        for r in words.where(F.col("lang") == lang).orderBy(F.desc("n"), "word").limit(sample_words).collect() if len(sizes) > 64 else ():
-            out[lang][bytes(r.word)] = r.n
-    if len(sizes) <= 64:
-        for r in words.orderBy(F.desc("n"), "lang", "word").limit(sample_words * len(sizes)).collect():
-            out[r.lang][bytes(r.word)] = r.n
+    for batch in words.toArrow().to_batches():
+        for lang, word, n in zip(*(c.to_pylist() for c in batch.columns)):
+            out[lang][word] = n
     return out
 
 
@@ -160,15 +218,22 @@ class Scorer:
 
     def __init__(self, langs: list[str], prob: np.ndarray, pieces: dict[str, int]):
         self.langs, self.prob, self.pieces = langs, prob, pieces
+        self.known = beginnings(pieces)
         self.rows: dict[bytes, int] = {}
+        self.size = 0
         self.table = np.zeros((1024, len(langs) + 1))  # the last column: stretches of letters in the word
 
     def _learn(self, words: list[bytes]) -> None:
-        if len(self.rows) + len(words) > CACHE_ENTRIES:
+        size = sum(map(len, words))
+        if self._full(len(words), size):
             self.rows.clear()
+            self.size = 0
+        self.size += size
         parts = [stretches(w) for w in words]
         flat = [t for p in parts for t in p]
-        score = Lattice(flat, self.pieces).likelihoods(self.prob) if flat else np.zeros((0, len(self.langs)))
+        score = np.zeros((len(flat), len(self.langs)))
+        for at in bounded(flat):
+            score[at] = Lattice([flat[i] for i in at.tolist()], self.pieces, self.known).likelihoods(self.prob)
         base = len(self.rows)
         while base + len(words) > len(self.table):
             self.table = np.concatenate([self.table, np.zeros_like(self.table)])
@@ -179,6 +244,9 @@ class Scorer:
         self.table[base : base + len(words)] = block
         self.rows.update(zip(words, range(base, base + len(words))))
 
+    def _full(self, words: int, size: int) -> bool:
+        return len(self.rows) + words > CACHE_ENTRIES or self.size + size > CACHE_BYTES
+
     def score(self, raws: list[bytes]) -> np.ndarray:
         """Sums over each text's words: a column for each language, and the number of letter stretches."""
         out = np.zeros((len(raws), len(self.langs) + 1))
@@ -187,7 +255,7 @@ class Scorer:
 
         def settle():
             if new:
-                if len(self.rows) + len(new) > CACHE_ENTRIES:  # the cache starts anew: all words of the waiting texts are needed
+                if self._full(len(new), sum(map(len, new))):  # the cache starts anew: all words of the waiting texts are needed
                     new.update(dict.fromkeys(w for _, words in todo for w in words))
                 self._learn(list(new))
                 new.clear()
@@ -207,17 +275,18 @@ class Scorer:
         return out
 
 
-def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample_docs: int = 500, sample_words: int = 40_000) -> DataFrame:
+def identify(docs: DataFrame, train: DataFrame, vocab: str | None = None, sample_docs: int = 500) -> DataFrame:
     """All columns of `docs` with lang_pred and score (0 to 1, the winner's share of the tempered posterior) added.
 
-    train: labelled rows (doc_id, text, lang); about `sample_docs` of them a language, and of those the `sample_words` most frequent
-    words a language (on average), fit the model: these two bound what the driver holds. Predictions use the text alone. A null
-    text, or one without a letter, is 'und' with score 0; so is every text if there is no labelled row. Ties go to the language
-    first in order. An empty table gives no rows; other columns pass through, whatever their names.
+    train: labelled rows (doc_id, text, lang); about `sample_docs` of them a language fit the model, with all their words: this bounds
+    what the driver holds. Predictions use the text alone. A null text, or one without a letter, is 'und' with score 0; so is every
+    text if there is no labelled row. Ties go to the language first in order. An empty table gives no rows, repeated rows one each;
+    other columns pass through, but a column of `docs` named lang_pred or score (in any case) gives way to the new one.
     """
     labelled = pick(train, "doc_id", "text", "lang").where("lang is not null and text is not null")
+    docs = without(docs, "lang_pred", "score")
     pieces = load_pieces(vocab or default_vocab())
-    model = docs.sparkSession.sparkContext.broadcast((*fit(sample_counts(labelled, sample_docs, sample_words), pieces), pieces))
+    model = docs.sparkSession.sparkContext.broadcast((*fit(sample_counts(labelled, sample_docs), pieces), pieces))
     token = uuid.uuid4().hex
     names = docs.columns
     at = names.index("text")

@@ -3,11 +3,13 @@
 Words of the license templates are numbered, and k of them pack into one 64-bit key without loss. Every rolling k-gram of a
 document that holds template words alone (no other can meet a template) is joined to the templates' k-gram positions. Each meeting
 votes for a diagonal, position in the document less position in the template; neighbouring diagonals merge into one span, so that
-a few inserted or lost words don't break it; a span counts once enough of the template's k-grams are met inside it.
+a few inserted or lost words don't break it. Every span with votes enough is then verified: its k-grams have to stand in the
+template's order, within a stretch of bounded length, and still be enough of the template's.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -88,6 +90,51 @@ def _scanner(number: dict[bytes, int], phrases: dict[str, str], k: int):
     return run
 
 
+def aligned(met: list[tuple[int, int]], size: int, gap: int) -> list[tuple[int, int, int]]:
+    """(first position, last position, k-grams) of the stretches in which k-grams (position, place in the template) stand in the template's order.
+
+    The longest rising chain of each stretch is taken; a stretch ends where the next k-gram is farther than the template is long, and
+    is cut at the chain's widest gap while the chain is longer than twice the template and `gap`."""
+    met, out, todo = sorted(met, key=lambda x: (x[0], -x[1])), [], []
+    start = 0
+    for i in range(1, len(met) + 1):
+        if i == len(met) or met[i][0] - met[i - 1][0] > size + gap:
+            todo.append(met[start:i])
+            start = i
+    while todo:
+        part = todo.pop()
+        ends, at, before = [], [], []  # of the best chain of each length: its last place in the template, and where that stands
+        for i, (_, t) in enumerate(part):
+            k = bisect_left(ends, t)
+            ends[k : k + 1], at[k : k + 1] = [t], [i]
+            before.append(at[k - 1] if k else -1)
+        chain, i = [], at[-1]
+        while i >= 0:
+            chain.append(part[i][0])
+            i = before[i]
+        chain.reverse()
+        if chain[-1] - chain[0] <= 2 * size + gap:
+            out.append((chain[0], chain[-1], len(chain)))
+        else:
+            _, cut = max((b - a, b) for a, b in zip(chain[:-1], chain[1:]))
+            todo += [x for x in ([m for m in part if m[0] < cut], [m for m in part if m[0] >= cut]) if x]
+    return out
+
+
+def _verify(k: int, gap: int, least: float):
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for row, template, size, met in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                for first, last, n in aligned([(m["diagonal"] + t, t) for m in met for t in m["met"]], size, gap):
+                    if n >= least * size:
+                        rows.append((row, template, first, last + k, n / size))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.float64()))], ["row", "template", "start", "end", "share"])
+
+    return run
+
+
 def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, phrases: dict[str, str] | None = None, k: int = 4, gap: int = 8, least: float = 0.6) -> tuple[DataFrame, DataFrame]:
     """(rows, spans). rows: a stored table (row, doc_id, n_words, n_base, first_word, last_word, base); spans: (row, template, start, end, share).
 
@@ -99,12 +146,13 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, phra
     schema = "doc_id long, n_words long, n_base long, first_word long, last_word long, base array<string>, grams array<struct<pos: long, key: long>>"
     rows = written(pick(docs, "doc_id", "text").mapInArrow(_scanner(number, phrases or PHRASES, k), schema).withColumn("row", F.monotonically_increasing_id()))
     met = rows.select("row", F.inline("grams")).join(table, "key").withColumn("diagonal", F.col("pos") - F.col("tpos"))
-    votes = met.groupBy("row", "template", "diagonal").agg(F.count("*").alias("votes"), F.min("pos").alias("start"), F.max("pos").alias("end"), F.collect_set("tpos").alias("met"), F.first("size").alias("size"))
+    votes = met.groupBy("row", "template", "diagonal").agg(F.collect_set("tpos").alias("met"), F.first("size").alias("size"))
     by = Window.partitionBy("row", "template").orderBy("diagonal")
     # A document may hold a template often, on far diagonals: each run of near ones is a span of its own.
     runs = votes.withColumn("new", F.coalesce((F.col("diagonal") - F.lag("diagonal").over(by) > gap).cast("int"), F.lit(1))).withColumn("run", F.sum("new").over(by))
-    spans = runs.groupBy("row", "template", "run").agg(F.min("start").alias("start"), (F.max("end") + k).alias("end"), (F.size(F.array_distinct(F.flatten(F.collect_list("met")))) / F.first("size")).alias("share"), F.sum("votes").alias("votes"))
-    return rows.drop("grams"), spans.where(F.col("share") >= least).select("row", "template", "start", "end", "share")
+    spans = runs.groupBy("row", "template", "run").agg(F.first("size").alias("size"), F.collect_list(F.struct("diagonal", "met")).alias("met"))
+    enough = spans.where(F.size(F.array_distinct(F.flatten("met.met"))) >= F.lit(least) * F.col("size"))
+    return rows.drop("grams"), enough.select("row", "template", "size", "met").mapInArrow(_verify(k, gap, least), "row long, template string, start long, end long, share double")
 
 
 def license_labels(docs: DataFrame, **how) -> DataFrame:

@@ -57,19 +57,38 @@ class PrefixCounter:
         return counts
 
     def prefixes(self, text: str) -> np.ndarray:
-        """counts[i]: tokens of the first i bytes of `text` under the text's own pre-tokens; counts[-1]: of the whole text.
-
-        A special string counts once it is whole (0 more until then)."""
-        out = [np.zeros(1, np.int64)]
-        total = 0
-        for k, part in enumerate(text.split(bpe.SPECIAL)):
-            if k:
-                out.append(np.array([total] * (len(bpe.SPECIAL) - 1) + [total + 1]))
+        """counts[i]: tokens of the first i bytes of `text`, encoded by themselves; counts[-1]: of the whole text.
+
+        Where i falls inside a character, its first bytes are taken as they are."""
+        out, total = [np.zeros(1, np.int64)], 0
+        parts = text.split(bpe.SPECIAL)
+        for k, part in enumerate(parts):
+            own = self._plain(part)
+            out.append(own[1:] + total)
+            if k + 1 < len(parts):
+                # A special string that isn't whole yet is plain text, joined to what stands before it.
+                started = self._plain(part + bpe.SPECIAL[:-1])[len(own) :]
+                out.append(np.append(started, own[-1] + 1) + total)
                 total += 1
-            for p in self.bpe.pretokens(part):
-                counts = self.piece(p.encode())
-                out.append(np.array(counts[1:]) + total)
-                total += counts[-1]
+            total += int(own[-1])
+        return np.concatenate(out)
+
+    def _plain(self, text: str) -> np.ndarray:
+        """Counts at every prefix of a text without a special string. A prefix has the text's pre-tokens up to its end, but for two cases:
+        a run of white space is one pre-token where it ends the prefix, though its last character goes with what follows in the text;
+        and an apostrophe with a part of its ending is two."""
+        out, total = [np.zeros(1, np.int64)], 0
+        pretokens = self.bpe.pretokens(text)
+        for k, p in enumerate(pretokens):
+            own = self.piece(p.encode())
+            counts = np.array(own[1:])
+            if p in ("'re", "'ve", "'ll"):
+                counts[1] = 2
+            if k and pretokens[k - 1].isspace() and p[0].isspace():  # p begins with the last character of the run
+                counts[len(p[0].encode()) - 1] = self.piece((pretokens[k - 1] + p[0]).encode())[-1] - last
+            out.append(counts + total)
+            last = own[-1]
+            total += last
         return np.concatenate(out)
 
     def cut(self, text: str, budget: int) -> str:
