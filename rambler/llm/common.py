@@ -11,6 +11,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+# Workers share an executor's memory with the JVM: blocks over 1 MB go back to the system as soon as they are freed (-3 and -1 are
+# glibc's numbers of the thresholds for mapping and trimming; other C libraries lack the call).
+if hasattr(ctypes.CDLL(None), "mallopt"):
+    ctypes.CDLL(None).mallopt(-3, 1 << 20)
+    ctypes.CDLL(None).mallopt(-1, 1 << 20)
+pa.set_memory_pool(pa.system_memory_pool())
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Delimiters become spaces and A-Z lower case; every byte of a non-ASCII character is kept.
 WORD_TABLE = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))

@@ -30,11 +30,11 @@ from .shingles import column_sets, mix
 #: Least hashes kept of a set to find its head by; shingles in more sets than COMMON stand last in the order of the prefixes, by count.
 LEAST, COMMON = 16, 8
 #: Members of a head that meet in one task, from either side; text bytes to a bucket of the index.
-BLOCK, BUCKET_BYTES = 2_048, 16_000_000
+BLOCK, BUCKET_BYTES = 2_048, 4_000_000
 #: Bits of the parity bitmaps, and the least share of common shingles (one of so many) of a set that has one.
 BITS, CROWDED = 512, 20
 #: Hashes that a task gathers before it sends them on.
-GATHERED = 1_000_000
+GATHERED = 400_000
 #: Common shingles that tasks are given at most; with more, only the commonest count as common. The order may be any: the join stays exact.
 COMMON_KEYS = 8_000_000
 NO_ID = 2**63 - 1

@@ -25,7 +25,7 @@ HEAD_WORDS = 100_000
 HEAD_CONTEXTS = 65_536
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
 END_KEY = -1
-CHUNK = 1_000_000
+CHUNK = 400_000
 OTHER, UNSEEN2, ROOT = 1 << 24, 1 << 25, 1 << 26
 _BYTES = np.arange(256)
 

@@ -14,6 +14,8 @@ _LETTER = _RNG.integers(0, 2**63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
 _WORD = _RNG.integers(0, 2**63, 64, np.uint64) * np.uint64(2) + np.uint64(1)
 _BASE = np.uint64(0x9E3779B97F4A7C13)
 _BLANK = np.zeros(256, bool)
+#: Bytes of text hashed at once (a longer text by itself); numpy holds some 80 bytes for each.
+CHUNK = 250_000
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 
 
@@ -50,7 +52,7 @@ def shingle_sets(raws: list[bytes], k: int = 5) -> Iterator[np.ndarray]:
     at = 0
     while at < len(raws):
         end, size = at, 0
-        while end < len(raws) and (end == at or size + len(raws[end]) < 1_000_000):
+        while end < len(raws) and (end == at or size + len(raws[end]) < CHUNK):
             size += len(raws[end]) + 1
             end += 1
         words, bounds = word_hashes(raws[at:end])
