@@ -22,6 +22,7 @@ class WalkGraph:
     """edges: (src, idx, dst, h, label), idx being the edge's 0-based place in its source's list by (dst, label)."""
 
     edges: DataFrame
+    kept: bool = False
 
     @staticmethod
     def from_edges(df: DataFrame, src: str = "src", dst: str = "dst", h: str | None = "h", label: str | None = "label", directed: bool = True, combine: str = "sum") -> WalkGraph:
@@ -34,21 +35,24 @@ class WalkGraph:
         return WalkGraph(index_edges(merged))
 
     def stored(self) -> WalkGraph:
-        """The same graph, computed once and kept in the shared folder."""
-        return WalkGraph(settle(self.edges))
+        """The same graph, computed once and kept in the shared folder; its statistics and pairs are stored too, by their first use."""
+        return WalkGraph(settle(self.edges), True)
+
+    def _once(self, df: DataFrame) -> DataFrame:
+        return settle(df) if self.kept else df
 
     @cached_property
     def node_stats(self) -> DataFrame:
-        return node_stats(self.edges)
+        return self._once(node_stats(self.edges))
 
     @cached_property
     def label_stats(self) -> DataFrame:
-        return self.edges.groupBy("src", "label").agg(F.count("*").alias("n"), F.max("h").alias("h_max"), F.sum("h").alias("h_sum"))
+        return self._once(self.edges.groupBy("src", "label").agg(F.count("*").alias("n"), F.max("h").alias("h_max"), F.sum("h").alias("h_sum")))
 
     @cached_property
     def pairs(self) -> DataFrame:
         """Distinct (src, dst), for edge-existence tests."""
-        return self.edges.select("src", "dst").distinct()
+        return self._once(self.edges.select("src", "dst").distinct())
 
     def chunks(self, size: int = CHUNK) -> DataFrame:
         return adjacency_chunks(self.edges, size)

@@ -14,6 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rambler.functions import rng
+from rambler.functions.store import settle
 from rambler.plans.program import WeightProgram
 
 from .graph import WalkGraph
@@ -95,15 +96,17 @@ def proposals(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed
 
 
 def rejection_rounds(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed: int, trials: int = 8, rounds: int = 2, extra_reads: str = "0") -> tuple[DataFrame, DataFrame]:
-    """(accepted, pending) after bounded rounds; the first accepted trial counts, so the law doesn't depend on trials and rounds."""
-    done, pending, at = None, walkers, 0
+    """(accepted, pending) after bounded rounds; the first accepted trial counts, so the law doesn't depend on trials and rounds.
+
+    Each round's rows are stored (a row for each walker): no round runs twice, and what follows joins plain tables."""
+    done, pending, at = None, settle(walkers), 0
     for r in range(rounds):
         size = trials if r == 0 else trials * 3
         tried = proposals(pending, graph, program, seed, at, size)
         hits = tried.where(F.col("v") * F.col("bound") < F.col("w")).groupBy("walk_id", "cur").agg(F.min_by("dst", "trial").alias("next"), F.min("trial").alias("trial"), F.first(F.expr(extra_reads)).alias("x"))
-        hits = hits.select("walk_id", "next", (F.col("trial") + 1 + F.col("x")).cast("long").alias("reads"), (2 * (F.col("trial") + 1)).cast("long").alias("draws"), F.lit("rejection").alias("mode"))
+        hits = settle(hits.select("walk_id", "next", (F.col("trial") + 1 + F.col("x")).cast("long").alias("reads"), (2 * (F.col("trial") + 1)).cast("long").alias("draws"), F.lit("rejection").alias("mode")))
         done = hits if done is None else done.unionByName(hits)
-        pending = pending.join(hits.select("walk_id"), "walk_id", "left_anti")
+        pending = settle(pending.join(hits.select("walk_id"), "walk_id", "left_anti"))
         at += size
     return done, pending
 
@@ -239,15 +242,22 @@ def adaptive_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram,
         ready = ready.join(true, "walk_id").withColumn("rejects", F.lit(ratio) * F.col("w_max") < F.col("w_sum"))
     else:
         ready = ready.withColumn("rejects", prefers_rejection(kind, program, seed, ratio, threshold))
+    ready = settle(ready)
     done, pending = rejection_rounds(ready.where("rejects"), graph, program, seed, trials, rounds)
     plain = ["walk_id", "step", "prev", "cur"]
-    rest = ready.where("not rejects").select(*plain).unionByName(pending.select(*plain))
+    rest = settle(ready.where("not rejects").select(*plain).unionByName(pending.select(*plain)))
     return done.unionByName(reservoir(rest, graph, program, seed))
 
 
 STEPS = {"keys": key_step, "prefix": prefix_step, "inverse": inverse_step, "rejection_exact": exact_step, "rejection_bound": bound_step, "jump": jump_step, "alias": alias_step, "adaptive": adaptive_step}
 
 
+def bound_soundness(graph: WalkGraph, program: WeightProgram, states: DataFrame) -> DataFrame:
+    """(prev, cur, top, bound) of the given states (prev, cur, step): the greatest weight, and the derived bound, which may not be below it."""
+    top = candidates(states, graph, program).groupBy("prev", "cur", "step").agg(F.max("w").alias("top"))
+    return attach_stats(top, graph, program.needs("deg_prev")).select("prev", "cur", "top", F.expr(program.analysis.bound_sql).alias("bound"))
+
+
 def transition_probabilities(graph: WalkGraph, program: WeightProgram, states: DataFrame) -> DataFrame:
     """(prev, cur, step, dst, w, p) for all candidates of the given states (prev, cur, step): the exact law."""
     rows = candidates(states, graph, program)

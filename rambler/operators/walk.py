@@ -27,7 +27,6 @@ class WalkConfig:
     steps: int = 80
     seed: int = 42
     mode: str = "auto"
-    checkpoint_every: int = 1
     trials: int = 8
     rounds: int = 2
     partitions: int | None = None
@@ -61,6 +60,8 @@ def walk_superstep(graph: WalkGraph, program: WeightProgram, starts: DataFrame,
     options = dict(config.sampler_options)
     if sampler in ("rejection_exact", "rejection_bound", "adaptive"):
         options |= {"trials": config.trials, "rounds": config.rounds}
+    if not graph.kept:
+        graph = graph.stored()  # edges, pairs and statistics are read at every step, but computed once
     now = settle(starts.select("walk_id", F.lit(0).alias("step"), F.lit(None).cast("long").alias("prev"), F.col("start").cast("long").alias("cur")))
     steps = [now.select("walk_id", "step", F.col("cur").alias("node"), *([F.lit(None).cast("long").alias("reads"), F.lit(None).cast("long").alias("draws"), F.lit(None).cast("string").alias("mode")] if log else []))]
     for k in range(min(config.steps, program.depth or config.steps)):

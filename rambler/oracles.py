@@ -5,7 +5,7 @@ from __future__ import annotations
 from rambler.functions import rng
 
 T = {k: str(v << 40) for v, k in enumerate("PART SUPPLIER CUSTOMER ORDER NATION REGION SEGMENT DOCUMENT SOURCE LANG PAGE LINK TURN".split(), 1)}
-_WORDS = "list_filter(regexp_split_to_array(lower(left(text, 400)), '[ \\n]+'), lambda w: w <> '')"
+_WORDS = "list_filter(regexp_split_to_array(lower(text), '[ \\n]+'), lambda w: w <> '')"
 
 RAW = {
     "g1": "SELECT a.l_partkey AS src, b.l_partkey AS dst, a.l_quantity AS h, 0 AS label FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey <> b.l_partkey",
@@ -59,10 +59,11 @@ WEIGHT = {
     "metapath_u": "(CASE WHEN label = step THEN 1 ELSE 0 END)::DOUBLE",
     "sorank_w": "h * CASE WHEN prev IS NULL THEN 1 WHEN linked AND dst <> prev THEN (0.8::DOUBLE / dc + 0.2::DOUBLE / dp) * greatest(dc, dp) ELSE 0.8::DOUBLE / dc * greatest(dc, dp) END",
     "sorank_u": "CASE WHEN prev IS NULL THEN 1::DOUBLE WHEN linked AND dst <> prev THEN (0.8::DOUBLE / dc + 0.2::DOUBLE / dp) * greatest(dc, dp) ELSE 0.8::DOUBLE / dc * greatest(dc, dp) END",
+    "square": "(1 - h) * (1 - h)",
     "brand": "h * CASE WHEN dst % 5 = cur % 5 THEN 3 ELSE 1 END",
 }
-BOUND = {"node2vec_w": "2 * h_max", "node2vec_u": "2::DOUBLE", "static": "h_max"}
-TOTAL = {"node2vec_w": "(0.5 * h_sum + h_sum + 2 * h_sum) / 3", "node2vec_u": "(0.5 * deg + deg + 2 * deg) / 3", "static": "h_sum"}
+BOUND = {"node2vec_w": "2 * h_max", "node2vec_u": "2::DOUBLE", "static": "h_max", "square": "greatest((1 - h_max) * (1 - h_max), (1 - h_max) * (1 - h_min), (1 - h_min) * (1 - h_min))"}
+TOTAL = {"node2vec_w": "(0.5 * h_sum + h_sum + 2 * h_sum) / 3", "node2vec_u": "(0.5 * deg + deg + 2 * deg) / 3", "static": "h_sum", "square": "(1 - h_sum / deg) * (1 - h_sum / deg) * deg"}
 
 
 def candidates(state: str, model: str) -> str:
@@ -81,7 +82,7 @@ def pick(state: str, model: str, sampler: str = "keys", seed: int = 42, ratio: f
     """(walk_id, cur, next): the step's choice for every walker of `state`."""
     c = candidates(state, model)
     key = f"-ln({rng.duck_uniform(seed, 'walk_id', 'step', rng.KEY, 'idx')}) / w"
-    if sampler in ("rejection_bound", "rejection_exact", "adaptive"):
+    if sampler in ("rejection_bound", "rejection_exact") or sampler.startswith("adaptive"):
         key = f"-ln({rng.duck_uniform(seed, 'c.walk_id', 'step', rng.KEY, 'idx')}) / w"
     if sampler == "keys":
         return f"SELECT walk_id, cur, arg_min(dst, {key}) AS next FROM ({c}) WHERE w > 0 GROUP BY walk_id, cur"
@@ -93,13 +94,14 @@ def pick(state: str, model: str, sampler: str = "keys", seed: int = 42, ratio: f
         return f"SELECT walk_id, cur, arg_min(dst, idx) AS next FROM (SELECT *, sum(w) OVER (PARTITION BY walk_id ORDER BY idx) AS acc, sum(w) OVER (PARTITION BY walk_id) AS whole FROM ({c}) WHERE w > 0) WHERE acc > {u} * whole GROUP BY walk_id, cur"
     # Rejection, perhaps for chosen walkers only: the first of 32 trials that accepts, else keys.
     slot, height = rng.duck_uniform(seed, "walk_id", "step", rng.SLOT, "t"), rng.duck_uniform(seed, "walk_id", "step", rng.HEIGHT, "t")
-    chosen = {"rejection_bound": "true", "rejection_exact": "true", "adaptive": f"{ratio} * ({BOUND[model]}) < {TOTAL[model]}"}[sampler]
+    chosen = {"rejection_bound": "true", "rejection_exact": "true", "adaptive": f"{ratio} * ({BOUND[model]}) < {TOTAL[model]}", "adaptive_random": f"{rng.duck_uniform(seed, 'walk_id', 'step', rng.COIN, '0')} < 0.5",
+              "adaptive_degree": "deg >= 100", "adaptive_rejection": "true", "adaptive_reservoir": "false", "adaptive_exact": f"walk_id IN (SELECT walk_id FROM ({c}) GROUP BY walk_id HAVING {ratio} * max(w) < sum(w))"}[sampler]
     bound = "top" if sampler == "rejection_exact" else BOUND[model]
     return f"""SELECT walk_id, cur, coalesce(arg_min(dst, t), arg_min(dst, k)) AS next FROM (
   SELECT c.walk_id, c.cur, c.dst, c.idx, any_value({key}) AS k, min(CASE WHEN v * ({bound}) < w THEN t END) AS t
   FROM (SELECT *, max(w) OVER (PARTITION BY walk_id) AS top FROM ({c}) WHERE w > 0) c
-  LEFT JOIN (SELECT walk_id, t, h_max, h_sum, deg, least(floor({slot} * deg), deg - 1)::INTEGER AS i, {height} AS v
-             FROM (SELECT walk_id, step, deg, h_max, h_sum, unnest(range(32)) AS t FROM {state} JOIN g ON cur = src) WHERE {chosen}) r
+  LEFT JOIN (SELECT walk_id, t, h_max, h_min, h_sum, deg, least(floor({slot} * deg), deg - 1)::INTEGER AS i, {height} AS v
+             FROM (SELECT walk_id, step, deg, h_max, h_min, h_sum, unnest(range(32)) AS t FROM {state} JOIN g ON cur = src) WHERE {chosen}) r
     ON c.walk_id = r.walk_id AND c.idx = r.i
   GROUP BY c.walk_id, c.cur, c.dst, c.idx) GROUP BY walk_id, cur"""
 

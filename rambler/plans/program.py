@@ -201,8 +201,38 @@ def branches(tree: Node) -> list[tuple[str, Node]]:
     return rebuilt
 
 
+#: Statistics and step columns that are never below zero, and those that are above it.
+NEVER_NEGATIVE, ALWAYS_POSITIVE = frozenset({"h", "h_min", "h_max", "h_sum", "step", "linked"}), frozenset({"deg_cur", "deg_prev"})
+
+
+def at_least_zero(node: Node, strictly: bool = False) -> bool:
+    """Whether the value is certain not to be negative (strictly: to be positive)."""
+    if node.kind == "num":
+        return node.value > 0 if strictly else node.value >= 0
+    if node.kind == "var":
+        return node.value in ALWAYS_POSITIVE or not strictly and node.value in NEVER_NEGATIVE
+    if node.kind == "fn":
+        if node.value == "greatest":
+            return any(at_least_zero(a, strictly) for a in node.args)
+        return node.value == "exp" or node.value in ("least", "sqrt") and all(at_least_zero(a, strictly) for a in node.args)
+    if node.kind == "op" and node.value == "+" and len(node.args) == 2:
+        return all(map(at_least_zero, node.args)) and (not strictly or any(at_least_zero(a, True) for a in node.args))
+    if node.kind == "op" and node.value in "*/" and len(node.args) == 2:
+        return at_least_zero(node.args[0], strictly) and at_least_zero(node.args[1], strictly or node.value == "/")
+    return False
+
+
+def _ends(name: str, *corners: Node) -> Node:
+    """The least or greatest of some values."""
+    different = tuple(dict.fromkeys(corners))
+    if all(c.kind == "num" for c in different):
+        return num((min if name == "least" else max)(c.value for c in different))
+    return different[0] if len(different) == 1 else Node("fn", name, different)
+
+
 def interval(node: Node) -> tuple[Node, Node]:
-    """Least and greatest value over a node's edges, in the node's statistics. Values are taken to be non-negative, as weights are."""
+    """Least and greatest value over a node's edges, in the node's statistics. h is never negative; all else may have any sign, so that
+    products and quotients take the extremes of their corners unless the signs are certain."""
     if node.kind == "num":
         return node, node
     if node.kind == "var":
@@ -216,11 +246,27 @@ def interval(node: Node) -> tuple[Node, Node]:
     if node.kind == "fn":
         if node.value not in RISING:
             raise UnboundableProgram(f"{node.value}() isn't known to grow with its arguments")
+        if node.value == "ln" and not at_least_zero(lows[0], True) or node.value == "sqrt" and not at_least_zero(lows[0]):
+            raise UnboundableProgram(f"{node.value}() of what may be too small")
         return Node("fn", node.value, tuple(lows)), Node("fn", node.value, tuple(highs))
-    if node.value in "+*" and len(node.args) == 2:
-        return op(node.value, *lows), op(node.value, *highs)
-    if node.value in "-/" and len(node.args) == 2:
-        return op(node.value, lows[0], highs[1]), op(node.value, highs[0], lows[1])
+    if node.kind == "op" and len(node.args) == 2:
+        (a, c), (b, d) = lows, highs
+        if node.value == "+":
+            return op("+", a, c), op("+", b, d)
+        if node.value == "-":
+            return op("-", a, d), op("-", b, c)
+        if node.value == "*":
+            if at_least_zero(a) and at_least_zero(c):
+                return op("*", a, c), op("*", b, d)
+            corners = [op("*", x, y) for x in (a, b) for y in (c, d)]
+            return _ends("least", *corners), _ends("greatest", *corners)
+        if node.value == "/":
+            if not (at_least_zero(c, True) or c == d and c.kind == "num" and c.value < 0):
+                raise UnboundableProgram("a divisor that may be zero or below")
+            if at_least_zero(a) and at_least_zero(c, True):
+                return op("/", a, d), op("/", b, c)
+            corners = [op("/", x, y) for x in (a, b) for y in (c, d)]
+            return _ends("least", *corners), _ends("greatest", *corners)
     raise UnboundableProgram(f"no bound through {node.value!r}")
 
 

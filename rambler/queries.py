@@ -21,6 +21,7 @@ SQL: dict[str, str] = {}
 MODELS = {
     "static": P.static_walk(), "node2vec_w": P.return_inout(), "node2vec_u": P.return_inout(weighted=False), "metapath_w": P.meta_path(), "metapath_u": P.meta_path(weighted=False),
     "sorank_w": P.second_order_rank(), "sorank_u": P.second_order_rank(weighted=False), "brand": P.WeightProgram("brand", "CASE WHEN dst % 5 = cur % 5 THEN 3 ELSE 1 END"),
+    "square": P.WeightProgram("square", "(1 - h) * (1 - h)", weighted=False),
 }
 
 
@@ -40,7 +41,7 @@ for _g in GRAPHS:
     query(f"{_g}_edges", f"SELECT src, idx, dst, {_h} AS h, label FROM ({O.edges(_g)})")(lambda s, d, g=_g: load_graph(s, d, g).edges.select("src", "idx", "dst", F.round("h", 4 if g == "g8" else 6).alias("h"), "label"))
 
 
-@query("entry", None)
+@query("entry", O.walk("g1", "node2vec_w", "adaptive", 5))
 def flagship(spark, d):
     """Adaptive second-order walks over the co-purchase graph."""
     return random_walks(load_graph(spark, d, "g1").stored(), MODELS["node2vec_w"], sampler="adaptive", config=WalkConfig(steps=5))
@@ -76,6 +77,8 @@ _walk("walk_jump_replicated", "g2", "node2vec_w", "jump", steps=3, mode="replica
 _walk("walk_int8", "g1", "node2vec_w", mode="replicated", weights="int8")
 _walk("walk_typed_star", "g10", "metapath_u", starts=lambda s, d, g: table(s, d, "region").select((F.col("r_regionkey").cast("long") + (6 << 40)).alias("start")), starts_sql=f"SELECT r_regionkey::BIGINT + {O.T['REGION']} AS start FROM region")
 _walk("walk_custom_program", "g1", "brand", mode="replicated")
+_walk("walk_square_reject", "g3", "square", "rejection_bound", steps=3, weights="pareto", alpha=1.5)
+_walk("walk_square_adaptive", "g3", "square", "adaptive", steps=3, mode="replicated", weights="pareto", alpha=1.5)
 _walk("walk_power_law_graph", "g5", "node2vec_w", mode="replicated")
 
 
@@ -87,8 +90,8 @@ def second_states(g, model, seed: int = 42) -> DataFrame:
     return settle(moved.select("walk_id", F.lit(1).alias("step"), F.col("cur").alias("prev"), F.col("next").alias("cur")))
 
 
-def _step(name, graph, model, sampler, oracle=True, **options):
-    @query(name, O.step(graph, model, sampler) if oracle else None)
+def _step(name, graph, model, sampler, oracle=True, sampler_sql=None, **options):
+    @query(name, O.step(graph, model, sampler_sql or sampler) if oracle else None)
     def run(spark, d):
         g = load_graph(spark, d, graph).stored()
         return S.STEPS[sampler](second_states(g, MODELS[model]), g, MODELS[model], 42, **options).select("walk_id", "next")
@@ -104,7 +107,7 @@ _step("step_adaptive", "g3", "node2vec_w", "adaptive")
 _step("step_alias", "g3", "node2vec_w", "alias", oracle=False)
 _step("step_reservoir_jump", "g4", "node2vec_w", "jump", oracle=False)
 for _kind, _options in {"random": {}, "degree": {"threshold": 100}, "rejection": {}, "reservoir": {}, "exact": {}}.items():
-    _step(f"step_select_{_kind}", "g4", "node2vec_w", "adaptive", oracle=False, kind=_kind, **_options)
+    _step(f"step_select_{_kind}", "g4", "node2vec_w", "adaptive", sampler_sql=f"adaptive_{_kind}", kind=_kind, **_options)
 
 
 # Exact laws, bounds, estimates and selection ----------------------------------------------------------------------------
@@ -145,7 +148,6 @@ for _kind, _test in (("choice", f"2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']}"),
         lambda s, d, k=_kind: node_estimates(load_graph(s, d, "g4"), MODELS["node2vec_w"]).withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection({"choice": "cost"}.get(k, k), MODELS["node2vec_w"], 42, 2.0, 100).alias("rejects")))
 query("selector_random", f"{_stats_sql('g4')} SELECT src, {O.rng.duck_uniform(42, 'src', '0', O.rng.COIN, '0')} < 0.5 AS rejects FROM g")(
     lambda s, d: load_graph(s, d, "g4").node_stats.withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection("random", MODELS["node2vec_w"], 42).alias("rejects")))
-_TRUE = "SELECT src, deg, max({w}) AS top, sum({w}) AS whole FROM e JOIN g USING (src) GROUP BY src, deg"
 query("expected_trials_exact", f"{_stats_sql('g5')} SELECT src, round(deg * h_max / h_sum, 6) AS trials FROM g")(lambda s, d: load_graph(s, d, "g5").node_stats.select("src", F.round(F.col("deg") * F.col("h_max") / F.col("h_sum"), 6).alias("trials")))
 @query("expected_trials_bound", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
 c AS ({O.candidates('s', 'node2vec_w')}) SELECT prev, cur, round(any_value(deg) * 2 * any_value(h_max) / sum(w), 6) AS trials, round(2 * any_value(h_max) / max(w), 6) AS looseness FROM c JOIN g ON cur = src GROUP BY prev, cur""")
@@ -158,6 +160,16 @@ def expected_trials_bound(spark, d):
     return both.select("prev", "cur", F.round(F.col("deg_cur") * F.col("bound") / F.col("whole"), 6).alias("trials"), F.round(F.col("bound") / F.col("top"), 6).alias("looseness"))
 
 
+@query("bound_soundness", f"""WITH {O.with_graph('g3', weights='pareto', alpha=1.5)}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', 'square')}), t AS (SELECT cur, max(w) AS top FROM c WHERE w > 0 GROUP BY cur)
+SELECT cur, round(top / {O.BOUND['square']}, 6) AS share, false AS exceeded FROM t JOIN g ON cur = src""")
+def bound_soundness(spark, d):
+    """The greatest weight of each node as a share of the derived bound, for a weight whose factors change their sign."""
+    g = load_graph(spark, d, "g3", "pareto", 1.5).stored()
+    found = S.bound_soundness(g, MODELS["square"], all_states(g)).select("cur", "top", "bound").distinct()
+    return found.select("cur", F.round(F.col("top") / F.col("bound"), 6).alias("share"), (F.col("top") > F.col("bound")).alias("exceeded"))
+
+
 @query("estimate_quality", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
 c AS ({O.candidates('s', 'node2vec_w')}), t AS (SELECT prev, cur, max(w) AS top, sum(w) AS whole FROM c GROUP BY prev, cur)
 SELECT prev, cur, round({O.TOTAL['node2vec_w']} / whole, 6) AS sum_ratio, round(2 * h_max / top, 6) AS bound_ratio, (2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']}) <> (2.0 * top < whole) AS regret FROM t JOIN g ON cur = src""")
@@ -193,15 +205,22 @@ for _scheme, _alpha in (("uniform", None), ("pareto", 1.5), ("degree", None), ("
 query("ws_label", f"SELECT src, dst, label FROM ({O.edges('g3', labels=True)})")(lambda s, d: load_graph(s, d, "g3", labels=True).edges.select("src", "dst", "label"))
 
 
-@query("weight_cv_hist", f"""WITH {O.with_graph('g9')}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
-c AS ({O.candidates('s', 'sorank_w')}), t AS (SELECT prev, cur, sum(w) AS whole FROM c GROUP BY prev, cur)
-SELECT CAST(floor(cv / 5) AS BIGINT) AS bin, count(*) AS n FROM (SELECT cur, 100 * stddev_pop(whole) / avg(whole) AS cv FROM t GROUP BY cur) GROUP BY 1""")
+def _cv_sql(g):
+    return f"""SELECT '{g}' AS graph, CAST(floor(cv / 5) AS BIGINT) AS bin, count(*) AS n FROM (WITH {O.with_graph(g)}, s AS (SELECT row_number() OVER () AS walk_id, 1 AS step, prev, cur FROM (SELECT DISTINCT src AS prev, dst AS cur FROM e)),
+c AS ({O.candidates('s', 'node2vec_w')}), t AS (SELECT prev, cur, sum(w) AS whole FROM c GROUP BY prev, cur) SELECT cur, round(100 * stddev_pop(whole) / avg(whole), 6) + 1e-9 AS cv FROM t GROUP BY cur) GROUP BY 2"""
+
+
+@query("weight_cv_hist", f"{_cv_sql('g4')} UNION ALL {_cv_sql('g6')}")
 def weight_cv_hist(spark, d):
-    """Variation of a node's weight sum over the states it can be met in, in bins of 5 per cent."""
-    g = load_graph(spark, d, "g9").stored()
-    whole = S.candidates(all_states(g), g, MODELS["sorank_w"]).groupBy("prev", "cur").agg(F.sum("w").alias("whole"))
-    cv = whole.groupBy("cur").agg((100 * F.stddev_pop("whole") / F.avg("whole")).alias("cv"))
-    return cv.groupBy(F.floor(F.col("cv") / 5).alias("bin")).agg(F.count("*").alias("n"))
+    """Variation of a node's weight sum over the states it can be met in, in bins of 5 per cent, on a graph with hubs and a sparse one."""
+    out = None
+    for name in ("g4", "g6"):
+        g = load_graph(spark, d, name).stored()
+        whole = S.candidates(all_states(g), g, MODELS["node2vec_w"]).groupBy("prev", "cur").agg(F.sum("w").alias("whole"))
+        cv = whole.groupBy("cur").agg((F.round(100 * F.stddev_pop("whole") / F.avg("whole"), 6) + 1e-9).alias("cv"))
+        part = cv.groupBy(F.lit(name).alias("graph"), F.floor(F.col("cv") / 5).alias("bin")).agg(F.count("*").alias("n"))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query("program_analysis", None)

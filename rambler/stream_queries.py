@@ -32,7 +32,7 @@ def dedup(s, d):
     return T.run(T.stream_dedup_edges(T.event_stream(s, d)), "append").select("event_id")
 
 
-@query("stream_walk_queries", O.walk("g6", "node2vec_w", "keys", 3, starts="SELECT DISTINCT user_id AS start FROM events WHERE event_id < 100"))
+@query("stream_walk_queries", O.walk("g6", "node2vec_w", "keys", 3, starts="SELECT DISTINCT user_id AS start FROM events"))
 def walk_queries(s, d):
     """Every user of the stream asks for a walk; the id of the walk is the user's."""
     asked = T.event_stream(s, d).select(F.col("user_id").alias("walk_id"), F.col("user_id").alias("start")).dropDuplicates(["walk_id", "start"])

@@ -54,12 +54,12 @@ def edge_list_text(s, d):
     return s.read.text(path).where("not value like '#%'").select(F.split("value", r"\s+").alias("p")).select(F.col("p")[0].cast("long").alias("src"), F.col("p")[1].cast("long").alias("dst"))
 
 
-@query("bucketed_store", None)
+@query("bucketed_store", f"WITH {_E('g9')} SELECT src, idx, dst, round(h, 6) AS h, label FROM e")
 def bucketed_store(s, d):
     """Edges in buckets by source, read again: a join on the source needs no shuffle of them."""
     name = f"edges_{uuid.uuid4().hex}"
     write_graph(load_graph(s, d, "g9"), name, 8)
-    back = settle(read_graph(s, name).edges)
+    back = settle(read_graph(s, name).edges.withColumn("h", F.round("h", 6)))
     s.sql(f"DROP TABLE {name}")
     return back
 
@@ -100,7 +100,7 @@ def proposal_lookup(s, d):
     return S.proposals(ready, g, MODELS["static"], 42, 0, 4).select("walk_id", F.col("trial").cast("long").alias("trial"), "dst")
 
 
-_PAIRS = "SELECT DISTINCT a.src AS prev, a.dst AS cur, b.dst FROM e a JOIN e b ON a.dst = b.src WHERE a.src % 7 = 0"
+_PAIRS = "SELECT DISTINCT a.src AS prev, a.dst AS cur, b.dst FROM e a JOIN e b ON a.dst = b.src"
 
 
 @query("linked_left", f"WITH {_E('g9')}, t AS ({_PAIRS}) SELECT prev, cur, t.dst, p.src IS NOT NULL AS linked FROM t LEFT JOIN (SELECT DISTINCT src, dst FROM e) p ON prev = p.src AND t.dst = p.dst")
@@ -163,8 +163,8 @@ def filter_starts(s, d):
     return table(s, d, "documents").select("doc_id").join(table(s, d, "labels").where("quality = 1 and toxic = 0"), "doc_id", "left_semi")
 
 
-query("temporal_edges_before", "SELECT l_suppkey AS src, l_partkey AS dst, l_shipdate AS at FROM lineitem WHERE l_shipdate < TIMESTAMP '1995-01-01'")(
-    lambda s, d: table(s, d, "lineitem").where("l_shipdate < timestamp '1995-01-01'").select(F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst"), F.col("l_shipdate").alias("at")))
+query("temporal_edges_before", "SELECT l_suppkey AS src, l_partkey AS dst, l_shipdate AS at FROM lineitem WHERE l_shipdate < TIMESTAMP '1996-06-01'")(
+    lambda s, d: table(s, d, "lineitem").where("l_shipdate < timestamp '1996-06-01'").select(F.col("l_suppkey").alias("src"), F.col("l_partkey").alias("dst"), F.col("l_shipdate").alias("at")))
 query("label_pruned_edges", f"WITH {_E('g10')} SELECT src, dst FROM e WHERE label = 2")(lambda s, d: edges(s, d, "g10").where("label = 2").select("src", "dst"))
 query("events_k_edges", "SELECT user_id AS src, props->>'$.k' AS k, count(*) AS n FROM events GROUP BY 1, 2")(lambda s, d: table(s, d, "events").groupBy(F.col("user_id").alias("src"), F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))
 
