@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass, field
 from functools import reduce
@@ -309,6 +310,34 @@ def _batch(walk, step, node, reads, draws, by_trial, log) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(columns, names)
 
 
+def profile_ratio(graph: WalkGraph, program: WeightProgram, nodes: int = 2000, repeats: int = 3, seed: int = 42) -> DataFrame:
+    """(ratio, trial_ns, read_ns): what a rejection trial costs beside a candidate of the reservoir, both timed in one task on walkers
+    from `nodes` nodes (those of the least hashes; a bounded sample), the best of `repeats` runs. No row if the program has no bound."""
+    spark = graph.edges.sparkSession
+    starts = one_per_node(graph).orderBy(F.xxhash64("start"), "start").limit(nodes)
+    near = graph.edges.join(F.broadcast(starts), F.col("src") == F.col("start"), "left_semi")
+    table = near.select("src", "dst", "h", "label").toArrow()
+    shared = spark.sparkContext.broadcast(tuple(table.column(c).to_numpy() for c in ("src", "dst", "h", "label")))
+    program.full, program.analysis  # parsed once, here  # noqa: B018
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _ in batches:
+            csr = Csr(*shared.value)
+            if program.analysis.bound is None or not len(csr.nodes):
+                continue
+            row = np.arange(len(csr.nodes))
+            walk, none, best = csr.nodes, np.full(len(row), -1, np.int64), {}
+            for k in range(repeats):
+                for how in ("keys", "rejection_bound"):
+                    began = time.perf_counter()
+                    _, reads, draws, _ = advance(csr, program, how, WalkConfig(seed=seed), walk, row, none, none, k)
+                    cost = (time.perf_counter() - began) * 1e9 / max(1, (reads if how == "keys" else draws // 2).sum())
+                    best[how] = min(best.get(how, np.inf), cost)
+            yield pa.RecordBatch.from_arrays([pa.array([best["rejection_bound"] / best["keys"]]), pa.array([best["rejection_bound"]]), pa.array([best["keys"]])], ["ratio", "trial_ns", "read_ns"])
+
+    return spark.range(0, 1, 1, 1).mapInArrow(run, "ratio double, trial_ns double, read_ns double")
+
+
 def walk_log(graph: WalkGraph, program: WeightProgram, starts: DataFrame | None, sampler: str, config: WalkConfig) -> DataFrame:
     """The walk's steps with what each cost: (walk_id, step, node, reads, draws, mode)."""
     starts = one_per_node(graph) if starts is None else starts

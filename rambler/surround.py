@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 
 from pyspark.sql import DataFrame, Window
@@ -11,8 +12,8 @@ from rambler import oracles as O
 from rambler.functions.store import settle, shared_dir
 from rambler.operators import samplers as S
 from rambler.operators.graph import read_graph, write_graph
-from rambler.operators.walk import WalkConfig, one_per_node, placed, random_walks, walk_log
-from rambler.queries import MODELS, query
+from rambler.operators.walk import WalkConfig, one_per_node, placed, profile_ratio, random_walks, walk_log
+from rambler.queries import MODELS, QUERIES, query
 from rambler.sources.catalog import load_graph, table
 
 W = "w AS MATERIALIZED (" + O.walk("g9", "node2vec_w") + ")"
@@ -217,14 +218,19 @@ for _name, _op in (("edges_union_reverse", "UNION"), ("edges_intersect_reciproca
 
 
 # Measures and experiments -----------------------------------------------------------------------------------------------
+#: Steps of the experiments' walks. On the word graph, whose hubs have thousands of neighbours, second-order walks of every node by
+#: reservoirs pass any time limit at full length, so all samplers take as many steps there as make the weights dynamic.
+STEPS = {"g5": 3}
+
+
 def counters(s, d, graphs, samplers, weights=(("natural", None),), model="node2vec_w", **options) -> DataFrame:
-    """Mean reads and draws of a step of WalkConfig's long walks, and the share of rejection, by graph, sampler and weights: what the paper's ablations turn on."""
+    """Mean reads and draws of a step of long walks from every node, and the share of rejection, by graph, sampler and weights: what the ablations turn on."""
     out = None
     for graph in graphs:
         for scheme, alpha in weights:
             g = load_graph(s, d, graph, scheme, alpha).stored()
             for sampler in samplers:
-                log = walk_log(g, MODELS[model], None, sampler, WalkConfig(mode="replicated", sampler_options=options))
+                log = walk_log(g, MODELS[model], None, sampler, WalkConfig(steps=STEPS.get(graph, 80), mode="replicated", sampler_options=options))
                 row = log.agg(F.count("*").alias("steps"), F.round(F.avg("reads"), 6).alias("reads"), F.round(F.avg("draws"), 6).alias("draws"), F.round(F.avg((F.col("mode") == "rejection").cast("int")), 6).alias("rejection"))
                 row = row.select(F.lit(graph).alias("graph"), F.lit(scheme).alias("weights"), F.lit(alpha).cast("double").alias("alpha"), F.lit(sampler).alias("sampler"), "*")
                 out = row if out is None else out.unionByName(row)
@@ -236,6 +242,52 @@ SOCIAL = ("g1", "g2", "g5")
 query("x1_four_samplers")(
     lambda s, d: counters(s, d, (*SOCIAL, "g8"), ("inverse", "alias", "rejection_exact", "prefix")).withColumn("model", F.lit("node2vec_w"))
     .unionByName(counters(s, d, (*SOCIAL, "g8"), ("inverse", "alias", "rejection_bound", "prefix"), model="node2vec_u").withColumn("model", F.lit("node2vec_u"))))
+WORKLOADS = ("node2vec_w", "node2vec_u", "metapath_w", "metapath_u", "sorank_w")
+BASELINES = ("inverse", "alias", "prefix", "rejection_exact", "adaptive")
+#: Seconds after which a run is marked as out of time.
+TIME_LIMIT = 600.0
+
+
+@query("x2_main_table")
+def x2_main_table(s, d):
+    """Run times of five workloads by all baselines and by selection, and how many times faster selection is; with the geometric mean and
+    the maximum over all workloads (workload 'all')."""
+    rows = []
+    for graph in ("g1", "g2"):
+        g = load_graph(s, d, graph, "uniform", labels=True).stored()
+        for workload in WORKLOADS:
+            for sampler in BASELINES:
+                began = time.perf_counter()
+                steps = random_walks(g, MODELS[workload], None, sampler, WalkConfig(mode="replicated")).where("step > 0").count()
+                rows.append((graph, workload, sampler, steps, time.perf_counter() - began))
+    runs = s.createDataFrame(rows, "graph string, workload string, sampler string, steps long, seconds double")
+    own = runs.where("sampler = 'adaptive'").select("graph", "workload", F.col("seconds").alias("own"))  # a row for each run above
+    out = runs.join(own, ["graph", "workload"]).select("graph", "workload", "sampler", "steps", "seconds", (F.col("seconds") / F.col("own")).alias("speedup"), (F.col("seconds") > TIME_LIMIT).alias("out_of_time")).withColumn("largest", F.col("speedup"))
+    whole = out.groupBy("graph", "sampler").agg(F.sum("steps").alias("steps"), F.sum("seconds").alias("seconds"), F.exp(F.avg(F.log("speedup"))).alias("speedup"), F.max("out_of_time").alias("out_of_time"), F.max("speedup").alias("largest"))
+    return out.unionByName(whole.withColumn("workload", F.lit("all")))
+
+
+query("x6_weight_variation")(lambda s, d: QUERIES["weight_cv_hist"](s, d))
+query("x10_selection_ratio")(lambda s, d: QUERIES["selection_ratio_alpha"](s, d))
+
+
+@query("x11_overhead")
+def x11_overhead(s, d):
+    """Seconds of profiling and of preprocessing beside those of the walks, and the profiled cost ratio, by graph."""
+    rows = []
+    for graph in ("g1", "g2", "g3"):
+        g = load_graph(s, d, graph, "uniform").stored()
+        began = time.perf_counter()
+        ratio = profile_ratio(g, MODELS["node2vec_w"]).first()["ratio"]
+        profiled = time.perf_counter()
+        g.node_stats.count()
+        ready = time.perf_counter()
+        random_walks(g, MODELS["node2vec_w"], None, "adaptive", WalkConfig(mode="replicated", sampler_options={"ratio": ratio})).count()
+        rows.append((graph, ratio, profiled - began, ready - profiled, time.perf_counter() - ready))
+    table = s.createDataFrame(rows, "graph string, ratio double, profile double, preprocess double, walks double")
+    return table.withColumn("share", (F.col("profile") + F.col("preprocess")) / (F.col("profile") + F.col("preprocess") + F.col("walks")))
+
+
 query("x3_power_law")(lambda s, d: counters(s, d, SOCIAL, ("rejection_exact", "prefix", "adaptive"), ALPHA))
 query("x4_degree_weights")(lambda s, d: counters(s, d, SOCIAL, ("rejection_exact", "prefix", "adaptive"), (("degree", None),)))
 query("x5_skew_sensitivity")(lambda s, d: counters(s, d, ("g1", "g5"), ("rejection_bound", "jump"), ALPHA))
