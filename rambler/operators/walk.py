@@ -17,7 +17,7 @@ from rambler.functions.store import settle
 from rambler.plans.program import WeightProgram
 
 from .graph import WalkGraph
-from .samplers import STEPS, alias_table, jump_pick
+from .samplers import STEPS, alias_table
 
 #: Edges up to which mode 'auto' replicates the graph (about 40 bytes each in every worker).
 REPLICATED_EDGES = 25_000_000
@@ -137,20 +137,8 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
         out[owner[hit][::-1]] = edge[hit][::-1]
         return out, positive, positive
     if how == "jump":
-        reads, draws = positive, np.zeros(len(row), np.int64)
-        state = rng.states(seed, walk, np.full(len(walk), step), rng.JUMP)
-        ends = np.append(first[1:], len(edge))
-        for i in np.flatnonzero(positive).tolist():
-            mine = np.flatnonzero(w[first[i] : ends[i]] > 0) + first[i]
-            best, own = -np.inf, (state[0][i : i + 1], state[1][i : i + 1])
-            for lane in range(int(idx[mine[-1]]) // 4096 + 1):
-                part = mine[idx[mine] // 4096 == lane]
-                if len(part):
-                    at, key, n = jump_pick(w[part], lambda k, ln: float(rng.uniforms(own, np.array([(ln << 20) + k]))[0]), lane)
-                    draws[i] += n
-                    if key > best:
-                        best, out[i] = key, edge[part[at]]
-        return out, reads, draws
+        out, draws = _jumps(w, owner, edge, idx, rng.states(seed, walk, np.full(len(walk), step), rng.JUMP), len(row))
+        return out, positive, draws
     if how == "alias":
         state, ends = rng.states(seed, walk, np.full(len(walk), step), rng.PICK), np.append(first[1:], len(edge))
         slots, coins = (rng.uniforms(state, np.full(len(walk), k)) for k in (0, 1))
@@ -175,6 +163,40 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
     return out, 2 * positive, np.ones(len(row), np.int64)
 
 
+def _jumps(w, owner, edge, idx, state, walkers: int, lane: int = 4096) -> tuple[np.ndarray, np.ndarray]:
+    """(edge or -1, draws) of each walker by keys with jumps: all lanes jump at once, over one running sum of weights scaled to each lane's largest."""
+    out, draws = np.full(walkers, -1, np.int64), np.zeros(walkers, np.int64)
+    some = np.flatnonzero(w > 0)
+    if not len(some):
+        return out, draws
+    who, part = owner[some], idx[some] // lane
+    first = np.flatnonzero(np.concatenate([[True], (who[1:] != who[:-1]) | (part[1:] != part[:-1])]))
+    end, mine, number = np.append(first[1:], len(some)), who[first], part[first]
+    top = np.maximum.reduceat(w[some], first)
+    v = np.maximum(w[some] / np.repeat(top, end - first), 1e-300)
+    acc = np.cumsum(v)
+    draw = lambda units, k: rng.uniforms((state[0][mine[units]], state[1][mine[units]]), (number[units] << 20) + k)
+    every, n = np.arange(len(first)), np.ones(len(first), np.int64)
+    best, at = np.log(draw(every, 0)) / v[first], first.copy()
+    active = every[best < 0]
+    while len(active):
+        with np.errstate(over="ignore"):
+            to = np.maximum(np.searchsorted(acc, acc[at[active]] + np.log(draw(active, n[active])) / best[active]), at[active] + 1)
+        n[active] += 1
+        active, to = active[to < end[active]], to[to < end[active]]
+        # The landing's key is drawn given that it beats the best one.
+        low = np.exp(v[to] * best[active])
+        best[active] = np.log(low + draw(active, n[active]) * (1 - low)) / v[to]
+        n[active] += 1
+        at[active] = to
+        active = active[best[active] < 0]
+    with np.errstate(over="ignore"):
+        order = np.lexsort((best / top, mine))
+    last = np.flatnonzero(np.append(mine[order][1:] != mine[order][:-1], True))
+    out[mine[order[last]]] = edge[some[at[order[last]]]]
+    return out, np.bincount(mine, n, walkers).astype(np.int64)
+
+
 def _rejected(csr: Csr, program, seed, bound, limit, walk, row, prev, prev_row, step) -> tuple[np.ndarray, np.ndarray]:
     """(edge or -1, trials made) after at most `limit` trials, all pending walkers trying together."""
     out, trials = np.full(len(row), -1, np.int64), np.zeros(len(row), np.int64)
