@@ -89,6 +89,12 @@ def give_back() -> None:
         trim(0)
 
 
+def release() -> None:
+    """Frees the object that a worker holds for a stage."""
+    _HELD.clear()
+    give_back()
+
+
 def per_worker(token: str, build):
     """What `build` makes, once for each token in a worker process. Workers serve many stages: only the latest token's object is kept."""
     if token not in _HELD:

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_texts, per_worker, pick, written
+from .common import byte_texts, give_back, per_worker, pick, release, written
 from .shingles import word_hashes
 
 #: Words whose counts all tasks are given (the most frequent); the others' counts are joined.
@@ -26,6 +26,8 @@ HEAD_CONTEXTS = 65_536
 #: Words end at blanks, so no word has this hash but by chance; it stands for the end of a text.
 END_KEY = -1
 CHUNK = 400_000
+#: Words (and half the bytes) that a task gathers before it counts them and hands the counts on.
+GATHERED = 2_500_000
 OTHER, UNSEEN2, ROOT = 1 << 24, 1 << 25, 1 << 26
 _BYTES = np.arange(256)
 
@@ -60,16 +62,17 @@ def _gather(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, n = np.unique(np.concatenate(parts), return_counts=True)
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int32)), pa.array(keys.view(np.int64) if signed else keys.astype(np.int64)), pa.array(n.astype(np.int64))], ["kind", "key", "n"])
 
+    release()  # a model of an earlier stage that this worker still holds
     words, bytes_, texts = [], [], 0
     for batch in batches:
         for raws in chunks(byte_texts(batch.column(0))):
             words.append(word_hashes(raws)[0])
             bytes_.append(grams(raws)[0])
             texts += len(raws)
-            if sum(map(len, words)) > 8_000_000:
+            if sum(map(len, words)) > GATHERED:
                 yield out(0, words, True)
                 words = []
-            if sum(map(len, bytes_)) > 16_000_000:
+            if sum(map(len, bytes_)) > 2 * GATHERED:
                 yield out(1, bytes_, False)
                 bytes_ = []
     if words:
@@ -77,6 +80,7 @@ def _gather(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     if bytes_:
         yield out(1, bytes_, False)
     if texts:
+        give_back()
         yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([END_KEY], pa.int64()), pa.array([texts], pa.int64())], ["kind", "key", "n"])
 
 
