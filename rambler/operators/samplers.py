@@ -153,6 +153,50 @@ def jump_pick(w: np.ndarray, draw, lane: int = 0) -> tuple[int, float, int]:
             return best_at, float(best), n
 
 
+def jump_lanes(w, owner, idx, state, walkers: int, lane: int = LANE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(place in w or -1, log of the best key, draws) of each walker by keys with jumps: all lanes jump at once, over one running sum of weights scaled to each lane's largest."""
+    out, top_key, draws = np.full(walkers, -1, np.int64), np.full(walkers, -np.inf), np.zeros(walkers, np.int64)
+    some = np.flatnonzero(w > 0)
+    if not len(some):
+        return out, top_key, draws
+    who, part = owner[some], idx[some] // lane
+    first = np.flatnonzero(np.concatenate([[True], (who[1:] != who[:-1]) | (part[1:] != part[:-1])]))
+    end, mine, number = np.append(first[1:], len(some)), who[first], part[first]
+    top = np.maximum.reduceat(w[some], first)
+    v = np.maximum(w[some] / np.repeat(top, end - first), 1e-300)
+    acc = np.cumsum(v)
+    draw = lambda units, k: rng.uniforms((state[0][mine[units]], state[1][mine[units]]), (number[units] << 20) + k)
+    every, n = np.arange(len(first)), np.ones(len(first), np.int64)
+    best, at = np.log(draw(every, 0)) / v[first], first.copy()
+    active = every[best < 0]
+    while len(active):
+        with np.errstate(over="ignore"):
+            to = np.maximum(np.searchsorted(acc, acc[at[active]] + np.log(draw(active, n[active])) / best[active]), at[active] + 1)
+        n[active] += 1
+        active, to = active[to < end[active]], to[to < end[active]]
+        # The landing's key is drawn given that it beats the best one.
+        low = np.exp(v[to] * best[active])
+        best[active] = np.log(low + draw(active, n[active]) * (1 - low)) / v[to]
+        n[active] += 1
+        at[active] = to
+        active = active[best[active] < 0]
+    with np.errstate(over="ignore"):
+        key = best / top
+    order = np.lexsort((key, mine))
+    last = order[np.flatnonzero(np.append(mine[order][1:] != mine[order][:-1], True))]
+    out[mine[last]], top_key[mine[last]] = some[at[last]], key[last]
+    return out, top_key, np.bincount(mine, n, walkers).astype(np.int64)
+
+
+def stretches(deg: np.ndarray, limit: int = 1_000_000) -> Iterator[slice]:
+    """Slices of walkers whose candidates number about `limit` at most, so memory is bounded."""
+    if len(deg):
+        block = (np.cumsum(deg) - deg) // limit
+        cuts = np.flatnonzero(np.diff(block)) + 1
+        for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(deg)]):
+            yield slice(a, b)
+
+
 def alias_table(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(probability of the slot's own item, the other item): at most two owners a slot."""
     n = len(w)
@@ -190,12 +234,15 @@ def jump_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for walk, step, k, dst, w in _rows(batch):
-                at, best, n = jump_pick(w, _draws(seed, walk, step, rng.JUMP), k)
-                out.append((walk, int(dst[at]), best, len(w), n))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.int64()))], ["walk_id", "dst", "best", "reads", "draws"])
+            walk, step, number = (batch.column(i).to_numpy() for i in range(3))
+            offsets, dst, w = batch.column(3).offsets.to_numpy(), batch.column(3).values.to_numpy(), batch.column(4).values.to_numpy()
+            size = np.diff(offsets)
+            for part in stretches(size):
+                first, last = int(offsets[part.start]), int(offsets[part.stop])
+                owner = np.repeat(np.arange(part.stop - part.start), size[part])
+                idx = number[part][owner].astype(np.int64) * lane + np.arange(last - first) - (offsets[part] - first)[owner]
+                at, best, n = jump_lanes(w[first:last], owner, idx, rng.states(seed, walk[part], step[part], rng.JUMP), len(size[part]), lane)
+                yield pa.RecordBatch.from_arrays([pa.array(walk[part]), pa.array(dst[first + at]), pa.array(best), pa.array(size[part].astype(np.int64)), pa.array(n)], ["walk_id", "dst", "best", "reads", "draws"])
 
     lanes = _lists(walkers, graph, program, lane).mapInArrow(run, "walk_id long, dst long, best double, reads long, draws long")
     return lanes.groupBy("walk_id").agg(F.max_by("dst", "best").alias("next"), F.sum("reads").alias("reads"), F.sum("draws").alias("draws")).withColumn("mode", F.lit("jump"))
@@ -232,8 +279,14 @@ def prefers_rejection(kind: str, program: WeightProgram, seed: int, ratio: float
     }[kind]
 
 
-def adaptive_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed: int, kind: str = "cost", ratio: float = 2.0, threshold: int = 1000, trials: int = 8, rounds: int = 2, reservoir=key_step) -> DataFrame:
-    """Each walker takes the sampler that the selector prefers for it now. Expects stored walkers, as both branches read them."""
+def step_costs(ratio: float = 2.0) -> dict[str, Column]:
+    """Costs of a step over (deg_cur, bound, est_sum), in reads of a candidate: the reservoir reads the list; a trial costs `ratio`, and deg * bound / sum of them are expected."""
+    return {"cost_reservoir": F.col("deg_cur").cast("double"), "cost_rejection": F.lit(ratio) * F.col("deg_cur") * F.col("bound") / F.col("est_sum")}
+
+
+def adaptive_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed: int, kind: str = "cost", ratio: float = 2.0, threshold: int = 1000, trials: int = 8, rounds: int = 2, reservoir: str = "keys") -> DataFrame:
+    """Each walker takes the sampler that the selector prefers for it now: rejection, or the reservoir named (keys, jump, prefix). Expects stored walkers, as both branches read them."""
+    reservoir = {"keys": key_step, "jump": jump_step, "prefix": prefix_step}[reservoir]
     if program.analysis.bound is None:
         return reservoir(walkers, graph, program, seed)
     ready = attach_stats(walkers, graph, program.needs("deg_prev")).withColumn("bound", F.expr(program.analysis.bound_sql)).withColumn("est_sum", F.expr(program.analysis.sum_sql))

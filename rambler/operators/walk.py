@@ -9,6 +9,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ from rambler.functions.store import settle
 from rambler.plans.program import WeightProgram
 
 from .graph import WalkGraph
-from .samplers import STEPS, alias_table
+from .samplers import STEPS, alias_table, jump_lanes, stretches
 
 #: Edges up to which mode 'auto' replicates the graph (about 40 bytes each in every worker).
 REPLICATED_EDGES = 25_000_000
@@ -90,6 +91,14 @@ class Csr:
         self.row_of[np.searchsorted(self.names, self.nodes)] = np.arange(len(self.nodes))
         row = np.repeat(np.arange(len(self.nodes)), self.deg)
         self.pairs = np.unique(row * np.int64(len(self.names) + 1) + self.to)
+        # Marks of the pairs' hashes, some 16 to 32 bits for each: most pairs that aren't there end at one look instead of a binary search.
+        self.shift = np.uint64(64 - max(10, len(self.pairs).bit_length() + 4))
+        self.marks = np.zeros(1 << (64 - int(self.shift) - 3), np.uint8)
+        slot = self._slot(self.pairs)
+        np.bitwise_or.at(self.marks, slot >> np.uint64(3), np.left_shift(np.uint8(1), (slot & np.uint64(7)).astype(np.uint8)))
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return (key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> self.shift
 
     def at(self, node: np.ndarray) -> np.ndarray:
         """Row of each node that has edges, else -1."""
@@ -100,8 +109,12 @@ class Csr:
 
     def linked(self, row: np.ndarray, to: np.ndarray) -> np.ndarray:
         key = row * np.int64(len(self.names) + 1) + to
-        k = np.minimum(np.searchsorted(self.pairs, key), len(self.pairs) - 1)
-        return (row >= 0) & (self.pairs[k] == key)
+        slot = self._slot(key)
+        out = (row >= 0) & (np.right_shift(self.marks[slot >> np.uint64(3)], (slot & np.uint64(7)).astype(np.uint8)) & 1).astype(bool)
+        maybe = np.flatnonzero(out)
+        k = np.minimum(np.searchsorted(self.pairs, key[maybe]), len(self.pairs) - 1)
+        out[maybe] = self.pairs[k] == key[maybe]
+        return out
 
     def weights(self, program: WeightProgram, edge: np.ndarray, row: np.ndarray, prev: np.ndarray, prev_row: np.ndarray, step: int) -> np.ndarray:
         env = {"h": self.h[edge], "label": self.label[edge], "dst": self.dst[edge], "prev": prev, "cur": self.nodes[row], "step": step, "deg_cur": self.deg[row].astype(float)}
@@ -137,8 +150,8 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
         out[owner[hit][::-1]] = edge[hit][::-1]
         return out, positive, positive
     if how == "jump":
-        out, draws = _jumps(w, owner, edge, idx, rng.states(seed, walk, np.full(len(walk), step), rng.JUMP), len(row))
-        return out, positive, draws
+        at, _, draws = jump_lanes(w, owner, idx, rng.states(seed, walk, np.full(len(walk), step), rng.JUMP), len(row))
+        return np.where(at >= 0, edge[at], -1), positive, draws
     if how == "alias":
         state, ends = rng.states(seed, walk, np.full(len(walk), step), rng.PICK), np.append(first[1:], len(edge))
         slots, coins = (rng.uniforms(state, np.full(len(walk), k)) for k in (0, 1))
@@ -163,40 +176,6 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
     return out, 2 * positive, np.ones(len(row), np.int64)
 
 
-def _jumps(w, owner, edge, idx, state, walkers: int, lane: int = 4096) -> tuple[np.ndarray, np.ndarray]:
-    """(edge or -1, draws) of each walker by keys with jumps: all lanes jump at once, over one running sum of weights scaled to each lane's largest."""
-    out, draws = np.full(walkers, -1, np.int64), np.zeros(walkers, np.int64)
-    some = np.flatnonzero(w > 0)
-    if not len(some):
-        return out, draws
-    who, part = owner[some], idx[some] // lane
-    first = np.flatnonzero(np.concatenate([[True], (who[1:] != who[:-1]) | (part[1:] != part[:-1])]))
-    end, mine, number = np.append(first[1:], len(some)), who[first], part[first]
-    top = np.maximum.reduceat(w[some], first)
-    v = np.maximum(w[some] / np.repeat(top, end - first), 1e-300)
-    acc = np.cumsum(v)
-    draw = lambda units, k: rng.uniforms((state[0][mine[units]], state[1][mine[units]]), (number[units] << 20) + k)
-    every, n = np.arange(len(first)), np.ones(len(first), np.int64)
-    best, at = np.log(draw(every, 0)) / v[first], first.copy()
-    active = every[best < 0]
-    while len(active):
-        with np.errstate(over="ignore"):
-            to = np.maximum(np.searchsorted(acc, acc[at[active]] + np.log(draw(active, n[active])) / best[active]), at[active] + 1)
-        n[active] += 1
-        active, to = active[to < end[active]], to[to < end[active]]
-        # The landing's key is drawn given that it beats the best one.
-        low = np.exp(v[to] * best[active])
-        best[active] = np.log(low + draw(active, n[active]) * (1 - low)) / v[to]
-        n[active] += 1
-        at[active] = to
-        active = active[best[active] < 0]
-    with np.errstate(over="ignore"):
-        order = np.lexsort((best / top, mine))
-    last = np.flatnonzero(np.append(mine[order][1:] != mine[order][:-1], True))
-    out[mine[order[last]]] = edge[some[at[order[last]]]]
-    return out, np.bincount(mine, n, walkers).astype(np.int64)
-
-
 def _rejected(csr: Csr, program, seed, bound, limit, walk, row, prev, prev_row, step) -> tuple[np.ndarray, np.ndarray]:
     """(edge or -1, trials made) after at most `limit` trials, all pending walkers trying together."""
     out, trials = np.full(len(row), -1, np.int64), np.zeros(len(row), np.int64)
@@ -222,7 +201,7 @@ REPLICATED = frozenset({"keys", "prefix", "inverse", "jump", "alias", "rejection
 
 def advance(csr: Csr, program: WeightProgram, sampler: str, config: WalkConfig, walk, row, prev, prev_row, step: int):
     """(edge or -1, reads, draws, rejected?) for walkers whose node has edges."""
-    how = sampler if sampler in ("keys", "prefix", "inverse", "jump", "alias") else "keys"
+    how = sampler if sampler in ("keys", "prefix", "inverse", "jump", "alias") else config.sampler_options.get("reservoir", "keys") if sampler == "adaptive" else "keys"
     analysis = program.analysis
     n = len(row)
     reads, draws, by_trial = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, bool)
@@ -255,7 +234,7 @@ def advance(csr: Csr, program: WeightProgram, sampler: str, config: WalkConfig,
             draws[at] += 2 * trials
             by_trial = out >= 0
     left = np.flatnonzero(out < 0)
-    for part in _stretches(csr.deg[row[left]]):
+    for part in stretches(csr.deg[row[left]]):
         at = left[part]
         out[at], r, d = _reservoir(csr, program, config.seed, how, walk[at], row[at], prev[at], prev_row[at], step)
         reads[at] += r
@@ -270,15 +249,6 @@ def _null_skipping(node, env):
     return node.evaluate(env)
 
 
-def _stretches(deg: np.ndarray, limit: int = 1_000_000) -> Iterator[slice]:
-    """Slices of walkers whose candidates number about `limit` at most, so memory is bounded."""
-    if len(deg):
-        block = (np.cumsum(deg) - deg) // limit
-        cuts = np.flatnonzero(np.diff(block)) + 1
-        for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(deg)]):
-            yield slice(a, b)
-
-
 _GRAPHS: dict[int, Csr] = {}
 
 
@@ -286,11 +256,22 @@ def walk_replicated(graph: WalkGraph, program: WeightProgram, starts: DataFrame,
     """Every worker holds the whole graph and takes its walks through all steps: no shuffle after the starts are placed.
 
     For graphs of a checked size alone (REPLICATED_EDGES); the driver reads the edges once, as Arrow columns."""
+    schema = "walk_id long, step int, node long" + (", reads long, draws long, mode string" if log else "")
+    return _dealt(starts, config).mapInArrow(_worker(graph, program, sampler, config, log), schema)
+
+
+def _dealt(starts: DataFrame, config: WalkConfig) -> DataFrame:
+    parts = config.partitions or 2 * starts.sparkSession.sparkContext.defaultParallelism
+    return placed(starts.select(F.col("walk_id").cast("long").alias("walk_id"), F.col("start").cast("long").alias("start")), parts)
+
+
+def _worker(graph: WalkGraph, program: WeightProgram, sampler: str, config: WalkConfig, log: bool) -> Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """What a worker does with its starts: all their steps over its own copy of the graph."""
     if sampler not in REPLICATED:
         raise ValueError(f"{sampler} runs in supersteps only")
     if (n := graph.edges.count()) > REPLICATED_EDGES:
         raise ValueError(f"{n} edges are too many to replicate")
-    spark = starts.sparkSession
+    spark = graph.edges.sparkSession
     table = graph.edges.select("src", "dst", "h", "label").toArrow()
     shared = spark.sparkContext.broadcast(tuple(table.column(c).to_numpy() for c in ("src", "dst", "h", "label")))
     token = id(shared), np.random.default_rng().integers(2**62)
@@ -318,9 +299,22 @@ def walk_replicated(graph: WalkGraph, program: WeightProgram, starts: DataFrame,
                 walk, prev, prev_row, cur = walk[on], cur[on], row[on], csr.dst[edge[on]]
                 yield _batch(walk, k + 1, cur, reads[on], draws[on], by_trial[on], log)
 
-    schema = "walk_id long, step int, node long" + (", reads long, draws long, mode string" if log else "")
-    parts = config.partitions or 2 * spark.sparkContext.defaultParallelism
-    return placed(starts.select(F.col("walk_id").cast("long").alias("walk_id"), F.col("start").cast("long").alias("start")), parts).mapInArrow(run, schema)
+    return run
+
+
+def walk_cost(graph: WalkGraph, program: WeightProgram, starts: DataFrame | None, sampler: str, config: WalkConfig) -> DataFrame:
+    """(part, steps, cpu_seconds, wall_seconds): what each worker's walks cost it in the replicated mode, its copy of the graph included."""
+    starts = one_per_node(graph) if starts is None else starts
+    starts = starts if "walk_id" in starts.columns else starts.withColumn("walk_id", F.col("start"))
+    walked = _worker(graph, program, sampler, config, False)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cpu, wall = time.process_time(), time.perf_counter()
+        steps = sum(b.num_rows for b in walked(batches))
+        row = TaskContext.get().partitionId(), steps, time.process_time() - cpu, time.perf_counter() - wall
+        yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int32(), pa.int64(), pa.float64(), pa.float64()))], ["part", "steps", "cpu_seconds", "wall_seconds"])
+
+    return _dealt(starts, config).mapInArrow(run, "part int, steps long, cpu_seconds double, wall_seconds double")
 
 
 def _batch(walk, step, node, reads, draws, by_trial, log) -> pa.RecordBatch:

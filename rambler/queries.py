@@ -8,11 +8,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rambler import oracles as O
+from rambler.functions.measures import law_fit
 from rambler.functions.store import settle
 from rambler.operators import samplers as S
 from rambler.operators.graph import adjacency_chunks
 from rambler.operators.walk import WalkConfig, random_walks
 from rambler.plans import program as P
+from rambler.sqlapi import register
 from rambler.sources.catalog import GRAPHS, load_graph, table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -48,13 +50,13 @@ def flagship(spark, d):
 
 
 # Walks ------------------------------------------------------------------------------------------------------------------
-def _walk(name, graph, model, sampler="keys", steps=5, mode="superstep", oracle=True, starts=None, starts_sql=None, **how):
+def _walk(name, graph, model, sampler="keys", steps=5, mode="superstep", oracle=True, starts=None, starts_sql=None, options=None, **how):
     sql = O.walk(graph, model, sampler, steps, **({"starts": starts_sql} if starts_sql else {}), **how) if oracle else None
 
     @query(name, sql)
     def run(spark, d):
         g = load_graph(spark, d, graph, **how).stored()
-        return random_walks(g, MODELS[model], starts(spark, d, g) if starts else None, sampler, WalkConfig(steps=steps, mode=mode))
+        return random_walks(g, MODELS[model], starts(spark, d, g) if starts else None, sampler, WalkConfig(steps=steps, mode=mode, sampler_options=options or {}))
 
 
 _walk("walk_static_key", "g1", "static")
@@ -74,6 +76,8 @@ _walk("walk_reservoir_prefix_replicated", "g9", "node2vec_w", "prefix", mode="re
 _walk("walk_alias", "g9", "node2vec_w", "alias", oracle=False)
 _walk("walk_jump", "g2", "node2vec_w", "jump", steps=3, oracle=False)
 _walk("walk_jump_replicated", "g2", "node2vec_w", "jump", steps=3, mode="replicated", oracle=False)
+_walk("walk_adaptive_jump", "g2", "node2vec_w", "adaptive", steps=3, oracle=False, options={"reservoir": "jump"})
+_walk("walk_adaptive_jump_replicated", "g2", "node2vec_w", "adaptive", steps=3, mode="replicated", oracle=False, options={"reservoir": "jump"})
 _walk("walk_int8", "g1", "node2vec_w", mode="replicated", weights="int8")
 _walk("walk_typed_star", "g10", "metapath_u", starts=lambda s, d, g: table(s, d, "region").select((F.col("r_regionkey").cast("long") + (6 << 40)).alias("start")), starts_sql=f"SELECT r_regionkey::BIGINT + {O.T['REGION']} AS start FROM region")
 _walk("walk_custom_program", "g1", "brand", mode="replicated")
@@ -146,6 +150,8 @@ query("weight_sum_estimates", f"{_stats_sql('g1')} SELECT src, round({O.TOTAL['n
 for _kind, _test in (("choice", f"2.0 * (2 * h_max) < {O.TOTAL['node2vec_w']}"), ("degree", "deg >= 100")):
     query(f"selector_{_kind}", f"{_stats_sql('g4')} SELECT src, {_test} AS rejects FROM g")(
         lambda s, d, k=_kind: node_estimates(load_graph(s, d, "g4"), MODELS["node2vec_w"]).withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection({"choice": "cost"}.get(k, k), MODELS["node2vec_w"], 42, 2.0, 100).alias("rejects")))
+query("sampler_costs", f"{_stats_sql('g4')} SELECT src, deg::DOUBLE AS cost_reservoir, round(2.0::DOUBLE * deg * (2 * h_max) / ({O.TOTAL['node2vec_w']}), 6) AS cost_rejection FROM g")(
+    lambda s, d: node_estimates(load_graph(s, d, "g4"), MODELS["node2vec_w"]).withColumns(S.step_costs()).select("src", "cost_reservoir", F.round("cost_rejection", 6).alias("cost_rejection")))
 query("selector_random", f"{_stats_sql('g4')} SELECT src, {O.rng.duck_uniform(42, 'src', '0', O.rng.COIN, '0')} < 0.5 AS rejects FROM g")(
     lambda s, d: load_graph(s, d, "g4").node_stats.withColumn("walk_id", F.col("src")).withColumn("step", F.lit(0)).select("src", S.prefers_rejection("random", MODELS["node2vec_w"], 42).alias("rejects")))
 query("expected_trials_exact", f"{_stats_sql('g5')} SELECT src, round(deg * h_max / h_sum, 6) AS trials FROM g")(lambda s, d: load_graph(s, d, "g5").node_stats.select("src", F.round(F.col("deg") * F.col("h_max") / F.col("h_sum"), 6).alias("trials")))
@@ -238,3 +244,27 @@ def edge_index(spark, d):
 @query("adj_chunks", f"SELECT src, CAST(idx // 64 AS INTEGER) AS chunk, count(*) AS n, string_agg(dst, ',' ORDER BY idx) AS dsts FROM ({O.edges('g3')}) GROUP BY 1, 2")
 def adj_chunks(spark, d):
     return adjacency_chunks(load_graph(spark, d, "g3").edges, 64).select("src", "chunk", F.size("dst").cast("long").alias("n"), F.array_join(F.transform("dst", lambda x: x.cast("string")), ",").alias("dsts"))
+
+
+_DRAWS = 200
+
+
+@query("law_fit", f"""WITH {O.with_graph('g9')}, s0 AS MATERIALIZED (SELECT src * {_DRAWS} + i AS walk_id, 0 AS step, NULL::BIGINT AS prev, src AS cur FROM g, unnest(range({_DRAWS})) x(i)),
+n AS (SELECT cur, next AS dst, count(*) AS n FROM ({O.pick('s0', 'static')}) GROUP BY 1, 2), l AS (SELECT src AS cur, dst, sum(h) / any_value(h_sum) AS p FROM e JOIN g USING (src) GROUP BY 1, 2)
+SELECT cur, sum(coalesce(n, 0))::BIGINT AS draws, round(sum(pow(coalesce(n, 0) - {_DRAWS} * p, 2) / ({_DRAWS} * p)), 6) AS chi_square, count(*) - 1 AS degrees, round(sum(abs(coalesce(n, 0) / {_DRAWS} - p)) / 2, 6) AS total_variation, 0::BIGINT AS strays
+FROM l LEFT JOIN n USING (cur, dst) GROUP BY cur""")
+def law_fit_of_keys(spark, d):
+    """Chi-square and total variation of 200 draws by keys from every node against the exact law."""
+    g = load_graph(spark, d, "g9").stored()
+    model, state = MODELS["static"], g.node_stats.select(F.lit(0).alias("step"), F.lit(None).cast("long").alias("prev"), F.col("src").alias("cur"))
+    walkers = settle(state.select(F.explode(F.sequence(F.lit(0), F.lit(_DRAWS - 1))).alias("i"), "*").select((F.col("cur") * _DRAWS + F.col("i")).alias("walk_id"), "step", "prev", "cur"))
+    drawn = walkers.join(S.key_step(walkers, g, model, 42), "walk_id").select("cur", F.col("next").alias("dst"))
+    law = S.transition_probabilities(g, model, state).groupBy("cur", "dst").agg(F.sum("p").alias("p"))
+    return law_fit(drawn, law, "cur").select("cur", "draws", F.round("chi_square", 6).alias("chi_square"), "degrees", F.round("total_variation", 6).alias("total_variation"), "strays")
+
+
+@query("sql_walk_from", O.walk("g9", "node2vec_w", "keys", 3))
+def sql_walk_from(spark, d):
+    """Walks by the table function, from SQL."""
+    register(spark, load_graph(spark, d, "g9").stored(), MODELS["node2vec_w"], prefix="nations_")
+    return spark.sql("SELECT n.src AS walk_id, w.step, w.node FROM nations_node_stats n, LATERAL nations_walk_from(n.src, 3, 42) w")

@@ -12,7 +12,7 @@ from rambler import oracles as O
 from rambler.functions.store import settle, shared_dir
 from rambler.operators import samplers as S
 from rambler.operators.graph import read_graph, write_graph
-from rambler.operators.walk import WalkConfig, one_per_node, placed, profile_ratio, random_walks, walk_log
+from rambler.operators.walk import WalkConfig, one_per_node, placed, profile_ratio, random_walks, walk_cost, walk_log
 from rambler.queries import MODELS, QUERIES, query
 from rambler.sources.catalog import load_graph, table
 
@@ -306,6 +306,30 @@ def x9_selectors(s, d):
     return out
 
 
+@query("x12_scale_out")
+def x12_scale_out(s, d):
+    """Walks of every node by 1, 2, 4 and 8 workers: the slowest worker's seconds, all workers' CPU seconds, and how many times faster than one worker."""
+    g, out = load_graph(s, d, "g1", "uniform").stored(), None
+    for parts in (1, 2, 4, 8):
+        part = walk_cost(g, MODELS["node2vec_w"], None, "adaptive", WalkConfig(steps=20, partitions=parts)).agg(F.sum("steps").alias("steps"), F.max("wall_seconds").alias("seconds"), F.sum("cpu_seconds").alias("cpu_seconds"))
+        part = part.select(F.lit(parts).alias("workers"), "*")
+        out = part if out is None else out.unionByName(part)
+    out = settle(out)
+    alone = out.where("workers = 1").select(F.col("seconds").alias("alone"))  # one row
+    return out.join(F.broadcast(alone)).select("workers", "steps", "seconds", "cpu_seconds", (F.col("alone") / F.col("seconds")).alias("speedup"))
+
+
+@query("x13_cpu_cost")
+def x13_cpu_cost(s, d):
+    """CPU seconds that a million steps cost by each sampler: what stands in for energy where no meter can be read."""
+    g, out = load_graph(s, d, "g3", "uniform").stored(), None
+    for sampler in ("inverse", "prefix", "keys", "jump", "rejection_exact", "rejection_bound", "adaptive"):
+        part = walk_cost(g, MODELS["node2vec_w"], None, sampler, WalkConfig()).agg(F.sum("steps").alias("steps"), F.sum("cpu_seconds").alias("cpu_seconds"), F.max("wall_seconds").alias("seconds"))
+        part = part.select(F.lit(sampler).alias("sampler"), "*", (F.col("cpu_seconds") / F.col("steps") * 1e6).alias("cpu_seconds_per_million"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @query("x12_placement")
 def x12_placement(s, d):
     """Rows a worker gets under hash and range placement of the starts."""

@@ -3,16 +3,16 @@
 import numpy as np
 
 from rambler.functions import rng
-from rambler.operators.walk import _jumps
+from rambler.operators.samplers import jump_lanes
 
 
 def test_lanes_jump_at_once_by_the_law():
     w0, n = np.array([3.0, 2.0, 0.0, 4.0, 1.0]), 60_000
     owner, idx = np.repeat(np.arange(n), 5), np.tile(np.arange(5), n)
     for lane in (4096, 2):
-        out, draws = _jumps(np.tile(w0, n), owner, np.arange(5 * n), idx, rng.states(1, np.arange(n), np.zeros(n, int), rng.JUMP), n, lane)
+        out, _, draws = jump_lanes(np.tile(w0, n), owner, idx, rng.states(1, np.arange(n), np.zeros(n, int), rng.JUMP), n, lane)
         assert (out // 5 == np.arange(n)).all() and (draws >= 2).all()
         got, want = np.bincount(out % 5, minlength=5), w0 / w0.sum() * n
         assert got[2] == 0 and ((got - want)[w0 > 0] ** 2 / want[w0 > 0]).sum() < 21.1  # 3 degrees, 1e-4
-    out, draws = _jumps(np.array([0.0, 0.0, 1e-300, 1.0, 1e300]), np.array([0, 0, 1, 1, 1]), np.arange(5), np.array([0, 1, 0, 1, 2]), rng.states(1, np.arange(2), np.zeros(2, int), rng.JUMP), 2)
+    out, _, draws = jump_lanes(np.array([0.0, 0.0, 1e-300, 1.0, 1e300]), np.array([0, 0, 1, 1, 1]), np.array([0, 1, 0, 1, 2]), rng.states(1, np.arange(2), np.zeros(2, int), rng.JUMP), 2)
     assert out.tolist() == [-1, 4] and draws[0] == 0
