@@ -278,11 +278,14 @@ def _worker(graph: WalkGraph, program: WeightProgram, sampler: str, config: Walk
     steps = min(config.steps, program.depth or config.steps)
     program.full, program.analysis  # parsed once, here  # noqa: B018
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def copied() -> Csr:
         if token not in _GRAPHS:
             _GRAPHS.clear()
             _GRAPHS[token] = Csr(*shared.value)
-        csr = _GRAPHS[token]
+        return _GRAPHS[token]
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        csr = copied()
         for batch in batches:
             walk, cur = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             prev, prev_row = np.full(len(walk), -1, np.int64), np.full(len(walk), -1, np.int64)
@@ -299,22 +302,25 @@ def _worker(graph: WalkGraph, program: WeightProgram, sampler: str, config: Walk
                 walk, prev, prev_row, cur = walk[on], cur[on], row[on], csr.dst[edge[on]]
                 yield _batch(walk, k + 1, cur, reads[on], draws[on], by_trial[on], log)
 
+    run.copied = copied
     return run
 
 
 def walk_cost(graph: WalkGraph, program: WeightProgram, starts: DataFrame | None, sampler: str, config: WalkConfig) -> DataFrame:
-    """(part, steps, cpu_seconds, wall_seconds): what each worker's walks cost it in the replicated mode, its copy of the graph included."""
+    """(part, steps, cpu_seconds, wall_seconds, copy_seconds): what each worker's walks cost it in the replicated mode, and apart from that the seconds of copying the graph."""
     starts = one_per_node(graph) if starts is None else starts
     starts = starts if "walk_id" in starts.columns else starts.withColumn("walk_id", F.col("start"))
     walked = _worker(graph, program, sampler, config, False)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        began = time.perf_counter()
+        walked.copied()
         cpu, wall = time.process_time(), time.perf_counter()
         steps = sum(b.num_rows for b in walked(batches))
-        row = TaskContext.get().partitionId(), steps, time.process_time() - cpu, time.perf_counter() - wall
-        yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int32(), pa.int64(), pa.float64(), pa.float64()))], ["part", "steps", "cpu_seconds", "wall_seconds"])
+        row = TaskContext.get().partitionId(), steps, time.process_time() - cpu, time.perf_counter() - wall, wall - began
+        yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, (pa.int32(), pa.int64(), *[pa.float64()] * 3))], ["part", "steps", "cpu_seconds", "wall_seconds", "copy_seconds"])
 
-    return _dealt(starts, config).mapInArrow(run, "part int, steps long, cpu_seconds double, wall_seconds double")
+    return _dealt(starts, config).mapInArrow(run, "part int, steps long, cpu_seconds double, wall_seconds double, copy_seconds double")
 
 
 def _batch(walk, step, node, reads, draws, by_trial, log) -> pa.RecordBatch:
