@@ -153,8 +153,11 @@ def jump_pick(w: np.ndarray, draw, lane: int = 0) -> tuple[int, float, int]:
             return best_at, float(best), n
 
 
-def jump_lanes(w, owner, idx, state, walkers: int, lane: int = LANE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(place in w or -1, log of the best key, draws) of each walker by keys with jumps: all lanes jump at once, over one running sum of weights scaled to each lane's largest."""
+def jump_lanes(w, owner, idx, state, walkers: int, lane: int = LANE, shared: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(place in w or -1, log of the best key, draws) of each walker by keys with jumps: all lanes jump at once, over one running sum of weights scaled to each lane's largest.
+
+    With `shared`, a walker's lanes have one maximum between them: each jump is against the best key that any of them has so far, so
+    lanes skip further. What they skip has a lower key than that, and what they land on gets one drawn above it; the law is the same."""
     out, top_key, draws = np.full(walkers, -1, np.int64), np.full(walkers, -np.inf), np.zeros(walkers, np.int64)
     some = np.flatnonzero(w > 0)
     if not len(some):
@@ -163,23 +166,33 @@ def jump_lanes(w, owner, idx, state, walkers: int, lane: int = LANE) -> tuple[np
     first = np.flatnonzero(np.concatenate([[True], (who[1:] != who[:-1]) | (part[1:] != part[:-1])]))
     end, mine, number = np.append(first[1:], len(some)), who[first], part[first]
     top = np.maximum.reduceat(w[some], first)
+    if shared:
+        whole = np.zeros(walkers)
+        np.maximum.at(whole, mine, top)
+        top = whole[mine]  # keys of all lanes on one scale
     v = np.maximum(w[some] / np.repeat(top, end - first), 1e-300)
     acc = np.cumsum(v)
     draw = lambda units, k: rng.uniforms((state[0][mine[units]], state[1][mine[units]]), (number[units] << 20) + k)
     every, n = np.arange(len(first)), np.ones(len(first), np.int64)
-    best, at = np.log(draw(every, 0)) / v[first], first.copy()
-    active = every[best < 0]
+    best, at, held = np.log(draw(every, 0)) / v[first], first.copy(), np.full(walkers, -np.inf)
+    np.maximum.at(held, mine, best)
+    bar = lambda units: held[mine[units]] if shared else best[units]
+    active = every[bar(every) < 0]
     while len(active):
+        beat = bar(active)
         with np.errstate(over="ignore"):
-            to = np.maximum(np.searchsorted(acc, acc[at[active]] + np.log(draw(active, n[active])) / best[active]), at[active] + 1)
+            to = np.maximum(np.searchsorted(acc, acc[at[active]] + np.log(draw(active, n[active])) / beat), at[active] + 1)
         n[active] += 1
-        active, to = active[to < end[active]], to[to < end[active]]
+        on = to < end[active]
+        active, to, beat = active[on], to[on], beat[on]
         # The landing's key is drawn given that it beats the best one.
-        low = np.exp(v[to] * best[active])
+        low = np.exp(v[to] * beat)
         best[active] = np.log(low + draw(active, n[active]) * (1 - low)) / v[to]
         n[active] += 1
         at[active] = to
-        active = active[best[active] < 0]
+        if shared:
+            np.maximum.at(held, mine[active], best[active])
+        active = active[bar(active) < 0]
     with np.errstate(over="ignore"):
         key = best / top
     order = np.lexsort((key, mine))
@@ -197,24 +210,51 @@ def stretches(deg: np.ndarray, limit: int = 1_000_000) -> Iterator[slice]:
             yield slice(a, b)
 
 
-def alias_table(w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(probability of the slot's own item, the other item): at most two owners a slot."""
-    n = len(w)
-    share = w * (n / w.sum())
-    own, other = np.ones(n), np.arange(n)
-    low, high = [i for i in range(n) if share[i] < 1], [i for i in range(n) if share[i] >= 1]
-    while low and high:
-        a, b = low.pop(), high[-1]
-        own[a], other[a] = share[a], b
-        share[b] -= 1 - share[a]
-        if share[b] < 1:
-            low.append(high.pop())
+def running_sums(w: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Running sums within each list (lists begin at `first`), added in the list's order; lists of one length are the rows of one table."""
+    size, acc = np.diff(np.append(first, len(w))), np.empty(len(w))
+    order = np.argsort(size, kind="stable")
+    for same in np.split(order, np.flatnonzero(np.diff(size[order])) + 1) if len(order) else ():
+        at = first[same][:, None] + np.arange(size[same[0]])
+        acc[at] = np.cumsum(w[at], axis=1)
+    return acc
+
+
+def alias_tables(w: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(probability of each slot's own item, the other item's place) of all lists at once; weights are positive, lists not empty and begin at `first`.
+
+    What light items lack of a slot and what heavy ones have beyond it are laid along one line. A light item is filled by the heavy
+    one whose stretch covers its beginning; a heavy one that ends within a light item's stretch lacks the rest and is filled by the next."""
+    size = np.diff(np.append(first, len(w)))
+    which = np.repeat(np.arange(len(first)), size)
+    v = w / np.maximum.reduceat(w, first)[which]
+    share = v * (size / np.add.reduceat(v, first))[which]
+    is_heavy = (share >= 1) | (v == 1)  # the largest always is, whatever the rounding
+    lack, extra = np.where(is_heavy, 0, 1 - share), np.where(is_heavy, np.maximum(share - 1, 0), 0)
+    lacked, given = running_sums(lack, first), running_sums(extra, first)
+    light, heavy = np.flatnonzero(~is_heavy), np.flatnonzero(is_heavy)
+    line = lambda at, value: which[at] + np.minimum(value / size[which[at]], 1 - 1e-12)
+    ends = line(heavy, given[heavy])
+    first_heavy = np.searchsorted(which[heavy], np.arange(len(first)))
+    last_heavy = np.append(first_heavy[1:], len(heavy)) - 1
+    own, other = np.ones(len(w)), np.arange(len(w))
+    own[light] = share[light]
+    other[light] = heavy[np.clip(np.searchsorted(ends, line(light, lacked[light] - lack[light])), first_heavy[which[light]], last_heavy[which[light]])]
+    within = np.searchsorted(line(light, lacked[light]), ends, side="right")
+    j = np.flatnonzero((within < len(light)) & (np.arange(len(heavy)) < last_heavy[which[heavy]]))
+    j = j[which[light[within[j]]] == which[heavy[j]]]
+    own[heavy[j]] = np.clip(1 + given[heavy[j]] - lacked[light[within[j]]], 0, 1)
+    other[heavy[j]] = heavy[j + 1]
     return own, other
 
 
-def _draws(seed: int, walk: int, step: int, tag: int):
-    state = rng.states(seed, np.array([walk]), np.array([step]), tag)
-    return lambda k, lane=0: float(rng.uniforms(state, np.array([(lane << 20) + k]))[0])
+def alias_picks(w: np.ndarray, first: np.ndarray, state) -> np.ndarray:
+    """A place in w for each list: a slot by one uniform, its own item or the other by a second."""
+    own, other = alias_tables(w, first)
+    size = np.diff(np.append(first, len(w)))
+    slot, coin = (rng.uniforms(state, np.full(len(first), k)) for k in (0, 1))
+    at = first + np.minimum((slot * size).astype(np.int64), size - 1)
+    return np.where(coin < own[at], at, other[at])
 
 
 def _lists(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, lane: int | None) -> DataFrame:
@@ -223,12 +263,6 @@ def _lists(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, lane: i
     return rows.groupBy("walk_id", "step", "lane").agg(F.array_sort(F.collect_list(F.struct("idx", "dst", "w"))).alias("e")).select("walk_id", "step", "lane", F.col("e.dst").alias("dst"), F.col("e.w").alias("w"))
 
 
-def _rows(batch: pa.RecordBatch):
-    offsets, dst, w = batch.column(3).offsets.to_numpy(), batch.column(3).values.to_numpy(), batch.column(4).values.to_numpy()
-    for k, (walk, step, lane) in enumerate(zip(*(batch.column(i).to_pylist() for i in range(3)))):
-        yield walk, step, lane, dst[offsets[k] : offsets[k + 1]], w[offsets[k] : offsets[k + 1]]
-
-
 def jump_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, seed: int, lane: int = LANE) -> DataFrame:
     """Reservoir by keys with jumps: lanes of at most `lane` neighbours, and the best lane wins."""
 
@@ -253,15 +287,13 @@ def alias_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram, see
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for walk, step, _, dst, w in _rows(batch):
-                own, other = alias_table(w)
-                draw = _draws(seed, walk, step, rng.PICK)
-                slot = min(int(draw(0) * len(w)), len(w) - 1)
-                at = slot if draw(1) < own[slot] else other[slot]
-                out.append((walk, int(dst[at]), len(w), 2, "alias"))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string()))], list(OUT))
+            walk, step = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            offsets, dst, w = batch.column(3).offsets.to_numpy(), batch.column(3).values.to_numpy(), batch.column(4).values.to_numpy()
+            size = np.diff(offsets)
+            for part in stretches(size):
+                lo, hi = int(offsets[part.start]), int(offsets[part.stop])
+                at = lo + alias_picks(w[lo:hi], (offsets[part] - lo).astype(np.int64), rng.states(seed, walk[part], step[part], rng.PICK))
+                yield pa.RecordBatch.from_arrays([pa.array(walk[part]), pa.array(dst[at]), pa.array(size[part].astype(np.int64)), pa.array(np.full(len(at), 2, np.int64)), pa.array(["alias"] * len(at))], list(OUT))
 
     return _lists(walkers, graph, program, None).mapInArrow(run, "walk_id long, next long, reads long, draws long, mode string")
 
@@ -302,7 +334,7 @@ def adaptive_step(walkers: DataFrame, graph: WalkGraph, program: WeightProgram,
     return done.unionByName(reservoir(rest, graph, program, seed))
 
 
-STEPS = {"keys": key_step, "prefix": prefix_step, "inverse": inverse_step, "rejection_exact": exact_step, "rejection_bound": bound_step, "jump": jump_step, "alias": alias_step, "adaptive": adaptive_step}
+STEPS = {"keys": key_step, "prefix": prefix_step, "inverse": inverse_step, "rejection_exact": exact_step, "rejection_bound": bound_step, "jump": jump_step, "jump_shared": jump_step, "alias": alias_step, "adaptive": adaptive_step}
 
 
 def bound_soundness(graph: WalkGraph, program: WeightProgram, states: DataFrame) -> DataFrame:

@@ -18,7 +18,7 @@ from rambler.functions.store import settle
 from rambler.plans.program import WeightProgram
 
 from .graph import WalkGraph
-from .samplers import STEPS, alias_table, jump_lanes, stretches
+from .samplers import STEPS, alias_picks, jump_lanes, running_sums, stretches
 
 #: Edges up to which mode 'auto' replicates the graph (about 40 bytes each in every worker).
 REPLICATED_EDGES = 25_000_000
@@ -149,20 +149,17 @@ def _reservoir(csr: Csr, program, seed, how, walk, row, prev, prev_row, step) ->
         hit = np.flatnonzero((key == least[owner]) & (key < np.inf))
         out[owner[hit][::-1]] = edge[hit][::-1]
         return out, positive, positive
-    if how == "jump":
-        at, _, draws = jump_lanes(w, owner, idx, rng.states(seed, walk, np.full(len(walk), step), rng.JUMP), len(row))
+    if how in ("jump", "jump_shared"):
+        at, _, draws = jump_lanes(w, owner, idx, rng.states(seed, walk, np.full(len(walk), step), rng.JUMP), len(row), shared=how == "jump_shared")
         return np.where(at >= 0, edge[at], -1), positive, draws
     if how == "alias":
-        state, ends = rng.states(seed, walk, np.full(len(walk), step), rng.PICK), np.append(first[1:], len(edge))
-        slots, coins = (rng.uniforms(state, np.full(len(walk), k)) for k in (0, 1))
-        for i in np.flatnonzero(positive).tolist():
-            mine = np.flatnonzero(w[first[i] : ends[i]] > 0) + first[i]
-            own, other = alias_table(w[mine])
-            slot = min(int(slots[i] * len(mine)), len(mine) - 1)
-            out[i] = edge[mine[slot if coins[i] < own[slot] else other[slot]]]
+        some = np.flatnonzero(w > 0)
+        if len(some):
+            begin = np.flatnonzero(np.diff(owner[some], prepend=-1))
+            who = owner[some[begin]]
+            out[who] = edge[some[alias_picks(w[some], begin, rng.states(seed, walk[who], np.full(len(who), step), rng.PICK))]]
         return out, positive, np.full(len(row), 2, np.int64)
-    # Running sums of positive weights within each list, by differences of one cumulative sum over a bounded stretch of lists.
-    acc = np.concatenate([np.cumsum(w[a:b]) for a, b in zip(first.tolist(), [*first[1:].tolist(), len(w)])]) if len(first) else w
+    acc = running_sums(w, first)
     whole = acc[np.append(first[1:], len(acc)) - 1]
     if how == "prefix":
         a, b = rng.states(seed, walk, np.full(len(walk), step), rng.KEY)
@@ -196,12 +193,12 @@ def _rejected(csr: Csr, program, seed, bound, limit, walk, row, prev, prev_row,
     return out, trials
 
 
-REPLICATED = frozenset({"keys", "prefix", "inverse", "jump", "alias", "rejection_bound", "rejection_exact", "adaptive"})
+REPLICATED = frozenset({"keys", "prefix", "inverse", "jump", "jump_shared", "alias", "rejection_bound", "rejection_exact", "adaptive"})
 
 
 def advance(csr: Csr, program: WeightProgram, sampler: str, config: WalkConfig, walk, row, prev, prev_row, step: int):
     """(edge or -1, reads, draws, rejected?) for walkers whose node has edges."""
-    how = sampler if sampler in ("keys", "prefix", "inverse", "jump", "alias") else config.sampler_options.get("reservoir", "keys") if sampler == "adaptive" else "keys"
+    how = sampler if sampler in ("keys", "prefix", "inverse", "jump", "jump_shared", "alias") else config.sampler_options.get("reservoir", "keys") if sampler == "adaptive" else "keys"
     analysis = program.analysis
     n = len(row)
     reads, draws, by_trial = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, bool)

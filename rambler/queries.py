@@ -76,6 +76,7 @@ _walk("walk_reservoir_prefix_replicated", "g9", "node2vec_w", "prefix", mode="re
 _walk("walk_alias", "g9", "node2vec_w", "alias", oracle=False)
 _walk("walk_jump", "g2", "node2vec_w", "jump", steps=3, oracle=False)
 _walk("walk_jump_replicated", "g2", "node2vec_w", "jump", steps=3, mode="replicated", oracle=False)
+_walk("walk_jump_shared", "g4", "node2vec_w", "jump_shared", steps=3, mode="replicated", oracle=False)
 _walk("walk_adaptive_jump", "g2", "node2vec_w", "adaptive", steps=3, oracle=False, options={"reservoir": "jump"})
 _walk("walk_adaptive_jump_replicated", "g2", "node2vec_w", "adaptive", steps=3, mode="replicated", oracle=False, options={"reservoir": "jump"})
 _walk("walk_int8", "g1", "node2vec_w", mode="replicated", weights="int8")

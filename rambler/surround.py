@@ -324,7 +324,7 @@ def x13_cpu_cost(s, d):
     """CPU seconds that a million steps cost by each sampler: what stands in for energy where no meter can be read."""
     g, out = load_graph(s, d, "g3", "uniform").stored(), None
     settle(walk_cost(g, MODELS["node2vec_w"], None, "keys", WalkConfig(steps=2)))  # starts the workers
-    for sampler in ("inverse", "prefix", "keys", "jump", "rejection_exact", "rejection_bound", "adaptive"):
+    for sampler in ("inverse", "prefix", "keys", "jump", "jump_shared", "rejection_exact", "rejection_bound", "adaptive"):
         part = walk_cost(g, MODELS["node2vec_w"], None, sampler, WalkConfig()).agg(F.sum("steps").alias("steps"), F.sum("cpu_seconds").alias("cpu_seconds"), F.max("wall_seconds").alias("seconds"))
         part = settle(part.select(F.lit(sampler).alias("sampler"), "*", (F.col("cpu_seconds") / F.col("steps") * 1e6).alias("cpu_seconds_per_million")))  # one run at a time
         out = part if out is None else out.unionByName(part)

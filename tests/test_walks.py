@@ -44,11 +44,27 @@ def test_jump_and_alias_laws():
     gen = np.random.default_rng(0)
     jumped = np.bincount([S.jump_pick(w, lambda k, lane: gen.random())[0] for _ in range(40_000)], minlength=4)
     assert chi_square(jumped, LAW) < 21.1
-    own, other = S.alias_table(w)
+    own, other = S.alias_tables(w, np.array([0]))
     slot, coin = gen.integers(0, 4, 100_000), gen.random(100_000)
     assert chi_square(np.bincount(np.where(coin < own[slot], slot, other[slot]), minlength=4), LAW) < 21.1
 
 
+def test_alias_tables_of_many_lists_give_every_weight():
+    """What the slots give each item is its weight's share: random, equal, single, huge and tiny ones, thousands of lists at once."""
+    gen = np.random.default_rng(5)
+    lists = [gen.pareto(1, n) + 1e-3 for n in gen.integers(1, 60, 2000)] + [np.ones(7), np.full(3, 0.1), np.array([2.0]), np.array([1e-300, 1e300, 1.0]), np.array([1.0, 1e-12]), gen.random(5000)]
+    w, size = np.concatenate(lists), np.array([len(x) for x in lists])
+    first = np.cumsum(size) - size
+    own, other = S.alias_tables(w, first)
+    which = np.repeat(np.arange(len(lists)), size)
+    assert ((own >= 0) & (own <= 1)).all() and (which[other] == which).all()
+    given = (own + np.bincount(other, 1 - own, len(w))) / size[which]
+    want = np.concatenate([x / x.max() / (x / x.max()).sum() for x in lists])
+    assert np.allclose(given, want, rtol=0, atol=1e-9)
+    assert (S.running_sums(w, first) == np.concatenate([np.cumsum(x) for x in lists])).all()
+    assert len(S.alias_picks(np.empty(0), np.empty(0, np.int64), (np.empty(0, np.uint64),) * 2)) == 0
+
+
 def test_jump_saves_draws_on_long_lists():
     gen = np.random.default_rng(1)
     draws = np.mean([S.jump_pick(np.ones(1024), lambda k, lane: gen.random())[2] for _ in range(300)])
