@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from .common import UPPER, pick, written
 
 DELIMITERS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-#: A side is broadcast up to so many bytes as estimated from counted rows; beyond, Spark shuffles both.
+#: A side is broadcast up to so many bytes, by its counted rows and the measured bytes of its texts; beyond, Spark shuffles both.
 BROADCAST_BYTES = 64 << 20
 
 
@@ -23,9 +23,12 @@ def words(text: Column) -> Column:
     return F.coalesce(F.filter(F.split(low, DELIMITERS), lambda w: w != ""), F.array().cast("array<string>"))
 
 
-def small(table: DataFrame, row_bytes: int, rows: int | None = None) -> DataFrame:
-    """`table` (a stored one) with a broadcast hint if its counted rows fit the bound."""
-    return F.broadcast(table) if (table.count() if rows is None else rows) * row_bytes <= BROADCAST_BYTES else table
+def small(table: DataFrame, row_bytes: int, rows: int | None = None, texts: tuple[str, ...] = ()) -> DataFrame:
+    """`table` (a stored one) with a broadcast hint if its rows of `row_bytes` and the measured bytes of the columns `texts` fit the bound."""
+    size = 0
+    if rows is None:
+        rows, size = table.agg(F.count("*"), F.coalesce(F.sum(F.octet_length(F.concat_ws("", *texts)) if texts else F.lit(0)), F.lit(0))).first()
+    return F.broadcast(table) if rows * row_bytes + size <= BROADCAST_BYTES else table
 
 
 def rows_of(docs: DataFrame) -> DataFrame:
@@ -54,14 +57,14 @@ def phrase_matches(docs: DataFrame, phrases: DataFrame) -> DataFrame:
     known = written(phrases.withColumn("window", F.monotonically_increasing_id()))
     terms = known.select("window", "size", F.posexplode(F.split("phrase", " ")).alias("offset", "term"))
     vocabulary = written(terms.select("term").distinct())
-    counts = postings(docs, small(vocabulary, 64)).groupBy("term").agg(F.count("*").alias("n"))
+    counts = postings(docs, small(vocabulary, 32, texts=("term",))).groupBy("term").agg(F.count("*").alias("n"))
     weighed = terms.join(counts, "term", "left").withColumn("n", F.coalesce("n", F.lit(0)))
     # A phrase with a term that the corpus lacks can't occur.
     rarest = weighed.groupBy("window").agg(F.min("n").alias("least"), F.slice(F.array_sort(F.collect_list(F.struct("n", "offset", "term"))), 1, 2).alias("terms")).where("least > 0")
     anchors = written(rarest.select("window", F.size("terms").alias("need"), F.posexplode("terms").alias("k", "t")).select("window", "need", "k", "t.offset", "t.term"))
     anchor_terms = written(anchors.select("term").distinct())
     places = (
-        postings(docs, small(anchor_terms, 64)).join(small(anchors, 64), "term")
+        postings(docs, small(anchor_terms, 32, texts=("term",))).join(small(anchors, 48, texts=("term",)), "term")
         .select("doc_id", "th", "window", (F.col("pos") - F.col("offset")).alias("start"), "need", F.expr("shiftleft(1, k)").alias("bit")).where("start >= 0")
         .groupBy("doc_id", "th", "window", "start", "need").agg(F.bit_or("bit").alias("met")).where("met = shiftleft(1, need) - 1")
     )
@@ -75,18 +78,19 @@ def phrase_matches(docs: DataFrame, phrases: DataFrame) -> DataFrame:
         .select("doc_id", "th", F.explode(F.expr(f"transform(places, p -> struct(p.window as window, p.start as start, slice(w, p.start + 1, {longest}) as words))")).alias("p"))
         .select("doc_id", "th", "p.*")
     )
-    return seen.join(small(known, 256), "window").where(F.array_join(F.slice("words", 1, F.col("size")), " ") == F.col("phrase")).select("doc_id", "th", "start", "size", "items").distinct()
+    return seen.join(small(known, 64, texts=("phrase", "items")), "window").where(F.array_join(F.slice("words", 1, F.col("size")), " ") == F.col("phrase")).select("doc_id", "th", "start", "size", "items").distinct()
 
 
 def proximity_matches(docs: DataFrame, pairs: DataFrame) -> DataFrame:
     """(doc_id, th, left, right, pos_left, pos_right): places where `right` stands at most `within` words after `left`; pairs: (left, right, within).
 
     Both posting lists meet by document and block of `within` positions, so no list is paired with itself as a whole."""
-    asked = pairs.select("left", "right", "within")
-    a = postings(docs, asked.select(F.col("left").alias("term")).distinct()).withColumnsRenamed({"term": "left", "pos": "pos_left"}).join(F.broadcast(asked), "left")
+    asked = written(pairs.select("left", "right", "within"))
+    ends = written(asked.select("right", "within").distinct())
+    a = postings(docs, asked.select(F.col("left").alias("term")).distinct()).withColumnsRenamed({"term": "left", "pos": "pos_left"}).join(small(asked, 48, texts=("left", "right")), "left")
     b = postings(docs, asked.select(F.col("right").alias("term")).distinct()).withColumnsRenamed({"term": "right", "pos": "pos_right"})
     a = a.withColumn("block", F.explode(F.array(F.expr("pos_left div within"), F.expr("pos_left div within + 1"))))
-    b = b.join(F.broadcast(asked.select("right", "within").distinct()), "right").withColumn("block", F.expr("pos_right div within"))
+    b = b.join(small(ends, 48, texts=("right",)), "right").withColumn("block", F.expr("pos_right div within"))
     b = b.select(F.col("doc_id").alias("d"), "th", "right", "within", "block", "pos_right")
     return a.join(b, [a.th == b.th, a.doc_id.eqNullSafe(b.d), a.right == b.right, a.within == b.within, a.block == b.block]).where((F.col("pos_right") > F.col("pos_left")) & (F.col("pos_right") - F.col("pos_left") <= a.within)).select("doc_id", a.th, a.left, a.right, "pos_left", "pos_right")
 

@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from rambler.llm import bpe, jaccard, langid, licenses, linededup, lm, tokencount
+from rambler.llm import bpe, decontam, jaccard, langid, licenses, linededup, lm, tokencount
 from rambler.llm.queries import QUERIES
 
 
@@ -176,5 +176,20 @@ def test_license_spans_are_verified(spark):
     assert licenses.aligned([(i, i % 3) for i in range(9)], 3, 0) and all(n <= 3 for _, _, n in licenses.aligned([(i, i % 3) for i in range(9)], 3, 0))
 
 
+def test_sides_beyond_the_broadcast_bound_are_shuffled(spark, monkeypatch):
+    """A few rows of very long words are too large to broadcast; matches are the same either way, long words among them."""
+    long = "w" * 3000
+    docs = docs_of(spark, [(1, f"a b {long} c d"), (2, None), (3, ""), (1, f"a b {long} c d"), (None, f"{long} c"), (4, "c " + long)])
+    bench = spark.createDataFrame([(1, f"b {long} c"), (2, f"{long} c"), (3, None)], "item_id long, text string")
+    find = lambda: sorted((tuple(r)[:3] + (tuple(r["items"]),) for r in decontam.contamination(docs, bench).collect()), key=repr)
+    hinted = lambda table: "Hint" in table._jdf.queryExecution().logical().toString() or "hint" in table._jdf.queryExecution().logical().toString()
+    terms = decontam.written(docs.select(docs.text.alias("term")))
+    whole = find()
+    assert whole == sorted([(1, 5, 3, ("1", "2")), (1, 5, 3, ("1", "2")), (2, 0, 0, ()), (3, 0, 0, ()), (None, 2, 2, ("2",)), (4, 2, 0, ())], key=repr)
+    monkeypatch.setattr(decontam, "BROADCAST_BYTES", 2000)
+    assert not hinted(decontam.small(terms, 32, texts=("term",))) and hinted(decontam.small(terms, 32))
+    assert find() == whole
+
+
 def test_queries_say_what_they_do():
     assert all(f.__doc__ for f in QUERIES.values())
