@@ -7,7 +7,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from rambler import stream_queries, surround  # noqa: F401  (register their queries)
-from rambler.queries import QUERIES
+from rambler.operators import walk
+from rambler.operators.graph import WalkGraph
+from rambler.operators.walk import WalkConfig, random_walks
+from rambler.queries import MODELS, QUERIES
 
 
 def put(spark, sf, name, rows, schema):
@@ -22,3 +25,18 @@ def test_frame_rounds_seconds_as_its_sql_does(spark, tmp_path):
     second = [round(t) for t in at]
     want = {i: sum(a - 3600 <= b <= a for b in second) for i, a in enumerate(second)}
     assert {r.event_id: r.n for r in QUERIES["value_range_frame"](spark, str(tmp_path)).collect()} == want
+
+
+def small_graph(spark, n=12, stored=True):
+    rows = [(a, (a * k + 1) % n, float(1 + (a * k) % 5), 0) for a in range(n) for k in (1, 3, 4)]
+    g = WalkGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, h double, label int"))
+    return g.stored() if stored else g
+
+
+@pytest.mark.parametrize("sampler", ["keys", "adaptive"])
+def test_graphs_too_large_to_replicate_are_walked_all_the_same(spark, monkeypatch, sampler):
+    g = small_graph(spark)
+    ask = lambda: sorted(map(tuple, random_walks(g, MODELS["node2vec_w"], None, sampler, WalkConfig(steps=5, mode="replicated")).collect()))
+    small = ask()
+    monkeypatch.setattr(walk, "REPLICATED_EDGES", 10)
+    assert ask() == small and len(small) == 12 * 6
