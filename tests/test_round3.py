@@ -7,6 +7,9 @@ import pytest
 from pyspark.sql import functions as F
 
 from rambler import stream_queries, surround  # noqa: F401  (register their queries)
+from rambler.functions import rng
+from rambler.functions.store import settle
+from rambler.operators import samplers as S
 from rambler.operators import walk
 from rambler.operators.graph import WalkGraph
 from rambler.operators.walk import WalkConfig, random_walks
@@ -40,3 +43,42 @@ def test_graphs_too_large_to_replicate_are_walked_all_the_same(spark, monkeypatc
     small = ask()
     monkeypatch.setattr(walk, "REPLICATED_EDGES", 10)
     assert ask() == small and len(small) == 12 * 6
+
+
+@pytest.mark.parametrize("model", ["node2vec_w", "node2vec_u", "static", "brand"])
+def test_weight_totals_equal_those_of_all_candidates(spark, monkeypatch, model):
+    monkeypatch.setattr(S, "LONG", 1)
+    g, program = small_graph(spark), MODELS[model]
+    assert S.splits(program)
+    states = g.edges.select(F.col("src").alias("prev"), F.col("dst").alias("cur")).distinct().withColumns({"step": F.lit(1), "walk_id": F.col("prev") * 100 + F.col("cur")})
+    want = {(r.prev, r.cur): (r.a, r.b) for r in S.candidates(states, g, program).groupBy("prev", "cur").agg(F.sum("w").alias("a"), F.max("w").alias("b")).collect()}
+    got = {(r.prev, r.cur): (r.w_sum, r.w_max) for r in S.weight_totals(settle(states.select("prev", "cur")), g, program).collect()}
+    assert {k: v[0] for k, v in got.items()} == pytest.approx({k: v[0] for k, v in want.items()})
+    assert all(v[1] in (None, want[k][1]) for k, v in got.items()) and any(v[1] for v in got.values())
+    assert {r.walk_id: r.w_max for r in S.true_weights(settle(states), g, program).collect()} == {a * 100 + b: v[1] for (a, b), v in want.items()}
+
+
+def test_programs_that_see_more_of_the_previous_node_do_not_split():
+    assert not S.splits(MODELS["sorank_w"]) and not S.splits(MODELS["metapath_w"])
+
+
+def test_the_least_keys_of_a_hub_are_found_without_drawing_all(spark, monkeypatch):
+    """A list of 9,000 neighbours: the same choices as by all keys, most walkers served by the greatest uniforms."""
+    n = 9000
+    rows = [(0, k, float(1 + k % 7)) for k in range(1, n + 1)] + [(k, 0, 1.0) for k in range(1, 301)] + [(k, k + 1, 2.0) for k in range(1, 301)]
+    g = WalkGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, h double")).stored()
+    walkers = settle(spark.range(1, 301).select(F.col("id").alias("walk_id"), F.lit(1).alias("step"), F.col("id").alias("prev"), F.lit(0).cast("long").alias("cur")))
+    program = MODELS["node2vec_w"]
+    want = {r.walk_id: r.next for r in S.all_keys_step(walkers, g, program, 42).collect()}
+    served, rest = S.hub_step(walkers, g, program, 42)
+    assert served.count() > 280 and served.count() + rest.count() == 300 and served.agg(F.max("reads")).first()[0] < 200
+    got = {r.walk_id: r.next for r in S.key_step(walkers, g, program, 42).collect()}
+    assert got == want and len(want) == 300
+
+
+def test_words_of_the_greatest_uniforms():
+    state = rng.states(42, np.arange(20) + (3 << 40), np.ones(20, int), rng.KEY)
+    size = np.array([8192, 30_001] * 10)
+    owner, item = rng.high_items(state, size, 8)
+    want = {(k, int(i)) for k in range(20) for i in np.flatnonzero(rng.uniforms((np.repeat(state[0][k], size[k]), np.repeat(state[1][k], size[k])), np.arange(size[k])) >= 1 - 2.0**-8)}
+    assert set(zip(owner.tolist(), item.tolist())) == want and len(owner) == len(want)
