@@ -14,6 +14,7 @@ from rambler.operators import walk
 from rambler.operators.graph import WalkGraph
 from rambler.operators.walk import WalkConfig, random_walks
 from rambler.queries import MODELS, QUERIES
+from rambler.sources import catalog
 
 
 def put(spark, sf, name, rows, schema):
@@ -82,3 +83,15 @@ def test_words_of_the_greatest_uniforms():
     owner, item = rng.high_items(state, size, 8)
     want = {(k, int(i)) for k in range(20) for i in np.flatnonzero(rng.uniforms((np.repeat(state[0][k], size[k]), np.repeat(state[1][k], size[k])), np.arange(size[k])) >= 1 - 2.0**-8)}
     assert set(zip(owner.tolist(), item.tolist())) == want and len(owner) == len(want)
+
+
+def test_selection_ratio_reads_the_edges_once(spark, tmp_path):
+    """One scan pair of the lines for all shapes (there were six), and the same uniforms as `edge_uniform` gives."""
+    put(spark, tmp_path, "lineitem", [(o, (o * k) % 11, 1.0 + k) for o in range(40) for k in (1, 2, 5)], "l_orderkey long, l_partkey long, l_quantity double")
+    got = QUERIES["selection_ratio_alpha"](spark, str(tmp_path))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("parquet") == 2
+    g = catalog.load_graph(spark, str(tmp_path), "g1")
+    assert [r[0] for r in got.groupBy("alpha").agg(F.sum("n")).select("sum(n)").collect()] == [g.node_stats.count()] * 6
+    edges = catalog.with_edge_uniform(g.edges.withColumn("dst", F.col("dst") + (5 << 40)), "u", rng.WEIGHT)
+    assert edges.where(F.col("u") == catalog.edge_uniform(42, rng.WEIGHT)).count() == g.edges.count() > 0
