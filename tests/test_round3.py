@@ -95,3 +95,19 @@ def test_selection_ratio_reads_the_edges_once(spark, tmp_path):
     assert [r[0] for r in got.groupBy("alpha").agg(F.sum("n")).select("sum(n)").collect()] == [g.node_stats.count()] * 6
     edges = catalog.with_edge_uniform(g.edges.withColumn("dst", F.col("dst") + (5 << 40)), "u", rng.WEIGHT)
     assert edges.where(F.col("u") == catalog.edge_uniform(42, rng.WEIGHT)).count() == g.edges.count() > 0
+
+
+def test_program_analysis_counts_the_edges_of_each_branch(spark, tmp_path):
+    put(spark, tmp_path, "customer", [(n, n) for n in range(6)], "c_custkey long, c_nationkey int")
+    put(spark, tmp_path, "supplier", [(n, n) for n in range(6)], "s_suppkey long, s_nationkey int")
+    put(spark, tmp_path, "orders", [(n, n) for n in range(6)], "o_orderkey long, o_custkey long")
+    pairs = {(n, (n + k) % 6) for n in range(6) for k in (1, 2)} | {(1, 0)}
+    put(spark, tmp_path, "lineitem", [(a, b, 1.0) for a, b in pairs], "l_orderkey long, l_suppkey long, l_extendedprice double")
+    ways = [(p, c, x) for p, c in pairs for y, x in pairs if y == c]
+    got = {(r.program, r.weighted, r.branch_id): r.n for r in QUERIES["program_analysis"](spark, str(tmp_path)).collect()}
+    back, linked = sum(p == x for p, _, x in ways), sum(p != x and (p, x) in pairs for p, _, x in ways)
+    assert len(got) == 26 and back and linked
+    for weighted in (True, False):
+        assert [got["return_inout", weighted, k] for k in range(3)] == [back, linked, len(ways) - back - linked]
+    assert got["static", True, 0] == len(ways) and sum(got["meta_path", True, k] for k in range(6)) == len(ways)
+    assert got["brand", True, 0] == sum(x % 5 == c % 5 for _, c, x in ways)
