@@ -111,3 +111,17 @@ def test_program_analysis_counts_the_edges_of_each_branch(spark, tmp_path):
         assert [got["return_inout", weighted, k] for k in range(3)] == [back, linked, len(ways) - back - linked]
     assert got["static", True, 0] == len(ways) and sum(got["meta_path", True, k] for k in range(6)) == len(ways)
     assert got["brand", True, 0] == sum(x % 5 == c % 5 for _, c, x in ways)
+
+
+def test_hubs_of_the_replicated_mode_take_the_edges_that_all_keys_give(monkeypatch):
+    n = 9000
+    src = np.concatenate([np.zeros(n, int), np.arange(1, 301), np.arange(1, 301)])
+    dst = np.concatenate([np.arange(1, n + 1), np.zeros(300, int), np.arange(2, 302)])
+    h = np.concatenate([np.where(np.arange(n) % 100 == 0, 500.0, 1 + np.arange(n) % 3), np.ones(600)])
+    csr, program = walk.Csr(src, dst, h, np.zeros(len(src), int)), MODELS["node2vec_w"]
+    who = np.arange(1, 301)
+    state = who, np.zeros(300, np.int64), who, csr.at(who), 1
+    want = walk.advance(csr, program, "keys", WalkConfig(), *state)[0]
+    assert (walk.advance(csr, program, "keys", WalkConfig(), *state, counted=False)[0] == want).all()
+    served = walk._hub_keys(csr, program, 42, *state)
+    assert (served >= 0).sum() > 270 and (served[served >= 0] == want[served >= 0]).all()
