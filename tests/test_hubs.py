@@ -33,3 +33,15 @@ def test_packed_lists_stay_where_they_are(spark):
     g, _ = at_hub(spark, 30, 10)
     plan = spark.range(3).selectExpr("cast(id as int) AS bucket").groupBy("bucket").cogroup(g.packed.groupBy("bucket")).applyInArrow(lambda a, b: b.select(["bucket"]), "bucket int")
     assert plan._jdf.queryExecution().executedPlan().toString().count("Exchange") == 1
+
+
+@pytest.mark.parametrize("kind", ["degree"])
+def test_selection_on_graphs_with_hubs_takes_its_steps_at_the_lists(spark, monkeypatch, kind):
+    """Before, trials and keys were rows that met all pairs of the graph."""
+    g, walkers = at_hub(spark, 60, 30)
+    ask = lambda: sorted(map(tuple, S.adaptive_step(walkers, g, MODELS["node2vec_w"], 42, kind, threshold=40, trials=2).select("walk_id", "next").collect()))
+    monkeypatch.setattr(S, "HUB", 50)
+    got = ask()
+    assert "pairs" not in g.__dict__
+    monkeypatch.setattr(S, "HUB", 10**9)
+    assert got == ask() and len(got) == 60
