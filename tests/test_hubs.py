@@ -7,6 +7,7 @@ from rambler.functions.store import settle
 from rambler.operators import lists
 from rambler.operators import samplers as S
 from rambler.operators.graph import WalkGraph
+from rambler.operators.walk import WalkConfig, walk_log
 from rambler.queries import MODELS
 
 
@@ -45,3 +46,11 @@ def test_selection_on_graphs_with_hubs_takes_its_steps_at_the_lists(spark, monke
     assert "pairs" not in g.__dict__
     monkeypatch.setattr(S, "HUB", 10**9)
     assert got == ask() and len(got) == 60
+
+
+def test_adaptive_walks_with_jumps_count_the_same_in_both_modes(spark):
+    """Before, supersteps left out the failed trials of walkers that go on to the reservoir, and trials met all pairs of the graph."""
+    g, _ = at_hub(spark, 40, 30)
+    options = {"reservoir": "jump", "kind": "degree", "threshold": 20}
+    both = [sorted(map(tuple, walk_log(g, MODELS["node2vec_w"], None, "adaptive", WalkConfig(steps=3, mode=m, trials=1, rounds=1, sampler_options=options)).select("walk_id", "step", "node", "reads", "draws").collect())) for m in ("superstep", "replicated")]
+    assert both[0] == both[1] and len(both[0]) > 60 and "pairs" not in g.__dict__
