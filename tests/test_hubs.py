@@ -36,7 +36,7 @@ def test_packed_lists_stay_where_they_are(spark):
     assert plan._jdf.queryExecution().executedPlan().toString().count("Exchange") == 1
 
 
-@pytest.mark.parametrize("kind", ["degree", "rejection", "exact"])
+@pytest.mark.parametrize("kind", ["degree", "rejection", "exact", "random"])
 def test_selection_on_graphs_with_hubs_takes_its_steps_at_the_lists(spark, monkeypatch, kind):
     """Before, trials and keys were rows that met all pairs of the graph."""
     g, walkers = at_hub(spark, 60, 30)
