@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from rambler.functions.store import settle
-from rambler.operators import lists
+from rambler.operators import lists, walk
 from rambler.operators import samplers as S
 from rambler.operators.graph import WalkGraph
 from rambler.operators.walk import WalkConfig, walk_log
@@ -54,3 +54,14 @@ def test_adaptive_walks_with_jumps_count_the_same_in_both_modes(spark):
     options = {"reservoir": "jump", "kind": "degree", "threshold": 20}
     both = [sorted(map(tuple, walk_log(g, MODELS["node2vec_w"], None, "adaptive", WalkConfig(steps=3, mode=m, trials=1, rounds=1, sampler_options=options)).select("walk_id", "step", "node", "reads", "draws").collect())) for m in ("superstep", "replicated")]
     assert both[0] == both[1] and len(both[0]) > 60 and "pairs" not in g.__dict__
+
+
+@pytest.mark.parametrize("sampler", ["keys", "prefix", "adaptive"])
+def test_logged_walks_of_large_graphs_are_those_of_the_replicated_mode(spark, monkeypatch, sampler):
+    """Before, each step of a graph too large to replicate had a row for every candidate, and met all pairs."""
+    g, _ = at_hub(spark, 40, 30)
+    ask = lambda: sorted(map(tuple, walk_log(g, MODELS["node2vec_w"], None, sampler, WalkConfig(steps=2, mode="replicated")).select("walk_id", "step", "node", "reads", "draws").collect()))
+    want = ask()
+    monkeypatch.setattr(S, "LIST_EDGES", 10)
+    monkeypatch.setattr(walk, "REPLICATED_EDGES", 10)
+    assert ask() == want and "pairs" not in g.__dict__ and "packed" in g.__dict__
