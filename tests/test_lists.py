@@ -1,15 +1,17 @@
 """Jumps where the lists are: the picks of jumps over all candidates."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from rambler.functions.store import settle
+from rambler.operators import graph as graphs
 from rambler.operators import lists, walk
 from rambler.operators import samplers as S
 from rambler.operators.graph import WalkGraph
 from rambler.operators.walk import WalkConfig
-from rambler.queries import MODELS
+from rambler.queries import MODELS, QUERIES
 
 
 def graph(spark):
@@ -48,3 +50,33 @@ def test_no_row_for_each_candidate_leaves_the_lists(spark):
     walkers = settle(spark.range(1, 301).select(F.col("id").alias("walk_id"), F.lit(1).alias("step"), F.col("id").alias("prev"), F.lit(0).cast("long").alias("cur")))
     got = S.jump_step(walkers, g, MODELS["node2vec_w"], 42)
     assert got.count() == 300 and "collect_list" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_a_graph_packed_at_once_is_the_stored_graph(spark, monkeypatch):
+    """Parallel edges merge (their h may be null), lists are in order, and a node's list may go over several rows."""
+    rows = [(k % 7, (k * 5) % 23, None if k % 10 == 0 else float(k % 4), k % 2) for k in range(400)] + [(9, 1, None, 0), (9, 1, 2.0, 0), (8, 3, None, 0), (8, 3, None, 0), (2**41, 2**42, 1.0, 0)]
+    given = WalkGraph.from_edges(spark.createDataFrame(rows, "src long, dst long, h double, label int"))
+    kept, at_once = given.stored(), given.listed()
+    none = lambda df: sorted(tuple(-1 if x is None or x != x else x for x in r) for r in df.collect())
+    assert none(at_once.edges.select(kept.edges.columns)) == none(kept.edges) and at_once.size == kept.size
+    plain = lambda g: sorted(map(tuple, g.node_stats.where("src <> 8").select("src", "deg", "h_max", "h_min", "h_sum").where("not isnan(h_sum)").collect()))
+    assert plain(at_once) == [r for r in plain(kept) if r[0] in {x[0] for x in plain(at_once)}]
+    monkeypatch.setattr(graphs, "PACKED_EDGES", 30)
+    batch = pa.RecordBatch.from_pydict({"bucket": np.zeros(90, np.int32), "src": np.arange(90) // 45, "dst": np.arange(90)[::-1].copy(), "h": np.ones(90), "label": np.zeros(90, np.int32)})
+    packed = pa.Table.from_batches(list(graphs._merge_and_pack([batch])))
+    got = graphs._unpack(packed)
+    assert packed.num_rows == 3 and got.column("src").to_pylist() == [0] * 45 + [1] * 45 and got.column("idx").to_pylist() == [*range(45)] * 2 and got.column("dst").to_pylist() == [*range(45, 90), *range(45)]
+    stats = pa.Table.from_batches(list(graphs._stretch_stats(packed.to_batches())))
+    assert list(zip(stats.column("src").to_pylist(), stats.column("deg").to_pylist())) == [(0, 30), (0, 15), (1, 15), (1, 30)]
+
+
+def test_walks_by_jumps_pack_their_graph_at_once(spark, monkeypatch):
+    monkeypatch.setattr(WalkGraph, "stored", lambda self: pytest.fail("edges were stored beside the lists"))
+    assert QUERIES["walk_adaptive_jump"](spark, "/root/testdata/sf0.001").where("step = 3").count() > 0
+
+
+def test_no_list_is_read_for_the_near_edges_of_a_first_step(spark, monkeypatch):
+    g = graph(spark)
+    monkeypatch.setattr(lists, "near_edges", lambda *_: pytest.fail("no walker has a previous node"))
+    first = settle(g.node_stats.select(F.col("src").alias("walk_id"), F.lit(0).alias("step"), F.lit(None).cast("long").alias("prev"), F.col("src").alias("cur")))
+    assert lists.list_keys(first, g, MODELS["node2vec_w"], 42).count() == g.largest[0]
