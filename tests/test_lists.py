@@ -80,3 +80,13 @@ def test_no_list_is_read_for_the_near_edges_of_a_first_step(spark, monkeypatch):
     monkeypatch.setattr(lists, "near_edges", lambda *_: pytest.fail("no walker has a previous node"))
     first = settle(g.node_stats.select(F.col("src").alias("walk_id"), F.lit(0).alias("step"), F.lit(None).cast("long").alias("prev"), F.col("src").alias("cur")))
     assert lists.list_keys(first, g, MODELS["node2vec_w"], 42).count() == g.largest[0]
+
+
+@pytest.mark.parametrize("kind", ["degree"])
+def test_selection_on_a_graph_with_hubs_packs_it_at_once(spark, tmp_path, monkeypatch, kind):
+    """Some 300 customers, whose segments count as hubs: their edges aren't stored beside the lists, and choices are those on the stored graph."""
+    spark.range(1, 301).selectExpr("id AS c_custkey", "cast(id % 5 AS int) AS c_nationkey", "concat('s', id % 3) AS c_mktsegment", "id % 17 - 3.0D AS c_acctbal").write.parquet(f"{tmp_path}/customer.parquet")
+    whole = sorted(map(tuple, QUERIES[f"step_select_{kind}"](spark, str(tmp_path)).collect()))
+    monkeypatch.setattr(S, "HUB", 50)
+    monkeypatch.setattr(WalkGraph, "stored", lambda self: pytest.fail("edges were stored beside the lists"))
+    assert whole == sorted(map(tuple, QUERIES[f"step_select_{kind}"](spark, str(tmp_path)).collect())) and len(whole) == 308
