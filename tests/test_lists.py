@@ -90,3 +90,14 @@ def test_selection_on_a_graph_with_hubs_packs_it_at_once(spark, tmp_path, monkey
     monkeypatch.setattr(S, "HUB", 50)
     monkeypatch.setattr(WalkGraph, "stored", lambda self: pytest.fail("edges were stored beside the lists"))
     assert whole == sorted(map(tuple, QUERIES[f"step_select_{kind}"](spark, str(tmp_path)).collect())) and len(whole) == 308
+
+
+def test_drawn_weights_are_columns_of_a_large_table(spark, monkeypatch):
+    from rambler.functions import rng
+    from rambler.sources import catalog
+
+    g, u = graph(spark), catalog.edge_uniform(42, rng.WEIGHT)
+    want = {(r.src, r.dst, r.label): r.h for r in g.edges.select("src", "dst", "label", (1 + 4 * u).alias("h")).collect()}
+    monkeypatch.setattr(catalog, "edge_uniform", lambda *_: pytest.fail("one expression for each edge's uniform"))
+    got = catalog.apply_weights(g, "uniform").edges
+    assert got.columns == g.edges.columns and {(r.src, r.dst, r.label): r.h for r in got.collect()} == want
