@@ -6,7 +6,7 @@ import pytest
 from rambler.functions import rng
 from rambler.operators import plain
 from rambler.operators.graph import WalkGraph
-from rambler.operators.walk import Csr, WalkConfig, _over_all, advance, forget_copies, random_walks
+from rambler.operators.walk import Csr, WalkConfig, _batch, _over_all, advance, forget_copies, random_walks
 from rambler.plans.program import WeightProgram
 from rambler.queries import MODELS
 from rambler.sources.catalog import apply_weights, load_graph
@@ -106,3 +106,13 @@ def test_drawn_weights_of_a_stored_graph_are_those_of_a_loaded_one(spark):
     d = "/root/testdata/sf0.001"
     of = lambda g: sorted(map(tuple, g.edges.select("src", "dst", "h", "label", "idx").collect()))
     assert of(apply_weights(load_graph(spark, d, "g6").stored(), "pareto", 2.0)) == of(load_graph(spark, d, "g6", "pareto", 2.0))
+
+
+def test_modes_of_a_log_are_taken_from_two_words(monkeypatch):
+    """A string was made in numpy for each step."""
+    made = []
+    monkeypatch.setattr("rambler.operators.walk.np.where", lambda *a: made.append(a) or np.zeros(3))
+    n = np.arange(3)
+    got = _batch(n, 1, n, n, n, np.array([True, False, True]), True)
+    assert got.column("mode").to_pylist() == ["rejection", "reservoir", "rejection"] and not made
+    assert _batch(n, 0, n, n, n, n > 5, True).column("mode").to_pylist() == [None] * 3
