@@ -1,6 +1,7 @@
 """What walkers of the replicated mode share gives the choices that all candidates give."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from rambler.functions import rng
@@ -116,3 +117,18 @@ def test_modes_of_a_log_are_taken_from_two_words(monkeypatch):
     got = _batch(n, 1, n, n, n, np.array([True, False, True]), True)
     assert got.column("mode").to_pylist() == ["rejection", "reservoir", "rejection"] and not made
     assert _batch(n, 0, n, n, n, n > 5, True).column("mode").to_pylist() == [None] * 3
+
+
+def test_a_worker_makes_its_copy_once_for_all_its_tasks(spark):
+    """Each task made its own, as the table of copies went along with the function."""
+    g = WalkGraph.from_edges(spark.createDataFrame([(k, (k * j + 1) % 20, float(1 + k * j % 5)) for k in range(20) for j in (1, 3, 4)], "src long, dst long, h double")).stored()
+    random_walks(g, MODELS["node2vec_w"], None, "keys", WalkConfig(steps=3, mode="replicated", partitions=8)).count()
+    token = g.copies[1]
+
+    def kept(batches):
+        from rambler.operators import walk
+
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([int(token in walk._GRAPHS)] * b.num_rows, pa.int32())], ["n"])
+
+    assert spark.range(0, 8, 1, 8).mapInArrow(kept, "n int").groupBy().sum().first()[0] > 0
