@@ -132,3 +132,13 @@ def test_a_worker_makes_its_copy_once_for_all_its_tasks(spark):
             yield pa.RecordBatch.from_arrays([pa.array([int(token in walk._GRAPHS)] * b.num_rows, pa.int32())], ["n"])
 
     assert spark.range(0, 8, 1, 8).mapInArrow(kept, "n int").groupBy().sum().first()[0] > 0
+
+
+def test_a_graph_passes_the_driver_in_parts(spark, monkeypatch):
+    """All edges were in the driver's heap at once."""
+    g = WalkGraph.from_edges(spark.createDataFrame([(k, (k * j + 1) % 20, float(1 + k * j % 5)) for k in range(20) for j in (1, 3, 4)], "src long, dst long, h double")).stored()
+    walks = lambda: sorted(map(tuple, random_walks(g, MODELS["node2vec_w"], None, "keys", WalkConfig(steps=3, mode="replicated")).collect()))
+    want, whole = walks(), len(g.copies[0].value[0])
+    forget_copies(g)
+    monkeypatch.setattr("rambler.operators.walk.READ_EDGES", 7)
+    assert walks() == want and len(g.copies[0].value[0]) == whole
